@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import decontaminate, mixing
+from . import decontaminate, mixing, repair, separators
 
-QUERIES = {f.__name__: f for f in (decontaminate.op3_decontaminate, mixing.op5_source_mixture)}
-ORACLE: dict[str, str] = {**decontaminate.ORACLE, **mixing.ORACLE}
+QUERIES = {f.__name__: f for f in (decontaminate.op3_decontaminate, mixing.op5_source_mixture, repair.op6_token_shards, separators.op9_separator_scan)}
+ORACLE: dict[str, str] = {**decontaminate.ORACLE, **mixing.ORACLE, **repair.ORACLE, **separators.ORACLE}
