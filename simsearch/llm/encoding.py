@@ -20,12 +20,13 @@ _held: dict = {}
 
 
 class Encoder:
-    def __init__(self, path: str, *, specials_as_text: bool = False, cache_size: int = 400_000, longest: int = 200):
+    def __init__(self, path: str, *, specials_as_text: bool = False, cache_size: int = 600_000, longest: int = 200):
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
         self.tokenizer.encode_special_tokens = specials_as_text
         self.cache: dict[str, bytes] = {}
+        self.again: set[str] = set()  # parts met again since the cache was last cut back
         self.cache_size, self.longest = cache_size, longest
         joint = self._ids(_JOINT)
         self.joint = joint[0] if len(joint) == 1 else None
@@ -79,8 +80,12 @@ class Encoder:
                 parts = t.split(" ")
                 cut.append((i, parts))
                 wanted.update(parts[1:])
+        known = wanted & self.cache.keys()
+        self.again |= known
         if len(self.cache) > self.cache_size:
-            self.cache.clear()
+            stay = self.again if len(self.again) < self.cache_size // 2 else known
+            self.cache = {p: self.cache[p] for p in stay}
+            self.again = set()
         self._learn(wanted - self.cache.keys())
         get = self.cache.__getitem__
         for i, parts in cut:

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import decontaminate, mixing, repair, separators
+from . import decontaminate, mixing, quality, repair, separators, toxicity
 
-QUERIES = {f.__name__: f for f in (decontaminate.op3_decontaminate, mixing.op5_source_mixture, repair.op6_token_shards, separators.op9_separator_scan)}
-ORACLE: dict[str, str] = {**decontaminate.ORACLE, **mixing.ORACLE, **repair.ORACLE, **separators.ORACLE}
+QUERIES = {f.__name__: f for f in (quality.op2_line_quality, decontaminate.op3_decontaminate, mixing.op5_source_mixture, repair.op6_token_shards, separators.op9_separator_scan, toxicity.op10_toxicity)}
+ORACLE: dict[str, str] = {**quality.ORACLE, **decontaminate.ORACLE, **mixing.ORACLE, **repair.ORACLE, **separators.ORACLE, **toxicity.ORACLE}
