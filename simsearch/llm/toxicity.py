@@ -3,8 +3,8 @@
 P(grade <= j) = sigmoid(threshold_j - w.x): one weight vector for all thresholds, which stay in order. Features are
 words and beginnings of words (4 to 6 bytes; they join inflected forms) with dampened counts; a long text keeps
 the weight of the few words that matter. Labels are only toxic or
-not, so grades of toxic training documents come from how densely they use words that set toxic documents apart:
-grade 1 to 3 by thirds of that density, grade 0 for documents that are not toxic. The result is the expected
+not, so grades of toxic training documents come from how many words they hold that set toxic documents apart:
+grade 1 to 3 by thirds of that number, grade 0 for documents that are not toxic. The result is the expected
 grade and the probability of each.
 
 The fit uses a bounded sample of labelled documents (``rows``) and the ``features`` words that tell the labels
@@ -69,8 +69,8 @@ def sparse(bags: list[dict[bytes, int]], places: dict[bytes, int]):
     return np.array(row, np.int64), np.array(col, np.int64), 1 + np.log(np.array(val, float)) if val else np.zeros(0)
 
 
-def select_words(bags, y, most: int, least_df: int = 3) -> tuple[list[bytes], Counter]:
-    """The words whose document frequencies differ most between the labels (signed root of chi-square)."""
+def select_words(bags, y, most: int, least_df: int = 3, least_z: float = 3.0) -> tuple[list[bytes], Counter]:
+    """The words that toxic documents have more often than others, the surest first (signed root of chi-square)."""
     bad, good = Counter(), Counter()
     for bag, t in zip(bags, y):
         (bad if t else good).update(bag.keys())
@@ -81,22 +81,22 @@ def select_words(bags, y, most: int, least_df: int = 3) -> tuple[list[bytes], Co
         if a + b >= least_df:
             p = (a + b) / (n1 + n0)
             z[w] = (a / n1 - b / n0) / np.sqrt(max(p * (1 - p), 1e-12) * (1 / n1 + 1 / n0))
-    best = sorted(z, key=lambda w: (-abs(z[w]), w))[:most]
+    best = sorted((w for w in z if z[w] >= least_z), key=lambda w: (-z[w], w))[:most]
     return best, Counter({w: z[w] for w in best})
 
 
 def grades(bags, y, z: Counter, levels: int, strong: float = 5.0) -> np.ndarray:
     marks = {w for w, v in z.items() if v >= strong}
-    density = np.array([sum(n for w, n in bag.items() if w in marks) / max(1, sum(bag.values())) for bag in bags])
+    number = np.array([sum(1 + np.log(n) for w, n in bag.items() if w in marks) for bag in bags])
     toxic = np.array(y, bool)
     out = np.zeros(len(y), int)
     if toxic.any():
-        cuts = np.quantile(density[toxic], np.arange(1, levels) / levels)
-        out[toxic] = 1 + np.searchsorted(cuts, density[toxic], "right")
+        cuts = np.quantile(number[toxic], np.arange(1, levels) / levels)
+        out[toxic] = 1 + np.searchsorted(cuts, number[toxic], "right")
     return out
 
 
-def fit(samples: list[tuple[str, int]], *, features: int = 2000, levels: int = 3, steps: int = 300, rate: float = 0.1, ridge: float = 1.0) -> Ordinal:
+def fit(samples: list[tuple[str, int]], *, features: int = 2000, levels: int = 3, steps: int = 300, rate: float = 0.1, ridge: float = 0.1) -> Ordinal:
     """Penalised maximum likelihood by Adam; thresholds are a first value and positive gaps."""
     y = [int(t > 0) for _, t in samples]
     if len(set(y)) < 2:
@@ -106,6 +106,9 @@ def fit(samples: list[tuple[str, int]], *, features: int = 2000, levels: int = 3
     places = {w: i for i, w in enumerate(chosen)}
     grade = grades(bags, y, z, levels)
     row, col, val = sparse(bags, places)
+    # a word counts in proportion to how surely it tells the labels apart, so the ridge holds doubtful words down
+    scale = np.array([z[w] for w in chosen]) / max(z.values(), default=1)
+    val = val * scale[col]
     n, k = len(bags), levels
     p = np.concatenate((np.zeros(len(chosen)), [np.log((n - sum(y)) / sum(y))], np.full(k - 1, 0.0)))
     m, v = np.zeros_like(p), np.zeros_like(p)
@@ -124,7 +127,7 @@ def fit(samples: list[tuple[str, int]], *, features: int = 2000, levels: int = 3
         g = np.concatenate((np.bincount(col, val * (down - up)[row], minlength=len(chosen)) - ridge * w, [later[0]], later[1:] * gaps - 0.01 * p[len(chosen) + 1 :]))
         m, v = 0.9 * m + 0.1 * g, 0.99 * v + 0.01 * g**2
         p = p + rate * (1 - step / (steps + 1)) * (m / (1 - 0.9**step)) / (np.sqrt(v / (1 - 0.99**step)) + 1e-9)
-    return Ordinal(places, p[: len(chosen)], p[len(chosen)] + np.concatenate(([0], np.cumsum(np.exp(p[len(chosen) + 1 :])))))
+    return Ordinal(places, p[: len(chosen)] * scale, p[len(chosen)] + np.concatenate(([0], np.cumsum(np.exp(p[len(chosen) + 1 :])))))
 
 
 def above(texts: list[bytes], model: Ordinal) -> np.ndarray:
