@@ -92,3 +92,11 @@ def run_starts(keys: np.ndarray) -> np.ndarray:
     if not len(keys):
         return np.zeros(0, np.int64)
     return np.flatnonzero(np.concatenate(([True], keys[1:] != keys[:-1])))
+
+
+def release(spark: SparkSession) -> None:
+    """Let Spark delete the shuffle files of queries that are over: it does so when the driver's garbage is collected."""
+    import gc
+
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
