@@ -51,7 +51,7 @@ def source_targets(sized: DataFrame, *, weights=(1, 2, 3), max_epochs: float = 3
     """Per source: size, weight, target. Sources in code-point order, weights repeat in that order.
 
     Water-filling is done on one row per source with windows: sorted by cap/weight, the clamped sources are a
-    prefix, found where the level that the others would get first fits. No row of a document takes part."""
+    prefix, found where the level that the others would get first fits (it only falls from there on). No row of a document takes part."""
     per = sized.groupBy(f"{_P}source").agg(F.sum(f"{_P}size").alias(f"{_P}source_size"))
     whole = Window.partitionBy(F.lit(0))
     order = whole.orderBy(F.col(f"{_P}source").cast("binary").asc_nulls_last())
@@ -63,7 +63,7 @@ def source_targets(sized: DataFrame, *, weights=(1, 2, 3), max_epochs: float = 3
     before = whole.orderBy(F.col("ratio").asc_nulls_last(), F.col(f"{_P}source").cast("binary").asc_nulls_last()).rowsBetween(Window.unboundedPreceding, -1)
     zero = F.lit(0.0)
     per = per.withColumn("level", (F.col("budget") - F.coalesce(F.sum(F.when(F.col("ratio").isNotNull(), F.col("cap"))).over(before), zero)) / (F.sum(F.when(F.col("ratio").isNotNull(), F.col("w"))).over(whole) - F.coalesce(F.sum(F.when(F.col("ratio").isNotNull(), F.col("w"))).over(before), zero)))
-    per = per.withColumn("level", F.min(F.when(F.col("ratio").isNotNull() & (F.col("level") <= F.col("ratio")), F.col("level"))).over(whole))
+    per = per.withColumn("level", F.max(F.when(F.col("ratio").isNotNull() & (F.col("level") <= F.col("ratio")), F.col("level"))).over(whole))
     target = F.when(F.col("ratio").isNull(), zero).when(F.col("level").isNull() | (F.col("ratio") < F.col("level")), F.col("cap")).otherwise(F.col("w") * F.col("level"))
     return per.select(f"{_P}source", f"{_P}source_size", F.col("w").alias(f"{_P}weight"), target.alias(f"{_P}target"))
 
@@ -143,7 +143,7 @@ r AS (SELECT *, cap / w AS ratio,
         (budget - coalesce(sum(cap) OVER o, 0)) / (sum(w) OVER () - coalesce(sum(w) OVER o, 0)) AS level
       FROM w WHERE source_size > 0
       WINDOW o AS (ORDER BY cap / w, encode(source) ASC NULLS LAST ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING)),
-v AS (SELECT min(level) AS level FROM r WHERE level <= ratio),
+v AS (SELECT max(level) AS level FROM r WHERE level <= ratio),
 t AS (SELECT source, source_size, CAST(CASE WHEN v.level IS NULL OR ratio < v.level THEN cap ELSE w * v.level END AS DOUBLE) AS target FROM r, v),
 u AS (SELECT d.doc_id, d.size, s.source_size, coalesce(t.target, 0.0) AS target,
         coalesce(sum(d.size) OVER (PARTITION BY d.source ORDER BY md5('mix:' || CAST(d.doc_id AS VARCHAR)), d.size ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS before
