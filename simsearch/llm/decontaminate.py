@@ -153,8 +153,8 @@ def hits_of(data: bytes, block: Block) -> tuple[int, np.ndarray, set[int]]:
 _OUT = "n_words long, hit array<int>, items array<string>"
 
 
-def find_leaks(docs: DataFrame, benchmark: DataFrame, *, t: int = 10, k: int = 5, block_words: int = 2_000_000) -> DataFrame:
-    """Per row of docs: row columns without text, n_words, hit (places of hit words), items (ids as strings, sorted)."""
+def find_leaks(docs: DataFrame, benchmark: DataFrame, *, t: int = 10, k: int = 5, block_words: int = 2_000_000, keep_text: bool = False) -> DataFrame:
+    """Per row of docs: its columns (text only if wanted), n_words, hit (places of hit words), items (ids as strings, sorted)."""
     spark = docs.sparkSession
     items = benchmark.where(F.col("item_id").isNotNull()).select(F.col("item_id").cast("string").alias("i"), F.coalesce("text", F.lit("")).alias("t"))
     size = items.agg(F.coalesce(F.sum(F.length("t")), F.lit(0))).first()[0]
@@ -163,19 +163,19 @@ def find_leaks(docs: DataFrame, benchmark: DataFrame, *, t: int = 10, k: int = 5
     for n in range(n_blocks):
         rows = items.where(F.pmod(F.xxhash64("i"), F.lit(n_blocks)) == n).collect() if n_blocks > 1 else items.collect()  # a block of bounded size
         block = spark.sparkContext.broadcast(make_block([(r.i, r.t.encode()) for r in rows], t, k))
-        results.append(_scan(docs, block))
+        results.append(_scan(docs, block, keep_text, n_blocks))
     if len(results) == 1:
-        return results[0]
-    keys = [c for c in docs.columns if c != "text"]
+        return results[0].drop("text_hash")
+    keys = [c for c in docs.columns if keep_text or c != "text"]
     union = results[0]
     for r in results[1:]:
         union = union.unionByName(r)
     # rows with equal keys are told apart by nothing but their text: its hash is part of the key
-    return union.groupBy(*keys, "text_hash").agg(F.first("n_words").alias("n_words"), F.array_sort(F.array_distinct(F.flatten(F.collect_list("hit")))).alias("hit"), F.array_sort(F.array_distinct(F.flatten(F.collect_list("items")))).alias("items")).drop("text_hash") if keys else union
+    return union.groupBy(*keys, "text_hash").agg(F.first("n_words").alias("n_words"), F.array_sort(F.array_distinct(F.flatten(F.collect_list("hit")))).alias("hit"), F.array_sort(F.array_distinct(F.flatten(F.collect_list("items")))).alias("items")).drop("text_hash")
 
 
-def _scan(docs: DataFrame, block) -> DataFrame:
-    kept = [c for c in docs.columns if c != "text"]
+def _scan(docs: DataFrame, block, keep_text: bool, n_blocks: int) -> DataFrame:
+    kept = [c for c in docs.columns if keep_text or c != "text"]
     fields = ", ".join(f"`{c}` {docs.schema[c].dataType.simpleString()}" for c in kept)
 
     def run(batches):
@@ -188,7 +188,7 @@ def _scan(docs: DataFrame, block) -> DataFrame:
                 n_words.append(n)
                 hits.append(np.flatnonzero(hit).astype(np.int32))
                 items.append(sorted({b.ids[i] for i in found}))
-                marks.append(int.from_bytes(hashlib.blake2b(data or b"", digest_size=8).digest(), "little", signed=True) if found else 0)
+                marks.append(int.from_bytes(hashlib.blake2b(data or b"", digest_size=8).digest(), "little", signed=True) if n_blocks > 1 else 0)
             columns = [batch.column(c) for c in kept]
             yield pa.RecordBatch.from_arrays([*columns, pa.array(n_words, pa.int64()), pa.array(hits, pa.list_(pa.int32())), pa.array(items, pa.list_(pa.string())), pa.array(marks, pa.int64())], names=[*kept, "n_words", "hit", "items", "text_hash"])
 
