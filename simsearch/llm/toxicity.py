@@ -101,9 +101,10 @@ def fit(samples: list[tuple[str, int]], *, features: int = 2000, levels: int = 3
     y = [int(t > 0) for _, t in samples]
     if len(set(y)) < 2:
         return Ordinal({}, np.zeros(0), np.arange(levels, dtype=float))
-    bags = [bag_of(t.encode()) for t, _ in samples]
-    chosen, z = select_words(bags, y, features)
+    chosen, z = select_words((bag_of(t.encode()) for t, _ in samples), y, features)
     places = {w: i for i, w in enumerate(chosen)}
+    # a second pass keeps only the chosen words, so memory holds one bag at a time and the words' frequencies
+    bags = [{w: n for w, n in bag_of(t.encode()).items() if w in places} for t, _ in samples]
     grade = grades(bags, y, z, levels)
     row, col, val = sparse(bags, places)
     # a word counts in proportion to how surely it tells the labels apart, so the ridge holds doubtful words down
@@ -164,7 +165,7 @@ def score_documents(docs: DataFrame, model: Ordinal, *, batch_bytes: int = 4 <<
     return docs.mapInArrow(run, f"{kinds}expected_severity double, grade_probabilities array<double>")
 
 
-def op10_toxicity(spark: SparkSession, sf_dir: str, *, rows: int = 12_000) -> DataFrame:
+def op10_toxicity(spark: SparkSession, sf_dir: str, *, rows: int = 6_000) -> DataFrame:
     """doc_id, held_out, expected_severity (0 to 3), toxic_probability (P(grade > 0)), grade (most likely), toxic (P >= 0.5)."""
     docs = common.documents(spark, sf_dir).select("doc_id", "text")
     model = fit(labelled_sample(docs, common.table(spark, sf_dir, "labels"), "toxic", rows=rows))
