@@ -28,12 +28,12 @@ def cut_off(contrib: DataFrame, *, sample_share: float = 0.25, cut_factor: float
     return picked.groupBy("qid").agg((F.lit(cut_factor) * F.avg("contrib")).alias("cut"))
 
 
-def rank_by(scored: DataFrame, score: str, goal: Goal, *, pruned=F.lit(False), quota_base: str = "before", backfill: bool = True, keep_exact: bool = False) -> DataFrame:
+def rank_by(scored: DataFrame, score: str, goal: Goal, *, pruned=None, quota_base: str = "before", backfill: bool = True, keep_exact: bool = False) -> DataFrame:
     """The highest scores per query: as many as the goal's share of the candidates.
 
     quota_base: share of all candidates or of those not pruned. backfill: pruned ones fill up to kmin."""
     w = Window.partitionBy("qid")
-    rows = scored.withColumn("pruned", pruned)
+    rows = scored.withColumn("pruned", F.lit(False) if pruned is None else pruned)
     if keep_exact:
         rows = rows.withColumn("pruned", F.col("pruned") & (F.col("dist") > 0))
     base = F.count(F.lit(1)).over(w) if quota_base == "before" else F.sum((~F.col("pruned")).cast("long")).over(w)
