@@ -33,10 +33,10 @@ def grams(s: Column, n: int = 2, pad: bool = True) -> Column:
 def numbered_grams(df: DataFrame, key: list[str], s: str, n: int = 2, pad: bool = True) -> DataFrame:
     """(key..., gram, occ): the occ-th time the gram is in the string. Equal rows then make a multiset meet.
 
-    Numbered within the row: places of the gram up to this one."""
-    g = grams(F.col(s), n, pad)
-    rows = df.select(*key, g.alias("g")).select(*key, F.posexplode(F.transform(F.array_sort(F.col("g")), lambda x: x)).alias("i", "gram"), "g")
-    return rows.select(*key, "gram", (F.col("i") - F.array_position(F.array_sort("g"), F.col("gram")) + 2).cast("int").alias("occ"))
+    Numbered within the row: the grams in order, and for each how far it is from the first of its equals."""
+    ordered = F.sort_array(grams(F.col(s), n, pad))
+    numbered = F.transform(F.array(ordered), lambda g: F.transform(g, lambda x, i: F.struct(x.alias("gram"), (i - F.array_position(g, x) + 2).cast("int").alias("occ"))))
+    return df.select(*key, F.explode(F.element_at(numbered, 1)).alias("x")).select(*key, "x.gram", "x.occ")
 
 
 def normalised_edit(a: Column, b: Column) -> Column:

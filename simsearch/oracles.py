@@ -86,8 +86,11 @@ def sweep(values) -> str:
     return ",\n".join(ctes) + "\n" + " UNION ALL ".join(rows)
 
 
+SHOWN = "translate(gram, chr(2) || chr(3), '^$')"
+
+
 def gram_rows(source: str, s: str, key: str, pad: bool = True) -> str:
-    p = f"'^' || {s} || '$'" if pad else s
+    p = f"chr(2) || {s} || chr(3)" if pad else s
     return f"SELECT {key}, gram, CAST(row_number() OVER (PARTITION BY {key.split(',')[0]}, gram ORDER BY i) AS INTEGER) AS occ FROM (SELECT {key}, i, substring({p}, CAST(i AS BIGINT), 2) AS gram FROM {source}, unnest(range(1, greatest(length({p}), 1))) AS u(i))"
 
 
@@ -131,9 +134,9 @@ ORACLE: dict[str, str] = {
     "length_band_scan": f"{LINES} SELECT q.qid, count(*) AS n FROM c JOIN q ON abs(len - length(q)) < 10 GROUP BY q.qid",
     "hamming_cells": f"WITH c AS (SELECT * FROM ({CORPUS['clients']}) WHERE id <= 40) SELECT a.id AS i, b.id AS j, CAST(hamming(a.s, b.s) AS INTEGER) AS d FROM c a JOIN c b ON a.id < b.id",
     "metrics_other": f"WITH c AS ({CORPUS['names']}), g AS (SELECT id, s, list_distinct([substring('^' || s || '$', i, 2) for i in range(1, length(s) + 2)]) AS x FROM c), r AS (SELECT list_distinct([substring('^small ring$', i, 2) for i in range(1, 12)]) AS y) SELECT id, round(levenshtein(s, 'small ring') / greatest(length(s), 10)::DOUBLE, 6) AS norm_edit, round(1 - len(list_intersect(x, y)) / (len(x) + len(y) - len(list_intersect(x, y)))::DOUBLE, 6) AS jaccard_gram FROM g, r",
-    "grams_padded": f"WITH c AS ({CORPUS['names']}) {gram_rows('c', 's', 'id')}",
+    "grams_padded": f"WITH c AS ({CORPUS['names']}) SELECT id, {SHOWN} AS gram, occ FROM ({gram_rows('c', 's', 'id')})",
     "grams_unpadded": f"WITH c AS ({CORPUS['names']}) {gram_rows('c', 's', 'id', False)}",
-    "postings": f"WITH c AS ({CORPUS['lines']}), g AS ({gram_rows('c', 's', 'id, len')}) SELECT gram, occ, count(*) AS n, CAST(sum(len) AS BIGINT) AS chars FROM g GROUP BY gram, occ",
+    "postings": f"WITH c AS ({CORPUS['lines']}), g AS ({gram_rows('c', 's', 'id, len')}) SELECT {SHOWN} AS gram, occ, n, chars FROM (SELECT gram, occ, count(*) AS n, CAST(sum(len) AS BIGINT) AS chars FROM g GROUP BY gram, occ)",
     "posting_lengths": f"WITH c AS ({CORPUS['titles']}), g AS ({gram_rows('c', 's', 'id')}), n AS (SELECT gram, count(DISTINCT id) AS strings FROM g GROUP BY gram) SELECT strings, count(*) AS grams FROM n GROUP BY strings",
     "gram_probe": probed(20, "bag"),
     "gram_probe_set": probed(10, "set"),
@@ -199,7 +202,7 @@ SELECT 1 AS qid, round(max(0.5 * far - 0.5 * near), 6) AS balance_score FROM x J
     "asof_version": "SELECT a.event_id, arg_max(b.event_id, (b.ts, b.event_id)) AS view_id FROM events a JOIN events b ON a.user_id = b.user_id AND b.event_type = 'view' AND b.ts <= a.ts WHERE a.event_type = 'purchase' GROUP BY a.event_id",
     "win_running_count": f"{LINES}, n AS (SELECT qid, dist, count(*) AS n FROM d GROUP BY qid, dist) SELECT qid, dist, n, CAST(sum(n) OVER w AS BIGINT) AS running, n - coalesce(lag(n) OVER w, 0) AS change FROM n WINDOW w AS (PARTITION BY qid ORDER BY dist)",
     "fn_surface": "SELECT event_type, CAST(sum(CAST(json_extract_string(props, '$.k') AS BIGINT)) AS BIGINT) AS k, round(avg(abs(value)), 6) AS size, strftime(max(ts), '%Y-%m-%d') AS last_day FROM events GROUP BY event_type",
-    "udtf_grams": f"WITH c AS ({CORPUS['names']}) {gram_rows('c', 's', 'id')}",
+    "udtf_grams": f"WITH c AS ({CORPUS['names']}) SELECT id, {SHOWN} AS gram, occ FROM ({gram_rows('c', 's', 'id')})",
     "sql_relax": f"{NAME}, {relaxed(SMALL)} SELECT id, dist FROM r",
     "udf_distance": f"{NAME} SELECT id, dist FROM d",
     "stream_tumbling": "SELECT strftime(date_trunc('hour', ts), '%Y-%m-%d %H:%M:%S') AS start, event_type, count(*) AS n, round(sum(value), 4) AS total FROM events GROUP BY 1, 2",

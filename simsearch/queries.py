@@ -194,7 +194,7 @@ def relax_gallop(spark, sf_dir):
 @query
 def relax_index(spark, sf_dir):
     c, q = line_setting(spark, sf_dir)
-    return _relaxed(relax(c, q, USUAL, eps_start=5, engine="index", index=gram_index.GramIndex(c, gram_index.postings(c))))
+    return _relaxed(relax(c, q, USUAL, eps_start=5, engine="index", index=gram_index.GramIndex(c, gram_index.postings(c).persist())))
 
 
 @query
