@@ -45,7 +45,7 @@ def final_threshold(dists: DataFrame, goal: Goal, *, eps_start: int = 1, step: i
     need = F.min(F.when(F.col("n") >= goal.least, F.col("dist") + (0 if inclusive else 1)))
     at = counts.withColumn("n", running).groupBy("qid").agg(need.alias("need"))
     grid = F.lit(eps_start) + F.lit(step) * F.ceil(F.greatest(F.col("need") - eps_start, F.lit(0)) / step)
-    return at.select("qid", grid.cast("int").alias("eps_final"))
+    return at.select("qid", F.when(F.col("need").isNotNull(), grid.cast("int")).alias("eps_final"))
 
 
 def cap(rows: DataFrame, goal: Goal, order: list[str]) -> DataFrame:
@@ -99,25 +99,25 @@ def _gallop(corpus, queries, goal, eps_start, search):
 
 
 def _rounds(corpus, queries, goal, eps_start, step, inclusive, tie_order):
-    """One limit after another, as the method is told: for tests and to see what rounds cost."""
+    """One limit after another, as the method is told, on the counts per distance: at most one row per query and
+    distance comes to the driver, never strings."""
     dists = range_scan(corpus, queries).persist()
-    top = max(dists.agg(F.max("dist")).first()[0] or 0, 0) + 1
-    eps, taken, open_, number = eps_start, None, queries.select("qid"), 0
-    while True:
-        inside = F.col("dist") <= eps if inclusive else F.col("dist") < eps
-        fresh = dists.where(inside).join(F.broadcast(open_), "qid", "left_semi")
-        if taken is not None:
-            fresh = fresh.join(taken.select("qid", "id"), ["qid", "id"], "left_anti")
-        fresh = fresh.withColumns({"round": F.lit(number), "eps_final": F.lit(eps)})
-        taken = (fresh if taken is None else taken.unionByName(fresh)).persist()
-        full = taken.groupBy("qid").count().where(F.col("count") >= goal.least).select("qid")
-        open_ = open_.join(F.broadcast(full), "qid", "left_anti").persist()
-        if eps > top or not open_.limit(1).count():
-            break
-        eps, number = eps + step, number + 1
-    ends = taken.groupBy("qid").agg(F.max("eps_final").alias("e")).join(F.broadcast(open_.withColumn("exhausted", F.lit(True))), "qid", "left")
-    rows = taken.drop("eps_final").join(F.broadcast(ends), "qid").withColumns({"exhausted": F.coalesce("exhausted", F.lit(False))}).withColumn("eps_final", F.when(~F.col("exhausted"), F.col("e")))
-    return cap(rows, goal, ["round", "id"] if tie_order == "arrival" else ["dist", "id"]).select("qid", "id", "s", "dist", "round", "eps_final", "exhausted")
+    counts: dict[int, dict[int, int]] = {}
+    for qid, dist, n in dists.groupBy("qid", "dist").count().collect():
+        counts.setdefault(qid, {})[dist] = n
+    limits = []
+    for qid, held in counts.items():
+        eps, taken, top = eps_start, 0, max(held)
+        left = dict(held)
+        while True:
+            for dist in [d for d in left if (d <= eps if inclusive else d < eps)]:
+                taken += left.pop(dist)
+            if taken >= goal.least or not left or eps > top:
+                break
+            eps += step
+        limits.append((qid, eps if taken >= goal.least else None))
+    frame = dists.sparkSession.createDataFrame(limits, "qid int, eps_final int")
+    return take(dists, frame, goal, eps_start, step, inclusive, tie_order)
 
 
 def relax_if_empty(corpus: DataFrame, queries: DataFrame, eps: int) -> DataFrame:
