@@ -20,19 +20,19 @@ _held: dict = {}
 
 
 class Encoder:
-    def __init__(self, path: str, *, specials_as_text: bool = False, cache_size: int = 600_000, longest: int = 200):
+    def __init__(self, path: str, *, specials_as_text: bool = False, cache_size: int = 500_000, longest: int = 200):
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
         self.tokenizer.encode_special_tokens = specials_as_text
         self.cache: dict[str, bytes] = {}
-        self.again: set[str] = set()  # parts met again since the cache was last cut back
+        self.older: dict[str, bytes] = {}  # the cache before it was last begun anew
         self.cache_size, self.longest = cache_size, longest
         joint = self._ids(_JOINT)
         self.joint = joint[0] if len(joint) == 1 else None
 
     def _ids(self, text: str) -> list[int]:
-        return self.tokenizer.encode(text, add_special_tokens=False).ids
+        return self.tokenizer.encode_batch_fast([text], add_special_tokens=False)[0].ids  # no offsets, the same ids
 
     def _whole(self, text: str) -> bytes:
         return np.array(self._ids(text), "<u4").tobytes()
@@ -69,29 +69,34 @@ class Encoder:
     def encode(self, texts: list[str]) -> list[bytes]:
         """Ids of every text as little-endian unsigned 32-bit integers."""
         out: list = [None] * len(texts)
-        cut: list[tuple[int, list[str]]] = []
-        wanted: set[str] = set()
+        cut: list[tuple[int, int, int]] = []
+        parts: list[str] = []
         for i, t in enumerate(texts):
             if not t:
                 out[i] = b""
             elif _UNSAFE.search(t):
                 out[i] = self._whole(t)
             else:
-                parts = t.split(" ")
-                cut.append((i, parts))
-                wanted.update(parts[1:])
-        known = wanted & self.cache.keys()
-        self.again |= known
+                begin = len(parts)
+                parts += t.split(" ")
+                cut.append((i, begin, len(parts)))
         if len(self.cache) > self.cache_size:
-            stay = self.again if len(self.again) < self.cache_size // 2 else known
-            self.cache = {p: self.cache[p] for p in stay}
-            self.again = set()
-        self._learn(wanted - self.cache.keys())
-        get = self.cache.__getitem__
-        for i, parts in cut:
-            out[i] = self._whole(parts[0]) + b"".join(map(get, parts[1:]))
-        for p in [p for p in wanted if len(p) > self.longest]:
-            del self.cache[p]
+            self.cache, self.older = {}, self.cache
+        heads = [(b, parts[b]) for _, b, _ in cut]
+        for b, _ in heads:
+            parts[b] = ""  # has no space before it
+        missing = set(parts).difference(self.cache)
+        missing.discard("")
+        back = missing & self.older.keys()
+        self.cache.update((p, self.older[p]) for p in back)
+        self._learn(missing - back)
+        self.cache.setdefault("", self._whole(" "))
+        ids = list(map(self.cache.__getitem__, parts))
+        for (i, b, e), (_, head) in zip(cut, heads):
+            ids[b] = self._whole(head)
+            out[i] = b"".join(ids[b:e])
+        for p in [p for p in missing if len(p) > self.longest]:
+            self.cache.pop(p, None)
         return out
 
 

@@ -41,8 +41,17 @@ def frequent_pairs(x: np.ndarray, ends: np.ndarray, most: int, least: int):
     counts[-1] = 0
     floor = max(least, int(np.partition(counts, -most)[-most]))
     at = np.flatnonzero((counts >= floor)[cell])
-    pairs, number, n = np.unique((left[at].astype(np.uint64) << np.uint64(32)) | right[at], return_inverse=True, return_counts=True)
-    good = n >= floor
+    # one pair speaks for each heavy cell; only its own occurrences count
+    number = np.zeros((1 << _BUCKET_BITS) + 1, np.int32)
+    heavy = np.flatnonzero(counts >= floor)
+    number[heavy] = np.arange(len(heavy), dtype=np.int32)
+    number = number[cell[at]]
+    speaks = np.zeros(len(heavy), np.int64)
+    speaks[number[::-1]] = at[::-1]
+    same = (left[at] == left[speaks][number]) & (right[at] == right[speaks][number])
+    at, number = at[same], number[same]
+    good = np.bincount(number, minlength=len(heavy)) >= floor
+    pairs = (left[speaks].astype(np.uint64) << np.uint64(32) | right[speaks])[good]
     rank = np.cumsum(good) - 1
     use = good[number]
     at, number = at[use], rank[number[use]]
@@ -52,10 +61,10 @@ def frequent_pairs(x: np.ndarray, ends: np.ndarray, most: int, least: int):
         place = np.arange(len(at)) - np.repeat(begins, np.diff(np.append(begins, len(at))))
         keep = place % 2 == 0
         at, number = at[keep], number[keep]
-    return at, number, pairs[good]
+    return at, number, pairs
 
 
-def compress(x: np.ndarray, ends: np.ndarray, first_rule: int, *, passes: int = 8, rules_per_pass: int = 1024, least: int = 16):
+def compress(x: np.ndarray, ends: np.ndarray, first_rule: int, *, passes: int = 4, rules_per_pass: int = 2048, least: int = 16):
     """Symbols, new document ends, rules (left, right) and expansion lengths of the rules."""
     x, ends = x.astype(np.uint32), ends.copy()
     rules: list[np.ndarray] = []
@@ -179,7 +188,7 @@ def write_shards(docs: DataFrame, path: str, tokenizer: str, *, end_id: int = 2,
 
     fields = {"int": pa.int32(), "long": pa.int64(), "binary": pa.binary()}
     schema = pa.schema([(n, fields[t]) for n, t in (f.split() for f in SHARD.split(", "))])
-    ordered = docs.select("doc_id", "text").repartitionByRange(F.col("doc_id"), F.col("text")).sortWithinPartitions("doc_id", "text")
+    ordered = docs.select("doc_id", "text").repartitionByRange(F.col("doc_id")).sortWithinPartitions("doc_id", "text")
     ordered.mapInArrow(run, SHARD).write.parquet(path)
 
 
