@@ -34,7 +34,7 @@ _BI = pow(_B, -1, 1 << 64)
 _BLANK = np.zeros(256, bool)
 _BLANK[[9, 10, 11, 12, 13, 32]] = True
 _powers: dict[str, np.ndarray] = {}
-BITMAPS = 4
+BITMAPS = 16
 
 
 def powers(n: int) -> tuple[np.ndarray, np.ndarray]:
@@ -185,16 +185,23 @@ def signature_rows(docs: DataFrame, n: int, percent: int, parts: int) -> DataFra
     return docs.select("text").mapInArrow(run, "sig long, cls long")
 
 
+def sided(rows: DataFrame, side: str) -> DataFrame:
+    return rows.select(*[F.col(c).alias(f"{side}_{c}") for c in rows.columns])
+
+
+def may_be_similar(percent: int):
+    """Of two sides l_ and r_: true unless sizes or parity bitmaps prove that the sets are not similar."""
+    differ = sum((F.bit_count(F.col(f"l_p{i}").bitwiseXOR(F.col(f"r_p{i}"))) for i in range(1, BITMAPS)), F.bit_count(F.col("l_p0").bitwiseXOR(F.col("r_p0"))))
+    sizes = F.least("l_n", "r_n") * 100 >= F.greatest("l_n", "r_n") * percent
+    return sizes & (differ * (100 + percent) <= (F.col("l_n") + F.col("r_n")) * (100 - percent))
+
+
 def similar_pairs(pairs: DataFrame, classes: DataFrame, docs: DataFrame, n: int, percent: int) -> DataFrame:
     """Those of pairs (a, b) of classes whose sets are similar, by their whole sets.
 
     Sizes and parity bitmaps first: both only drop pairs that cannot be similar."""
     small = classes.select("cls", "n", *[f"p{i}" for i in range(BITMAPS)])
-    side = lambda s: small.select(*[F.col(c).alias(f"{s}_{c}") for c in small.columns])
-    both = pairs.join(side("l"), F.col("a") == F.col("l_cls")).join(side("r"), F.col("b") == F.col("r_cls"))
-    differ = sum((F.bit_count(F.col(f"l_p{i}").bitwiseXOR(F.col(f"r_p{i}"))) for i in range(1, BITMAPS)), F.bit_count(F.col("l_p0").bitwiseXOR(F.col("r_p0"))))
-    total = F.col("l_n") + F.col("r_n")
-    both = both.where((F.least("l_n", "r_n") * 100 >= F.greatest("l_n", "r_n") * percent) & (differ * (100 + percent) <= total * (100 - percent)))
+    both = pairs.join(sided(small, "l"), F.col("a") == F.col("l_cls")).join(sided(small, "r"), F.col("b") == F.col("r_cls")).where(may_be_similar(percent))
     both = common.materialize(both.select("a", "b"), "pairs")
     wanted = both.select(F.col("a").alias("cls")).union(both.select("b")).distinct().join(classes.select("cls", "rep"), "cls")
 
@@ -219,19 +226,39 @@ def similar_pairs(pairs: DataFrame, classes: DataFrame, docs: DataFrame, n: int,
     return common.materialize(joined.select("a", "b", "x", "y").mapInArrow(compare, "a long, b long"), "similar")
 
 
-def link_classes(docs: DataFrame, *, n: int = 5, percent: int = 80, parts: int | None = None) -> tuple[DataFrame, DataFrame]:
+def shared_signatures(docs: DataFrame, n: int, percent: int, parts: int, slices: int) -> DataFrame:
+    """(sig, cls, low) of signatures that several classes have; low is the smallest of them.
+
+    A lower similarity needs more signatures. They are written once and worked on in slices of their values, so that the
+    shuffles of only one slice lie on disk at a time."""
+    sigs = signature_rows(docs, n, percent, parts)
+
+    def members(some: DataFrame) -> DataFrame:
+        # one row per signature, summed before the shuffle, then the members of those that have several
+        several = some.groupBy("sig").agg(F.min("cls").alias("low"), F.max("cls").alias("high")).where("low != high").select("sig", "low")
+        return common.materialize(some.join(several, "sig").distinct(), "members")
+
+    if slices == 1:
+        return members(sigs)
+    held = common.materialize(sigs.withColumn("slice", F.pmod("sig", F.lit(slices)).cast("int")), "signatures", partition_by="slice")
+    out = members(held.where("slice = 0").select("sig", "cls"))
+    for i in range(1, slices):
+        common.release(docs.sparkSession)
+        out = out.union(members(held.where(F.col("slice") == i).select("sig", "cls")))
+    return out
+
+
+def link_classes(docs: DataFrame, *, n: int = 5, percent: int = 80, parts: int = 2, slices: int | None = None) -> tuple[DataFrame, DataFrame]:
     """Rows (doc_id, n, cls) and components (node, component) of the classes, for one link relation."""
-    parts = parts or (2 if percent >= 90 else 3)
+    slices = slices or (1 if percent >= 90 else 4)
     rows = common.materialize(profiles(docs, n), "profiles")
     classes = common.materialize(rows.where("n > 0").groupBy(F.col("d1").alias("cls")).agg(F.min("doc_id").alias("rep"), F.first("n").alias("n"), *[F.first(f"p{i}").alias(f"p{i}") for i in range(BITMAPS)]), "classes")
     # the second half of the digest must agree as well; a clash of first halves would make classes meaningless
     clash = rows.where("n > 0").groupBy("d1").agg(F.min("d2").alias("x"), F.max("d2").alias("y")).where("x != y").limit(1).count()
     if clash:
         raise RuntimeError("two different sets have the same 64-bit digest")
-    sigs = signature_rows(docs, n, percent, parts)
-    # one row per signature, summed before the shuffle, then the members of those that have several
-    several = sigs.groupBy("sig").agg(F.min("cls").alias("low"), F.max("cls").alias("high")).where("low != high").select("sig", "low")
-    members = common.materialize(sigs.join(several, "sig").distinct(), "members")
+    members = shared_signatures(docs, n, percent, parts, slices)
+    common.release(docs.sparkSession)
     stars = members.where("cls != low").select(F.col("low").alias("a"), F.col("cls").alias("b")).distinct()
     links = similar_pairs(stars, classes, docs, n, percent)
     found = common.materialize(components(links), "components")
@@ -239,8 +266,12 @@ def link_classes(docs: DataFrame, *, n: int = 5, percent: int = 80, parts: int |
     marked = members.join(label, F.col("cls") == F.col("node"), "left").select("sig", "cls", "low", F.coalesce("component", "cls").alias("comp"))
     open_ = marked.groupBy("sig").agg(F.min("comp").alias("x"), F.max("comp").alias("y")).where("x != y").select("sig")
     rest = common.materialize(marked.join(open_, "sig"), "open")
-    left, right = rest.select("sig", F.col("cls").alias("a"), F.col("comp").alias("ca"), F.col("low")), rest.select("sig", F.col("cls").alias("b"), F.col("comp").alias("cb"))
-    across = left.join(right, "sig").where((F.col("a") < F.col("b")) & (F.col("ca") != F.col("cb")) & (F.col("a") != F.col("low"))).select("a", "b").distinct()
+    # compared inside the join: of classes that share a signature by chance or by a common passage nothing is emitted
+    bits = classes.select(F.col("cls").alias("k"), "n", *[f"p{i}" for i in range(BITMAPS)])
+    rest = common.materialize(rest.join(bits, F.col("cls") == F.col("k")).drop("k"), "open")
+    left, right = sided(rest, "l"), sided(rest, "r")
+    pair = (F.col("l_sig") == F.col("r_sig")) & (F.col("l_cls") < F.col("r_cls")) & (F.col("l_comp") != F.col("r_comp")) & (F.col("l_cls") != F.col("l_low"))
+    across = left.join(right, pair & may_be_similar(percent)).select(F.col("l_cls").alias("a"), F.col("r_cls").alias("b")).distinct()
     more = similar_pairs(across, classes, docs, n, percent)
     return rows, common.materialize(components(links.union(more)), "components")
 
