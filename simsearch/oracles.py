@@ -111,7 +111,7 @@ _lines = f"{LINES}, {relaxed(USUAL, start=30)}, {ranked(USUAL)}"
 _near = "n AS (SELECT qid, id, s, dist FROM d QUALIFY row_number() OVER (PARTITION BY qid ORDER BY dist, id) <= 25)"
 _two = f"{_lines}, {_near}, b AS (SELECT 'relax_rank' AS method, qid, id, s, dist FROM k UNION ALL SELECT 'nearest', qid, id, s, dist FROM n)"
 _aligned = "WITH a AS (SELECT * FROM (VALUES (1, 1, '---gttag'), (1, 2, 'acag---g'), (1, 3, '-cagttag')) AS v(qid, id, r)), x AS (SELECT qid, id, i AS pos, substring(r, CAST(i AS BIGINT), 1) AS ch FROM a, unnest(range(1, length(r) + 1)) AS u(i))"
-_motif = "SELECT qid, string_agg(ch, '' ORDER BY pos) AS motif FROM (SELECT qid, pos, ch, count(*) AS n FROM x {0} GROUP BY ALL QUALIFY row_number() OVER (PARTITION BY qid, pos ORDER BY count(*) DESC, ch = '-', ch) = 1) WHERE ch <> '-' GROUP BY qid"
+_motif = "SELECT qid, string_agg(ch, '' ORDER BY pos) AS motif FROM (SELECT * FROM (SELECT qid, pos, ch, count(*) AS n FROM x {0} GROUP BY qid, pos, ch) QUALIFY row_number() OVER (PARTITION BY qid, pos ORDER BY n DESC, ch = '-', ch) = 1) WHERE ch <> '-' GROUP BY qid"
 _e = "WITH e AS (SELECT vec_id AS id, embedding::DOUBLE[64] AS vec, label AS cid FROM embeddings), f AS (SELECT id, cid, i, vec[i] AS x FROM e, unnest(range(1, 65)) AS u(i))"
 _mean = f"{_e}, m AS (SELECT cid, list(x ORDER BY i)::DOUBLE[64] AS centre FROM (SELECT cid, i, avg(x) AS x FROM f GROUP BY ALL) GROUP BY cid), g AS (SELECT a.cid AS src, b.cid AS dst, array_distance(a.centre, b.centre) AS w FROM m a JOIN m b ON a.cid <> b.cid)"
 _walk = f"WITH c AS ({CORPUS['names']}), t AS (SELECT *, CAST(dense_rank() OVER (ORDER BY levenshtein(w, 'ring'), w) - 1 AS INTEGER) AS hop FROM (SELECT *, regexp_extract(s, '^\\S+ (.*)$', 1) AS w FROM c)), v AS (SELECT 1 AS qid, hop AS cid, hop, id, levenshtein(s, 'small ring') AS vdist FROM t WHERE hop < 4)"
@@ -179,7 +179,7 @@ ORACLE: dict[str, str] = {
     "motif_fixed": f"{_aligned} {_motif.format('')}",
     "udaf_motif": f"{_aligned} {_motif.format('')}",
     "motif_nogap": f"{_aligned} " + _motif.format("WHERE ch <> '-'"),
-    "token_segments": f"SELECT doc_id, CAST(len(list_filter(regexp_split_to_array(lower({fold('text')}), '[^0-9a-z?]+'), w -> w <> '')) AS INTEGER) AS words FROM documents WHERE lang = 'en'",
+    "token_segments": f"SELECT doc_id, CAST(len(list_filter(regexp_split_to_array(lower({fold('text')}), '[^0-9a-z?]+'), lambda w: w <> '')) AS INTEGER) AS words FROM documents WHERE lang = 'en'",
     "knn_embeddings": f"{_e} SELECT q.id AS qid, e.id, CAST(row_number() OVER (PARTITION BY q.id ORDER BY array_distance(q.vec, e.vec), e.id) AS INTEGER) AS rank FROM e JOIN e q ON q.id < 10 AND e.id <> q.id QUALIFY rank <= 5",
     "centre_graph": f"{_mean} SELECT src, dst, round(w, 4) AS w FROM g",
     "centre_median": f"{_e} SELECT cid, CAST(i - 1 AS INTEGER) AS component, round(quantile_cont(x, 0.5), 5) AS x FROM f GROUP BY cid, i",

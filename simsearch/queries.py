@@ -527,7 +527,8 @@ def knn_accuracy(spark, sf_dir):
     d = src.table(spark, sf_dir, "documents").select(F.col("doc_id").alias("id"), "lang", F.substring(src.fold(F.col("text")), 1, 400).alias("s")).where("length(s) >= 40")
     v = clusters.hashed_grams(src.spread(d), dims=64).withColumn("cid", F.dense_rank().over(Window.partitionBy(F.lit(0)).orderBy("lang"))).persist()
     got = clusters.classify(v.select(F.col("id").alias("qid"), "vec").where("qid % 10 = 0"), clusters.training_sample(v, 0.05), 5)
-    return got.join(v, got.qid == v.id).agg(F.count(F.lit(1)).alias("n"), (F.avg((got.cid == v.cid).cast("double")) >= 0.95).alias("good"))
+    truth = v.select(F.col("id").alias("qid"), F.col("cid").alias("true_cid"))
+    return got.join(truth, "qid").agg(F.count(F.lit(1)).alias("n"), (F.avg((F.col("cid") == F.col("true_cid")).cast("double")) >= 0.95).alias("good"))
 
 
 def _word_clusters(spark, sf_dir):
