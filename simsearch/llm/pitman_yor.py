@@ -33,9 +33,12 @@ END = b""  # no word is empty
 BEGIN_CLASS = 0
 
 
-def chunks(docs: DataFrame, classes: int, chunk_bytes: int = 12 << 20) -> DataFrame:
-    """One written table with two kinds of rows. Vocabulary rows: chunk, word, ctx, code, n (training customers).
-    Document rows: chunk, doc_id, held_out, tokens (codes of its tokens)."""
+def chunks(docs: DataFrame, classes: int, chunk_bytes: int = 24 << 20) -> DataFrame:
+    """One written table with two kinds of rows. Vocabulary rows, one per word of a chunk: chunk, word, code, mask, n.
+    mask has a bit per context in which the chunk has the word, code is the number of its first (word, context) pair, n
+    the training customers per context. Document rows: chunk, doc_id, held_out, tokens (numbers of its pairs)."""
+    if not 2 <= classes <= 30:
+        raise ValueError("2 to 30 context classes")
 
     def run(batches):
         from pyspark import TaskContext
@@ -43,61 +46,58 @@ def chunks(docs: DataFrame, classes: int, chunk_bytes: int = 12 << 20) -> DataFr
         part, serial = TaskContext.get().partitionId(), 0
         codes: dict[bytes, int] = {}
         cls: list[int] = []
-        pairs: dict[int, int] = {}  # word code * classes + ctx -> code of the pair
-        counts: list[int] = []
-        held: list = []
+        held: list = []  # per document: id, held_out, word codes
         size = 0
 
         def close():
-            chunk = (part << 32) + serial
-            words = np.array(list(codes.keys()), object)
-            key = np.fromiter(pairs.keys(), np.int64, len(pairs))
-            for a in range(0, len(key), 200_000):
-                k = key[a : a + 200_000]
-                n = len(k)
-                yield batch_of(n, chunk=pa.array(np.full(n, chunk)), word=pa.array(words[k // classes], pa.binary()), ctx=pa.array((k % classes).astype(np.int32)), code=pa.array(np.arange(a, a + n, dtype=np.int32)), n=pa.array(np.array(counts[a : a + n], np.int64)))
+            chunk, words = (part << 32) + serial, list(codes)
+            kind = np.array(cls, np.int64)
+            flat = np.concatenate([x[2] for x in held])
+            ends = np.cumsum([len(x[2]) for x in held])
+            before = np.full(len(flat), BEGIN_CLASS)
+            before[1:] = kind[flat[:-1]]
+            before[ends[:-1]] = BEGIN_CLASS
+            key = flat * classes + before
+            trained = np.repeat([not x[1] for x in held], np.diff(ends, prepend=0))
+            n = np.bincount(key[trained], minlength=len(words) * classes)
+            there = np.bincount(key, minlength=len(words) * classes) > 0
+            number = np.cumsum(there) - 1
+            mask = (there.reshape(-1, classes) << np.arange(classes)).sum(1).astype(np.int32)
+            first = number.reshape(-1, classes)[np.arange(len(words)), there.reshape(-1, classes).argmax(1)].astype(np.int32)
+            for a in range(0, len(words), 100_000):
+                w = words[a : a + 100_000]
+                offsets = np.arange(0, (len(w) + 1) * classes, classes, dtype=np.int32)
+                yield batch_of(len(w), chunk=pa.array(np.full(len(w), chunk)), word=pa.array(w, pa.binary()), code=pa.array(first[a : a + len(w)]), mask=pa.array(mask[a : a + len(w)]), n=pa.ListArray.from_arrays(pa.array(offsets), pa.array(n[a * classes : (a + len(w)) * classes].astype(np.int64))))
+            tokens = number[key].astype("<u4")
             for a in range(0, len(held), 2000):
                 h = held[a : a + 2000]
-                n = len(h)
-                yield batch_of(n, chunk=pa.array(np.full(n, chunk)), doc_id=pa.array([x[0] for x in h], pa.int64()), held_out=pa.array([x[1] for x in h]), tokens=pa.array([x[2] for x in h], pa.binary()))
+                own = [zlib.compress(tokens[e - len(x[2]) : e].tobytes(), 6) for x, e in zip(h, ends[a : a + 2000].tolist())]
+                yield batch_of(len(h), chunk=pa.array(np.full(len(h), chunk)), doc_id=pa.array([x[0] for x in h], pa.int64()), held_out=pa.array([x[1] for x in h]), tokens=pa.array(own, pa.binary()))
 
         for batch in common.by_bytes(batches, lambda b: [len(v or "") for v in b.column("text").to_pylist()], 2 << 20):
             for doc_id, out, text in zip(batch.column("doc_id").to_pylist(), batch.column("held_out").to_pylist(), common.utf8(batch.column("text").to_pylist())):
                 tokens = text.lower().split()
                 tokens.append(END)
-                own = []
-                before = BEGIN_CLASS
                 for w in tokens:
-                    c = codes.get(w)
-                    if c is None:
-                        c = codes[w] = len(codes)
+                    if w not in codes:
+                        codes[w] = len(codes)
                         cls.append(1 + zlib.crc32(w) % (classes - 1))
-                    k = c * classes + before
-                    p = pairs.get(k)
-                    if p is None:
-                        p = pairs[k] = len(pairs)
-                        counts.append(0)
-                    own.append(p)
-                    before = cls[c]
-                if not out:
-                    for p in own:
-                        counts[p] += 1
-                held.append((doc_id, out, zlib.compress(np.array(own, "<u4").tobytes(), 1)))
+                held.append((doc_id, out, np.fromiter(map(codes.__getitem__, tokens), np.int64, len(tokens))))
                 size += len(text) + 64
             if size >= chunk_bytes:
                 yield from close()
-                codes, cls, pairs, counts, held, size = {}, [], {}, [], [], 0
+                codes, cls, held, size = {}, [], [], 0
                 serial += 1
         if held:
             yield from close()
 
-    schema = pa.schema([("chunk", pa.int64()), ("word", pa.binary()), ("ctx", pa.int32()), ("code", pa.int32()), ("n", pa.int64()), ("doc_id", pa.int64()), ("held_out", pa.bool_()), ("tokens", pa.binary())])
+    schema = pa.schema([("chunk", pa.int64()), ("word", pa.binary()), ("code", pa.int32()), ("mask", pa.int32()), ("n", pa.list_(pa.int64())), ("doc_id", pa.int64()), ("held_out", pa.bool_()), ("tokens", pa.binary())])
 
     def batch_of(size, /, **columns):
         return pa.RecordBatch.from_arrays([columns.get(f.name, pa.nulls(size, f.type)) for f in schema], schema=schema)
 
     marked = docs.select("doc_id", "text", (common.crc_mod(F.col("doc_id"), 10) == 0).alias("held_out"))
-    return common.materialize(marked.mapInArrow(run, "chunk long, word binary, ctx int, code int, n long, doc_id long, held_out boolean, tokens binary"), "lm-chunks")
+    return common.materialize(marked.mapInArrow(run, "chunk long, word binary, code int, mask int, n array<long>, doc_id long, held_out boolean, tokens binary"), "lm-chunks")
 
 
 def log_gamma(x: np.ndarray) -> np.ndarray:
@@ -161,7 +161,7 @@ class Totals:
 
 
 def sweep(words: DataFrame, totals: Totals | None, number: int, classes: int, seed: int) -> DataFrame:
-    """One Gibbs sweep over all dishes. words: word, ctx (array), n (array), t (array), r; the last two are the seating."""
+    """One Gibbs sweep over all dishes. words: word, n and t (per context), r; the last two are the seating."""
     sent = words.sparkSession.sparkContext.broadcast(totals)
 
     def run(batches):
@@ -169,88 +169,88 @@ def sweep(words: DataFrame, totals: Totals | None, number: int, classes: int, se
             names = batch.column("word").to_pylist()
             if not names:
                 continue
-            ctx, n = batch.column("ctx"), batch.column("n").flatten().to_numpy(zero_copy_only=False)
-            sizes = np.diff(ctx.offsets.to_numpy())
-            flat, dish = ctx.flatten().to_numpy(zero_copy_only=False), np.repeat(np.arange(len(names)), sizes)
+            n = batch.column("n").flatten().to_numpy(zero_copy_only=False).reshape(-1, classes)
             # reproducible wherever a batch begins or ends: the seed is of the words themselves
             rng = np.random.default_rng([seed, number, zlib.crc32(b"\x00".join(names))])
             info = sent.value
             if info is None:  # a first seating: one table per dish and restaurant
-                t, r = np.ones(len(n), np.int64), np.ones(len(names), np.int64)
+                t, r = (n > 0).astype(np.int64), np.ones(len(names), np.int64)
             else:
-                t, r = batch.column("t").flatten().to_numpy(zero_copy_only=False), batch.column("r").to_numpy()
-                p = info.root(np.bincount(dish, t, len(names)), r)
-                t = seat(n, (info.strength + info.discount * info.tables[flat]) * p[dish], info.discount, rng)
-                below = np.bincount(dish, t, len(names)).astype(np.int64)
-                r = seat(below, np.full(len(names), (info.strength + info.discount * info.root_tables) / (info.known + 1)), info.discount, rng)
-            lists = pa.ListArray.from_arrays(pa.array(np.concatenate(([0], np.cumsum(sizes))).astype(np.int32)), pa.array(t))
-            yield pa.RecordBatch.from_arrays([batch.column("word"), ctx, batch.column("n"), lists, pa.array(r)], names=["word", "ctx", "n", "t", "r"])
+                t, r = batch.column("t").flatten().to_numpy(zero_copy_only=False).reshape(-1, classes), batch.column("r").to_numpy()
+                p = info.root(t.sum(1), r)
+                push = (info.strength + info.discount * info.tables)[None] * p[:, None]
+                t = seat(n.ravel(), push.ravel(), info.discount, rng).reshape(-1, classes)
+                r = seat(t.sum(1), np.full(len(names), (info.strength + info.discount * info.root_tables) / (info.known + 1)), info.discount, rng)
+            lists = pa.ListArray.from_arrays(pa.array(np.arange(0, (len(names) + 1) * classes, classes, dtype=np.int32)), pa.array(t.ravel()))
+            yield pa.RecordBatch.from_arrays([batch.column("word"), batch.column("n"), lists, pa.array(r)], names=["word", "n", "t", "r"])
 
-    return words.mapInArrow(run, "word binary, ctx array<int>, n array<long>, t array<long>, r long")
+    return words.mapInArrow(run, "word binary, n array<long>, t array<long>, r long")
 
 
 def totals_of(words: DataFrame, classes: int, strength: float, discount: float) -> Totals:
-    per = words.select(F.explode(F.arrays_zip("ctx", "n", "t")).alias("x")).groupBy("x.ctx").agg(F.sum("x.n").alias("n"), F.sum("x.t").alias("t")).collect()  # one row per context class
-    customers, tables = np.zeros(classes), np.zeros(classes)
-    for row in per:
-        customers[row.ctx], tables[row.ctx] = row.n, row.t
-    known, root = words.agg(F.count(F.lit(1)), F.coalesce(F.sum("r"), F.lit(0))).first()
-    return Totals(customers, tables, root, known, strength, discount)
+    """One row of sums: customers and tables per context class, known words, tables of the parent."""
+    sums = [F.coalesce(F.sum(F.col(c)[i]), F.lit(0)).alias(f"{c}{i}") for c in ("n", "t") for i in range(classes)]
+    row = words.agg(*sums, F.count(F.lit(1)).alias("known"), F.coalesce(F.sum("r"), F.lit(0)).alias("root")).first()
+    of = lambda c: np.array([row[f"{c}{i}"] for i in range(classes)], float)
+    return Totals(of("n"), of("t"), row.root, row.known, strength, discount)
 
 
 def fit(parts: DataFrame, *, classes: int, burn_in: int = 1, samples: int = 2, strength: float = 1.0, discount: float = 0.5, seed: int = 1) -> list[tuple[DataFrame, Totals]]:
     """The seatings after each kept sweep, with their totals."""
-    pairs = parts.where(F.col("word").isNotNull() & (F.col("n") > 0)).groupBy("word", "ctx").agg(F.sum("n").alias("n"))
-    # at most one entry per context class
-    words = pairs.groupBy("word").agg(F.sort_array(F.collect_list(F.struct("ctx", "n"))).alias("x")).select("word", F.col("x.ctx").alias("ctx"), F.col("x.n").alias("n"))
-    state = common.materialize(sweep(words.withColumns({"t": F.lit(None).cast("array<long>"), "r": F.lit(None).cast("long")}), None, 0, classes, seed), "lm-seating")
+    spark = parts.sparkSession
+    vocabulary = parts.where(F.col("word").isNotNull()).select("word", *[F.col("n")[i].alias(f"n{i}") for i in range(classes)])
+    words = vocabulary.groupBy("word").agg(*[F.sum(f"n{i}").alias(f"n{i}") for i in range(classes)])
+    counts = [F.col(f"n{i}") for i in range(classes)]
+    words = words.where(sum(counts[1:], counts[0]) > 0).select("word", F.array(*counts).alias("n"), F.lit(None).cast("array<long>").alias("t"), F.lit(None).cast("long").alias("r"))
+    state = common.materialize(sweep(words, None, 0, classes, seed), "lm-seating")
     out = []
     for number in range(1, burn_in + samples + 1):
         totals = totals_of(state, classes, strength, discount)
         state = common.materialize(sweep(state, totals, number, classes, seed), "lm-seating")
+        common.release(spark)
         if number > burn_in:
             out.append((state, totals_of(state, classes, strength, discount)))
     return out
 
 
-def predictive(kept: list[tuple[DataFrame, Totals]]) -> tuple[DataFrame, dict]:
-    """Per known word: count, per context its averaged probability, per sample the parent's probability."""
-    table = None
+def predictive(kept: list[tuple[DataFrame, Totals]]) -> DataFrame:
+    """Per known word: training count c, customers n per context, tables t<i> and parent's probability p<i> per sample.
+
+    Samples are united and folded by word, which is one shuffle for any number of them."""
+    every = None
     for i, (state, totals) in enumerate(kept):
         s, d, total = totals.strength, totals.discount, float(totals.tables.sum())
         tables = F.aggregate("t", F.lit(0).cast("long"), lambda a, x: a + x)
         p = (F.greatest(tables - d * F.col("r"), F.lit(0.0)) + (s + d * totals.root_tables) / (totals.known + 1)) / (s + total)
-        one = state.select("word", *(["ctx", "n"] if i == 0 else []), F.col("t").alias(f"t{i}"), p.alias(f"p{i}"))
-        table = one if table is None else table.join(one, "word")
-    return table, {}
+        one = state.select("word", "n", *[F.col("t").alias(f"t{j}") if i == j else F.lit(None).cast("array<long>").alias(f"t{j}") for j in range(len(kept))], *[p.alias(f"p{j}") if i == j else F.lit(None).cast("double").alias(f"p{j}") for j in range(len(kept))])
+        every = one if every is None else every.unionByName(one)
+    folded = every.groupBy("word").agg(F.first("n").alias("n"), *[F.first(f"{c}{j}", ignorenulls=True).alias(f"{c}{j}") for c in ("t", "p") for j in range(len(kept))])
+    return folded.withColumn("c", F.aggregate("n", F.lit(0).cast("long"), lambda a, x: a + x))
 
 
-def context_values(kept: list[tuple[DataFrame, Totals]], classes: int) -> list[tuple[np.ndarray, np.ndarray]]:
-    """Per sample: what multiplies the parent's probability in each context, and the context's customers plus strength."""
-    return [((t.strength + t.discount * t.tables) / (t.strength + t.customers), t.strength + t.customers) for _, t in kept]
+def answers(parts: DataFrame, kept: list[tuple[DataFrame, Totals]], classes: int) -> DataFrame:
+    """(chunk, code, lp, c): for every word of every chunk, log10 of the averaged probability in each context in which the
+    chunk has it, and the word's training count."""
+    wanted = parts.where(F.col("word").isNotNull()).select("chunk", "code", "mask", F.col("word").alias("w"))
+    joined = wanted.join(predictive(kept), F.col("w") == F.col("word"), "left")
+    each = lambda values, i: F.element_at(F.array(*[F.lit(float(v)) for v in values]), i + 1)
 
+    def lp(i):
+        prob = F.lit(0.0)
+        for j, (_, t) in enumerate(kept):
+            unknown = ((t.strength + t.discount * t.root_tables) / (t.known + 1)) / (t.strength + float(t.tables.sum()))
+            own = (F.coalesce(F.get("n", i), F.lit(0)) - t.discount * F.coalesce(F.get(f"t{j}", i), F.lit(0))) / each(t.strength + t.customers, i)
+            back = each((t.strength + t.discount * t.tables) / (t.strength + t.customers), i)
+            prob = prob + (own + back * F.coalesce(F.col(f"p{j}"), F.lit(float(unknown)))) / len(kept)
+        return F.log10(prob).cast("float")
 
-def answers(parts: DataFrame, kept: list[tuple[DataFrame, Totals]], classes: int) -> DataFrame:
-    """(chunk, code, lp, c): for every pair of every chunk, log10 of its averaged probability and the word's training count."""
-    table, _ = predictive(kept)
-    values = context_values(kept, classes)
-    total = len(kept)
-    wanted = parts.where(F.col("word").isNotNull()).select("chunk", "code", "word", F.col("ctx").alias("c"))
-    joined = wanted.join(table, "word", "left")
-    place = F.array_position("ctx", F.col("c"))
-    prob = F.lit(0.0)
-    for i, (state_totals, (back, whole)) in enumerate(zip((t for _, t in kept), values)):
-        unknown = ((state_totals.strength + state_totals.discount * state_totals.root_tables) / (state_totals.known + 1)) / (state_totals.strength + float(state_totals.tables.sum()))
-        at = lambda xs: F.element_at(F.array(*[F.lit(float(v)) for v in xs]), F.col("c") + 1)
-        own = F.when(place > 0, (F.try_element_at("n", place.cast("int")) - state_totals.discount * F.try_element_at(f"t{i}", place.cast("int"))) / at(whole)).otherwise(F.lit(0.0))
-        prob = prob + (F.coalesce(own, F.lit(0.0)) + at(back) * F.coalesce(F.col(f"p{i}"), F.lit(float(unknown)))) / total
-    count = F.coalesce(F.aggregate("n", F.lit(0).cast("long"), lambda a, x: a + x), F.lit(0))
-    return joined.select("chunk", "code", F.log10(prob).alias("lp"), count.cast("long").alias("c"))
+    places = F.filter(F.sequence(F.lit(0), F.lit(classes - 1)), lambda i: F.col("mask").bitwiseAND(F.pow(F.lit(2), i).cast("int")) != 0)
+    return joined.select("chunk", "code", F.transform(places, lp).alias("lp"), F.coalesce("c", F.lit(0)).cast("long").alias("c"))
 
 
 def score_chunks(parts: DataFrame, found: DataFrame, tokens: int, known: int) -> DataFrame:
     """Per document: doc_id, held_out, n_tokens, n_known, base_score, score."""
-    docs = parts.where(F.col("tokens").isNotNull()).select("chunk", F.lit(None).cast("int").alias("code"), F.lit(None).cast("double").alias("lp"), F.lit(None).cast("long").alias("c"), "doc_id", "held_out", "tokens")
+    docs = parts.where(F.col("tokens").isNotNull()).select("chunk", F.lit(None).cast("int").alias("code"), F.lit(None).cast("array<float>").alias("lp"), F.lit(None).cast("long").alias("c"), "doc_id", "held_out", "tokens")
     rows = found.select("chunk", "code", "lp", "c", F.lit(None).cast("long").alias("doc_id"), F.lit(None).cast("boolean").alias("held_out"), F.lit(None).cast("binary").alias("tokens"))
     # the answers of a chunk come before its documents: nothing more than one chunk's vocabulary is held
     both = rows.unionByName(docs).repartition("chunk").sortWithinPartitions("chunk", F.col("tokens").isNotNull())
@@ -267,31 +267,37 @@ def score_chunks(parts: DataFrame, found: DataFrame, tokens: int, known: int) ->
                     chunk, parts_of, lp = ids[a], [], None
                 piece = batch.slice(a, b - a)
                 if not is_doc[a]:
-                    parts_of.append((piece.column("code").to_numpy(), piece.column("lp").to_numpy(), piece.column("c").to_numpy()))
+                    lists = piece.column("lp")
+                    sizes = np.diff(lists.offsets.to_numpy())
+                    value = lists.flatten().to_numpy(zero_copy_only=False)
+                    code = np.repeat(piece.column("code").to_numpy() - (np.cumsum(sizes) - sizes), sizes) + np.arange(len(value))
+                    parts_of.append((code, value, np.repeat(piece.column("c").to_numpy(), sizes)))
                     continue
                 if lp is None:
                     size = sum(len(x[0]) for x in parts_of)
-                    lp, base, seen = np.zeros(size), np.zeros(size), np.zeros(size, bool)
-                    for code, l, c in parts_of:
-                        lp[code], seen[code] = l, c > 0
+                    lp, base, seen = np.zeros(size), np.zeros(size), np.zeros(size, np.int64)
+                    for code, value, c in parts_of:
+                        lp[code], seen[code] = value, c > 0
                         base[code] = np.log10((c + 0.1) / (tokens + 0.1 * (known + 1)))
                     parts_of = []
                 own = [np.frombuffer(zlib.decompress(t), "<u4") for t in piece.column("tokens").to_pylist()]
                 ends = np.cumsum([len(x) for x in own])
                 begin = np.concatenate(([0], ends[:-1]))
                 flat = np.concatenate(own)
-                sums = [np.add.reduceat(v[flat], begin) for v in (seen.astype(np.int64), base, lp)]
-                yield pa.RecordBatch.from_arrays([piece.column("doc_id"), piece.column("held_out"), pa.array((ends - begin).astype(np.int64)), pa.array(sums[0].astype(np.int64)), pa.array(sums[1]), pa.array(sums[2])], names=["doc_id", "held_out", "n_tokens", "n_known", "base_score", "score"])
+                sums = [np.add.reduceat(v[flat], begin) for v in (seen, base, lp)]
+                yield pa.RecordBatch.from_arrays([piece.column("doc_id"), piece.column("held_out"), pa.array((ends - begin).astype(np.int64)), pa.array(sums[0]), pa.array(sums[1]), pa.array(sums[2])], names=["doc_id", "held_out", "n_tokens", "n_known", "base_score", "score"])
 
     return both.mapInArrow(run, "doc_id long, held_out boolean, n_tokens long, n_known long, base_score double, score double")
 
 
-def op4_pitman_yor(spark: SparkSession, sf_dir: str, *, classes: int = 32) -> DataFrame:
+def op4_pitman_yor(spark: SparkSession, sf_dir: str, *, classes: int = 8) -> DataFrame:
     parts = chunks(common.documents(spark, sf_dir).select("doc_id", "text"), classes)
     kept = fit(parts, classes=classes)
     last = kept[-1][1]
     tokens = int(last.customers.sum())
-    scored = score_chunks(parts, answers(parts, kept, classes), tokens, last.known)
+    found = common.materialize(answers(parts, kept, classes), "lm-answers")
+    common.release(spark)
+    scored = score_chunks(parts, found, tokens, last.known)
     return scored.select("doc_id", "held_out", "n_tokens", "n_known", F.lit(tokens).cast("long").alias("train_tokens"), "base_score", "score")
 
 
