@@ -155,16 +155,17 @@ def group_spans(rows: DataFrame, length: int) -> DataFrame:
             if len(rows_of) < 2:
                 return
             lefts, rights, d0, d1 = [r[2] for r in rows_of], [r[3] for r in rows_of], rows_of[0][4], rows_of[0][5]
-            best: dict[int, set] = {}
+            # every stretch holds the anchor, so what covers a member is one stretch
+            best: dict[int, tuple[int, int]] = {}
             for left, right, members in repeat_groups(lefts, rights, length, d0, d1):
                 s = _span(left, right, length, d0, d1)
                 if s:
                     for m in members:
-                        best.setdefault(m, set()).add(s)
-            for m, spans in best.items():
-                for lo, hi in spans:
-                    for column, v in zip(out, (rows_of[m][0], rows_of[m][1], lo, hi)):
-                        column.append(v)
+                        lo, hi = best.get(m, s)
+                        best[m] = (min(lo, s[0]), max(hi, s[1]))
+            for m, (lo, hi) in best.items():
+                for column, v in zip(out, (rows_of[m][0], rows_of[m][1], lo, hi)):
+                    column.append(v)
 
         def flush():
             batch = pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(out, (pa.int64(), pa.int64(), pa.int32(), pa.int32()))], names=["h", "c", "lo", "hi"])
@@ -201,7 +202,7 @@ def halves(rows: DataFrame, length: int) -> DataFrame:
     return both.withColumns({"g": F.xxhash64("g", "d0", "d1", core), "f": F.xxhash64(F.least(nl, F.col("d1") - 1), whole), "f2": F.crc32(whole)})
 
 
-def repeated_spans(docs: DataFrame, *, length: int = 400, most: int = 512) -> DataFrame:
+def repeated_spans(docs: DataFrame, *, length: int = 400, most: int = 256) -> DataFrame:
     """(doc_id, uid, begin, end): stretches of docs (doc_id, uid, text) that repeated strings of the length cover.
 
     Stretches may overlap. most: different contexts of an anchor up to which one task sorts them; more are split."""
@@ -236,8 +237,9 @@ def repeated_spans(docs: DataFrame, *, length: int = 400, most: int = 512) -> Da
     every = spans[0]
     for s in spans[1:]:
         every = every.union(s)
-    every = every.groupBy("h", "c").agg(F.collect_set(F.struct("lo", "hi")).alias("s"))
-    return found.join(every, ["h", "c"]).select("doc_id", "uid", "pos", F.explode("s").alias("s")).select("doc_id", "uid", (F.col("pos") + F.col("s.lo")).alias("begin"), (F.col("pos") + F.col("s.hi")).alias("end"))
+    every = every.groupBy("h", "c").agg(F.min("lo").alias("lo"), F.max("hi").alias("hi"))
+    common.release(spark)
+    return common.materialize(found.join(every, ["h", "c"]).select("doc_id", "uid", (F.col("pos") + F.col("lo")).alias("begin"), (F.col("pos") + F.col("hi")).alias("end")), "stretches")
 
 
 def maximal_repeats(docs: DataFrame, *, length: int = 400) -> DataFrame:
@@ -284,6 +286,7 @@ def remove_repeats(docs: DataFrame, *, length: int = 400, keep_bytes: bool = Tru
     """Per row: doc_id, n_bytes, spans (removed stretches), kept_sha256 and, if wanted, kept (the remaining bytes)."""
     marked = with_uid(docs)
     spans = repeated_spans(marked, length=length, **options)
+    common.release(docs.sparkSession)
     per = spans.groupBy(F.col("doc_id").alias("i"), F.col("uid").alias("u")).agg(F.collect_set(F.struct("begin", "end")).alias("x"))
     joined = marked.join(per, F.col("i").eqNullSafe(F.col("doc_id")) & (F.col("u") == F.col("uid")), "left").select("doc_id", "text", F.col("x.begin").alias("begin"), F.col("x.end").alias("end"))
 
