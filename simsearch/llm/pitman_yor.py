@@ -1,25 +1,28 @@
 """Language-model scores by a hierarchical Pitman-Yor model.
 
-Words are dishes. Every context is a restaurant; contexts are classes of the word before (a hash of it, or the text's
-begin), and all of them have the same parent, the restaurant without context, whose own base is uniform over the known
-words and one unknown word. Tables that a dish has in a context are customers of the parent. Seating is sampled by Gibbs
-sweeps: all customers of a dish in a restaurant leave and come back one by one, with the other dishes' tables as
-they are. Between sweeps only totals per restaurant are exchanged, so dishes are independent within a sweep and
-are worked on in parallel, partitioned by word. The predictive probability is averaged over the samples.
+Words are dishes. Every word before (or the text's begin) is a context with a restaurant of its own, and all of them have
+the same parent, the restaurant without context, whose own base is uniform over the known words and one unknown word.
+Tables that a dish has in a context are customers of the parent. Seating is sampled by Gibbs sweeps: all customers of a
+dish in a restaurant leave and come back one by one, with the other dishes' tables as they are. Between sweeps only
+totals are exchanged (tables per context, tables per word, tables of the parent), so (word, context) pairs are independent
+within a sweep and are worked on in parallel. The predictive probability is averaged over the samples.
 
 Seating draws the waiting time to the next new table at once from its closed form instead of one coin per customer,
-so a word with a billion customers costs as many steps as it has tables.
+so a word with a billion customers costs as many steps as it has tables. A pair that was seen once has one table whatever
+is drawn: such pairs enter the totals once and only the others are swept.
 
-Texts are read once: each stretch of texts becomes a chunk with its own small vocabulary and its words as places in
-it. Counts are summed over chunks for the model; to score, every chunk asks once for each of its (word, context) pairs.
+Words are named by 64 bits of a 128-bit digest; a clash is detected and stops the query. Texts are read once: each stretch
+of texts becomes a chunk with its own small vocabulary, its (word, context) pairs, and its texts as numbers of pairs. Counts
+are summed over chunks for the model; to score, every chunk asks once for each of its words and pairs.
 
-Defined cases: null and empty texts are the end token alone. Unknown words get the parent's unknown mass. With no
-training text every count is 0 and probabilities are uniform over the one unknown word (score 0). Equal rows are scored
-alike and count as often as they are there. Ids may repeat or be null.
+Defined cases: null and empty texts are the end token alone. Unknown words get the parent's unknown mass; after a context
+that was not trained on, the parent decides. With no training text every count is 0 and probabilities are uniform over the
+one unknown word (score 0). Equal rows are scored alike and count as often as they are there. Ids may repeat or be null.
 """
 
 from __future__ import annotations
 
+import hashlib
 import zlib
 
 import numpy as np
@@ -30,49 +33,53 @@ from pyspark.sql import functions as F
 from . import common
 
 END = b""  # no word is empty
-BEGIN_CLASS = 0
+BEGIN = b" "  # no word has a space
 
 
-def chunks(docs: DataFrame, classes: int, chunk_bytes: int = 24 << 20) -> DataFrame:
-    """One written table with two kinds of rows. Vocabulary rows, one per word of a chunk: chunk, word, code, mask, n.
-    mask has a bit per context in which the chunk has the word, code is the number of its first (word, context) pair, n
-    the training customers per context. Document rows: chunk, doc_id, held_out, tokens (numbers of its pairs)."""
-    if not 2 <= classes <= 30:
-        raise ValueError("2 to 30 context classes")
+def names_of(words: list[bytes]) -> np.ndarray:
+    """Two 64-bit numbers per word: its name, and what tells a clash of names."""
+    return np.frombuffer(b"".join(hashlib.blake2b(w, digest_size=16).digest() for w in words), "<i8").reshape(-1, 2)
+
+
+def chunks(docs: DataFrame, chunk_bytes: int = 24 << 20) -> DataFrame:
+    """One written table with four kinds of rows. Word rows, one per word of a chunk: chunk, code, id, proof, n (training
+    count); the text's begin is the last of them. Pair rows, one per (word, context) of a chunk: chunk, code, id, ctx, n.
+    Key rows: chunk, code (of the first pair), pairs (the pairs as word codes). Document rows: chunk, doc_id, held_out,
+    tokens (codes of its pairs)."""
 
     def run(batches):
         from pyspark import TaskContext
 
         part, serial = TaskContext.get().partitionId(), 0
         codes: dict[bytes, int] = {}
-        cls: list[int] = []
         held: list = []  # per document: id, held_out, word codes
         size = 0
 
         def close():
-            chunk, words = (part << 32) + serial, list(codes)
-            kind = np.array(cls, np.int64)
+            chunk, names = (part << 32) + serial, names_of([*codes, BEGIN])
+            begin = len(codes)
             flat = np.concatenate([x[2] for x in held])
             ends = np.cumsum([len(x[2]) for x in held])
-            before = np.full(len(flat), BEGIN_CLASS)
-            before[1:] = kind[flat[:-1]]
-            before[ends[:-1]] = BEGIN_CLASS
-            key = flat * classes + before
+            before = np.full(len(flat), begin)
+            before[1:] = flat[:-1]
+            before[ends[:-1]] = begin
             trained = np.repeat([not x[1] for x in held], np.diff(ends, prepend=0))
-            n = np.bincount(key[trained], minlength=len(words) * classes)
-            there = np.bincount(key, minlength=len(words) * classes) > 0
-            number = np.cumsum(there) - 1
-            mask = (there.reshape(-1, classes) << np.arange(classes)).sum(1).astype(np.int32)
-            first = number.reshape(-1, classes)[np.arange(len(words)), there.reshape(-1, classes).argmax(1)].astype(np.int32)
-            for a in range(0, len(words), 100_000):
-                w = words[a : a + 100_000]
-                offsets = np.arange(0, (len(w) + 1) * classes, classes, dtype=np.int32)
-                yield batch_of(len(w), chunk=pa.array(np.full(len(w), chunk)), word=pa.array(w, pa.binary()), code=pa.array(first[a : a + len(w)]), mask=pa.array(mask[a : a + len(w)]), n=pa.ListArray.from_arrays(pa.array(offsets), pa.array(n[a * classes : (a + len(w)) * classes].astype(np.int64))))
-            tokens = number[key].astype("<u4")
+            key, number = np.unique(flat * (begin + 1) + before, return_inverse=True)
+            word, ctx = np.divmod(key, begin + 1)
+            n = np.bincount(number[trained], minlength=len(key))
+            n_word = np.bincount(flat[trained], minlength=begin + 1)
+            for a in range(0, len(names), 100_000):
+                w = names[a : a + 100_000]
+                yield batch_of(len(w), chunk=np.full(len(w), chunk), code=np.arange(a, a + len(w), dtype=np.int32), id=w[:, 0].copy(), proof=w[:, 1].copy(), n=n_word[a : a + len(w)])
+            for a in range(0, len(key), 100_000):
+                w, c = word[a : a + 100_000], ctx[a : a + 100_000]
+                yield batch_of(len(w), chunk=np.full(len(w), chunk), code=np.arange(a, a + len(w), dtype=np.int32), id=names[w, 0], ctx=names[c, 0], n=n[a : a + len(w)])
+                yield batch_of(1, chunk=[chunk], code=[a], pairs=[zlib.compress(np.stack((w, c)).astype("<u4").tobytes(), 6)])
+            tokens = number.astype("<u4")
             for a in range(0, len(held), 2000):
                 h = held[a : a + 2000]
                 own = [zlib.compress(tokens[e - len(x[2]) : e].tobytes(), 6) for x, e in zip(h, ends[a : a + 2000].tolist())]
-                yield batch_of(len(h), chunk=pa.array(np.full(len(h), chunk)), doc_id=pa.array([x[0] for x in h], pa.int64()), held_out=pa.array([x[1] for x in h]), tokens=pa.array(own, pa.binary()))
+                yield batch_of(len(h), chunk=np.full(len(h), chunk), doc_id=[x[0] for x in h], held_out=[x[1] for x in h], tokens=own)
 
         for batch in common.by_bytes(batches, lambda b: [len(v or "") for v in b.column("text").to_pylist()], 2 << 20):
             for doc_id, out, text in zip(batch.column("doc_id").to_pylist(), batch.column("held_out").to_pylist(), common.utf8(batch.column("text").to_pylist())):
@@ -81,23 +88,38 @@ def chunks(docs: DataFrame, classes: int, chunk_bytes: int = 24 << 20) -> DataFr
                 for w in tokens:
                     if w not in codes:
                         codes[w] = len(codes)
-                        cls.append(1 + zlib.crc32(w) % (classes - 1))
                 held.append((doc_id, out, np.fromiter(map(codes.__getitem__, tokens), np.int64, len(tokens))))
                 size += len(text) + 64
             if size >= chunk_bytes:
                 yield from close()
-                codes, cls, held, size = {}, [], [], 0
+                codes, held, size = {}, [], 0
                 serial += 1
         if held:
             yield from close()
 
-    schema = pa.schema([("chunk", pa.int64()), ("word", pa.binary()), ("code", pa.int32()), ("mask", pa.int32()), ("n", pa.list_(pa.int64())), ("doc_id", pa.int64()), ("held_out", pa.bool_()), ("tokens", pa.binary())])
+    schema = pa.schema([("chunk", pa.int64()), ("code", pa.int32()), ("id", pa.int64()), ("proof", pa.int64()), ("ctx", pa.int64()), ("n", pa.int64()), ("pairs", pa.binary()), ("doc_id", pa.int64()), ("held_out", pa.bool_()), ("tokens", pa.binary())])
 
     def batch_of(size, /, **columns):
-        return pa.RecordBatch.from_arrays([columns.get(f.name, pa.nulls(size, f.type)) for f in schema], schema=schema)
+        return pa.RecordBatch.from_arrays([pa.array(columns[f.name], f.type) if f.name in columns else pa.nulls(size, f.type) for f in schema], schema=schema)
 
     marked = docs.select("doc_id", "text", (common.crc_mod(F.col("doc_id"), 10) == 0).alias("held_out"))
-    return common.materialize(marked.mapInArrow(run, "chunk long, word binary, code int, mask int, n array<long>, doc_id long, held_out boolean, tokens binary"), "lm-chunks")
+    return common.materialize(marked.mapInArrow(run, "chunk long, code int, id long, proof long, ctx long, n long, pairs binary, doc_id long, held_out boolean, tokens binary"), "lm-chunks")
+
+
+def word_rows(parts: DataFrame) -> DataFrame:
+    return parts.where(F.col("proof").isNotNull()).select("chunk", "code", "id", "proof", "n")
+
+
+def pair_rows(parts: DataFrame) -> DataFrame:
+    return parts.where(F.col("ctx").isNotNull()).select("chunk", "code", "id", "ctx", "n")
+
+
+def discard(table: DataFrame) -> None:
+    """Delete a written intermediate table that nothing reads any more."""
+    jvm, conf = table.sparkSession._jvm, table.sparkSession._jsparkSession.sessionState().newHadoopConf()
+    for folder in {f.rsplit("/", 1)[0] for f in table.inputFiles()}:
+        path = jvm.org.apache.hadoop.fs.Path(folder)
+        path.getFileSystem(conf).delete(path, True)
 
 
 def log_gamma(x: np.ndarray) -> np.ndarray:
@@ -112,6 +134,19 @@ def log_gamma(x: np.ndarray) -> np.ndarray:
     return (y - 0.5) * np.log(y) - y + 0.9189385332046727 + r * (1 / 12 - r * r * (1 / 360 - r * r / 1260)) - shift
 
 
+class Draws:
+    """Uniform draws that depend on the key of a place and on how often it was asked for, not on how rows are dealt."""
+
+    def __init__(self, keys: np.ndarray, seed: int, number: int):
+        self.keys, self.turn = common.mix64(keys + np.uint64((seed << 20) + number)), 0
+
+    def at(self, places: np.ndarray) -> np.ndarray:
+        self.turn += 1
+        with np.errstate(over="ignore"):
+            x = common.mix64(self.keys[places] + np.uint64(self.turn) * np.uint64(0x9E3779B97F4A7C15))
+        return ((x >> np.uint64(11)).astype(float) + 0.5) * 2.0**-53
+
+
 def seat(customers: np.ndarray, push: np.ndarray, discount: float, rng) -> np.ndarray:
     """Tables of each dish after all its customers have come in one by one.
 
@@ -124,7 +159,7 @@ def seat(customers: np.ndarray, push: np.ndarray, discount: float, rng) -> np.nd
     while len(at):
         n, a = customers[at].astype(float), np.maximum(push[at], 1e-300)
         base = seated - discount * tables[at]
-        draw = np.log(rng.random(len(at)))
+        draw = np.log(rng.at(at) if isinstance(rng, Draws) else rng.random(len(at)))
         whole = lambda j: log_gamma(base + j) - log_gamma(base) - log_gamma(base + j + a) + log_gamma(base + a)
         left = n - seated
         end = whole(left)
@@ -146,159 +181,166 @@ def seat(customers: np.ndarray, push: np.ndarray, discount: float, rng) -> np.nd
     return tables
 
 
-class Totals:
-    """What restaurants exchange between sweeps."""
+def seated(rows: DataFrame, customers: str, tables: str, discount: float, seed: int, number: int) -> DataFrame:
+    """rows with the column ``tables`` drawn anew; rows have a column push, which goes, and id (with ctx: a pair)."""
+    keep = [c for c in rows.columns if c != "push"]
+    schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in rows.schema if f.name != "push")
 
-    def __init__(self, customers: np.ndarray, tables: np.ndarray, root_tables: int, known: int, strength: float, discount: float):
-        self.customers, self.tables, self.root_tables, self.known = customers, tables, root_tables, known
-        self.strength, self.discount = strength, discount
+    def run(batches):
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            value = lambda c: batch.column(c).to_numpy(zero_copy_only=False)
+            keys = value("id").view(np.uint64)
+            if "ctx" in keep:
+                keys = common.mix64(keys) ^ value("ctx").view(np.uint64)
+            t = seat(value(customers), value("push"), discount, Draws(keys, seed, number))
+            yield pa.RecordBatch.from_arrays([pa.array(t) if c == tables else batch.column(c) for c in keep], names=keep)
 
-    def root(self, tables: np.ndarray, root_tables: np.ndarray) -> np.ndarray:
-        """Parent's probability of dishes with so many customers (tables below) and tables in it."""
-        total = float(self.tables.sum())
-        s, d = self.strength, self.discount
-        return (np.maximum(tables - d * root_tables, 0) + (s + d * self.root_tables) / (self.known + 1)) / (s + total)
+    return rows.mapInArrow(run, schema)
 
 
-def sweep(words: DataFrame, totals: Totals | None, number: int, classes: int, seed: int) -> DataFrame:
-    """One Gibbs sweep over all dishes. words: word, n and t (per context), r; the last two are the seating."""
-    sent = words.sparkSession.sparkContext.broadcast(totals)
+class Model:
+    """Written tables of a fitted model. counts: id, ctx, n of every trained pair. pairs: id, ctx, n, t<j> of those seen
+    more than once. words: id, n, p<j> (the parent's probability). contexts: ctx, customers, tables<j>. Samples j = 0, 1, ..."""
 
-    def run(batches):
-        for batch in batches:
-            names = batch.column("word").to_pylist()
-            if not names:
-                continue
-            n = batch.column("n").flatten().to_numpy(zero_copy_only=False).reshape(-1, classes)
-            # reproducible wherever a batch begins or ends: the seed is of the words themselves
-            rng = np.random.default_rng([seed, number, zlib.crc32(b"\x00".join(names))])
-            info = sent.value
-            if info is None:  # a first seating: one table per dish and restaurant
-                t, r = (n > 0).astype(np.int64), np.ones(len(names), np.int64)
-            else:
-                t, r = batch.column("t").flatten().to_numpy(zero_copy_only=False).reshape(-1, classes), batch.column("r").to_numpy()
-                p = info.root(t.sum(1), r)
-                push = (info.strength + info.discount * info.tables)[None] * p[:, None]
-                t = seat(n.ravel(), push.ravel(), info.discount, rng).reshape(-1, classes)
-                r = seat(t.sum(1), np.full(len(names), (info.strength + info.discount * info.root_tables) / (info.known + 1)), info.discount, rng)
-            lists = pa.ListArray.from_arrays(pa.array(np.arange(0, (len(names) + 1) * classes, classes, dtype=np.int32)), pa.array(t.ravel()))
-            yield pa.RecordBatch.from_arrays([batch.column("word"), batch.column("n"), lists, pa.array(r)], names=["word", "n", "t", "r"])
-
-    return words.mapInArrow(run, "word binary, n array<long>, t array<long>, r long")
-
-
-def totals_of(words: DataFrame, classes: int, strength: float, discount: float) -> Totals:
-    """One row of sums: customers and tables per context class, known words, tables of the parent."""
-    sums = [F.coalesce(F.sum(F.col(c)[i]), F.lit(0)).alias(f"{c}{i}") for c in ("n", "t") for i in range(classes)]
-    row = words.agg(*sums, F.count(F.lit(1)).alias("known"), F.coalesce(F.sum("r"), F.lit(0)).alias("root")).first()
-    of = lambda c: np.array([row[f"{c}{i}"] for i in range(classes)], float)
-    return Totals(of("n"), of("t"), row.root, row.known, strength, discount)
-
-
-def fit(parts: DataFrame, *, classes: int, burn_in: int = 1, samples: int = 2, strength: float = 1.0, discount: float = 0.5, seed: int = 1) -> list[tuple[DataFrame, Totals]]:
-    """The seatings after each kept sweep, with their totals."""
-    spark = parts.sparkSession
-    vocabulary = parts.where(F.col("word").isNotNull()).select("word", *[F.col("n")[i].alias(f"n{i}") for i in range(classes)])
-    words = vocabulary.groupBy("word").agg(*[F.sum(f"n{i}").alias(f"n{i}") for i in range(classes)])
-    counts = [F.col(f"n{i}") for i in range(classes)]
-    words = words.where(sum(counts[1:], counts[0]) > 0).select("word", F.array(*counts).alias("n"), F.lit(None).cast("array<long>").alias("t"), F.lit(None).cast("long").alias("r"))
-    state = common.materialize(sweep(words, None, 0, classes, seed), "lm-seating")
-    out = []
+    def __init__(self, strength: float, discount: float):
+        self.strength, self.discount = strength, discount
+        self.counts = self.pairs = self.words = self.contexts = None
+        self.known = self.tokens = self.samples = 0
+        self.unknown: list[float] = []  # the parent's probability of the unknown word, per sample
+
+
+def fit(parts: DataFrame, *, burn_in: int = 1, samples: int = 2, strength: float = 1.0, discount: float = 0.5, seed: int = 1) -> Model:
+    """Count all pairs, seat them, sweep, and keep the seatings of the last sweeps."""
+    spark, m, s, d = parts.sparkSession, Model(strength, discount), strength, discount
+    vocabulary = word_rows(parts).groupBy("id").agg(F.sum("n").alias("n"), (F.min("proof") != F.max("proof")).alias("clash"))
+    vocabulary = common.materialize(vocabulary.where("n > 0 or clash"), "lm-words")
+    first = vocabulary.agg(F.count(F.lit(1)).alias("known"), F.sum("n").alias("tokens"), F.max("clash").alias("clash")).first()
+    if first.clash:
+        raise ValueError("two words have the same 64-bit name")
+    m.known, m.tokens, m.samples = first.known, first.tokens or 0, samples
+    m.counts = common.materialize(pair_rows(parts).groupBy("id", "ctx").agg(F.sum("n").alias("n")).where("n > 0"), "lm-counts")
+    once = (F.col("n") == 1).cast("long")
+    fixed = common.materialize(m.counts.groupBy("ctx").agg(F.sum("n").alias("customers"), F.sum(once).alias("once")), "lm-contexts")
+    tables = m.counts.groupBy("id").agg(F.count(F.lit(1)).alias("tables"), F.sum(once).alias("once"))
+    words = common.materialize(vocabulary.select("id", "n").join(tables, "id").withColumn("r", F.lit(1).cast("long")), "lm-parent")
+    pairs = m.counts.where("n > 1").withColumn("t", F.lit(1).cast("long"))
+    common.release(spark)
+
+    def totals():
+        row = words.agg(F.coalesce(F.sum("tables"), F.lit(0)).alias("t"), F.coalesce(F.sum("r"), F.lit(0)).alias("r")).first()
+        return row.t, row.r
+
+    def parent(t, r):
+        return (F.greatest(F.col("tables") - d * F.col("r"), F.lit(0.0)) + (s + d * r) / (m.known + 1)) / (s + t)
+
+    t_all, r_all = totals()
     for number in range(1, burn_in + samples + 1):
-        totals = totals_of(state, classes, strength, discount)
-        state = common.materialize(sweep(state, totals, number, classes, seed), "lm-seating")
+        sums = pairs.groupBy("ctx").agg(F.sum("t").alias("t"))
+        around = common.materialize(sums.join(fixed, "ctx").select("ctx", (s + d * (F.col("t") + F.col("once"))).alias("pull")), "lm-around")
+        pulled = pairs.join(words.select("id", parent(t_all, r_all).alias("p")), "id").join(around, "ctx")
+        pulled = pulled.select(*pairs.columns, (F.col("pull") * F.col("p")).alias("push"))
+        after = common.materialize(seated(pulled, "n", "t", d, seed, number), "lm-seating")
+        if number > 1:
+            discard(pairs)
+        discard(around)
+        pairs = after
+        sums = pairs.groupBy("id").agg(F.sum("t").alias("t"))
+        filled = words.join(sums, "id", "left").withColumn("tables", F.col("once") + F.coalesce("t", F.lit(0))).drop("t")
+        after = seated(filled.withColumn("push", F.lit((s + d * r_all) / (m.known + 1))), "tables", "r", d, seed, number)
+        after, old = common.materialize(after, "lm-parent"), words
+        words = after
+        discard(old)
         common.release(spark)
+        t_all, r_all = totals()
         if number > burn_in:
-            out.append((state, totals_of(state, classes, strength, discount)))
-    return out
-
-
-def predictive(kept: list[tuple[DataFrame, Totals]]) -> DataFrame:
-    """Per known word: training count c, customers n per context, tables t<i> and parent's probability p<i> per sample.
-
-    Samples are united and folded by word, which is one shuffle for any number of them."""
-    every = None
-    for i, (state, totals) in enumerate(kept):
-        s, d, total = totals.strength, totals.discount, float(totals.tables.sum())
-        tables = F.aggregate("t", F.lit(0).cast("long"), lambda a, x: a + x)
-        p = (F.greatest(tables - d * F.col("r"), F.lit(0.0)) + (s + d * totals.root_tables) / (totals.known + 1)) / (s + total)
-        one = state.select("word", "n", *[F.col("t").alias(f"t{j}") if i == j else F.lit(None).cast("array<long>").alias(f"t{j}") for j in range(len(kept))], *[p.alias(f"p{j}") if i == j else F.lit(None).cast("double").alias(f"p{j}") for j in range(len(kept))])
-        every = one if every is None else every.unionByName(one)
-    folded = every.groupBy("word").agg(F.first("n").alias("n"), *[F.first(f"{c}{j}", ignorenulls=True).alias(f"{c}{j}") for c in ("t", "p") for j in range(len(kept))])
-    return folded.withColumn("c", F.aggregate("n", F.lit(0).cast("long"), lambda a, x: a + x))
-
-
-def answers(parts: DataFrame, kept: list[tuple[DataFrame, Totals]], classes: int) -> DataFrame:
-    """(chunk, code, lp, c): for every word of every chunk, log10 of the averaged probability in each context in which the
-    chunk has it, and the word's training count."""
-    wanted = parts.where(F.col("word").isNotNull()).select("chunk", "code", "mask", F.col("word").alias("w"))
-    joined = wanted.join(predictive(kept), F.col("w") == F.col("word"), "left")
-    each = lambda values, i: F.element_at(F.array(*[F.lit(float(v)) for v in values]), i + 1)
-
-    def lp(i):
-        prob = F.lit(0.0)
-        for j, (_, t) in enumerate(kept):
-            unknown = ((t.strength + t.discount * t.root_tables) / (t.known + 1)) / (t.strength + float(t.tables.sum()))
-            own = (F.coalesce(F.get("n", i), F.lit(0)) - t.discount * F.coalesce(F.get(f"t{j}", i), F.lit(0))) / each(t.strength + t.customers, i)
-            back = each((t.strength + t.discount * t.tables) / (t.strength + t.customers), i)
-            prob = prob + (own + back * F.coalesce(F.col(f"p{j}"), F.lit(float(unknown)))) / len(kept)
-        return F.log10(prob).cast("float")
-
-    places = F.filter(F.sequence(F.lit(0), F.lit(classes - 1)), lambda i: F.col("mask").bitwiseAND(F.pow(F.lit(2), i).cast("int")) != 0)
-    return joined.select("chunk", "code", F.transform(places, lp).alias("lp"), F.coalesce("c", F.lit(0)).cast("long").alias("c"))
-
-
-def score_chunks(parts: DataFrame, found: DataFrame, tokens: int, known: int) -> DataFrame:
+            j = number - burn_in - 1
+            pairs, words = pairs.withColumn(f"t{j}", F.col("t")), words.withColumn(f"p{j}", parent(t_all, r_all))
+            m.unknown.append((s + d * r_all) / (m.known + 1) / (s + t_all))
+    m.pairs, m.words = pairs, words.select("id", "n", *[f"p{j}" for j in range(samples)])
+    sums = pairs.groupBy("ctx").agg(*[F.sum(f"t{j}").alias(f"t{j}") for j in range(samples)])
+    m.contexts = fixed.join(sums, "ctx", "left").select("ctx", "customers", *[(F.col("once") + F.coalesce(f"t{j}", F.lit(0))).alias(f"tables{j}") for j in range(samples)])
+    return m
+
+
+def answers(parts: DataFrame, m: Model) -> DataFrame:
+    """What chunks ask for. Per word: chunk, code, c (training count), p<j>, customers, tables<j> (as a context). Per pair that
+    was trained on: chunk, code, own (its customers less the discount of its tables, averaged over the samples)."""
+    js = range(m.samples)
+    p, tables = [f"p{j}" for j in js], [f"tables{j}" for j in js]
+    facts = m.words.join(m.contexts.withColumnRenamed("ctx", "id"), "id", "full")
+    facts = common.materialize(facts, "lm-facts")
+    asked = word_rows(parts).select("chunk", "code", "id").join(facts, "id", "left")
+    zero = lambda c: F.coalesce(c, F.lit(0)).alias(c)
+    of_words = asked.select("chunk", "code", F.coalesce("n", F.lit(0)).alias("c"), *[F.coalesce(c, F.lit(float(u))).alias(c) for c, u in zip(p, m.unknown)], zero("customers"), *[zero(c) for c in tables], F.lit(None).cast("double").alias("own"))
+    mean = sum((F.col(f"t{j}") for j in js), F.lit(0)) / m.samples
+    own = m.pairs.select("id", "ctx", (F.col("n") - m.discount * mean).alias("own"))
+    own = m.counts.where("n = 1").select("id", "ctx", F.lit(1 - m.discount).alias("own")).unionByName(own)
+    of_pairs = pair_rows(parts).select("chunk", "code", "id", "ctx").join(own, ["id", "ctx"])
+    empty = lambda c: F.lit(None).cast(dict(of_words.dtypes)[c]).alias(c)
+    return of_words.unionByName(of_pairs.select(*[c if c in ("chunk", "code", "own") else empty(c) for c in of_words.columns]))
+
+
+def score_chunks(parts: DataFrame, found: DataFrame, m: Model) -> DataFrame:
     """Per document: doc_id, held_out, n_tokens, n_known, base_score, score."""
-    docs = parts.where(F.col("tokens").isNotNull()).select("chunk", F.lit(None).cast("int").alias("code"), F.lit(None).cast("array<float>").alias("lp"), F.lit(None).cast("long").alias("c"), "doc_id", "held_out", "tokens")
-    rows = found.select("chunk", "code", "lp", "c", F.lit(None).cast("long").alias("doc_id"), F.lit(None).cast("boolean").alias("held_out"), F.lit(None).cast("binary").alias("tokens"))
-    # the answers of a chunk come before its documents: nothing more than one chunk's vocabulary is held
-    both = rows.unionByName(docs).repartition("chunk").sortWithinPartitions("chunk", F.col("tokens").isNotNull())
+    strength, discount, known, total, js = m.strength, m.discount, m.known, m.tokens, range(m.samples)
+    texts = parts.where(F.col("tokens").isNotNull() | F.col("pairs").isNotNull())
+    kinds = dict(found.dtypes) | {"pairs": "binary", "doc_id": "bigint", "held_out": "boolean", "tokens": "binary"}
+    fill = lambda df: df.select(*[c if c in df.columns else F.lit(None).cast(t).alias(c) for c, t in kinds.items()])
+    # the answers of a chunk and its keys come before its documents: nothing more than one chunk's vocabulary is held
+    both = fill(found).unionByName(fill(texts.select("chunk", "code", "pairs", "doc_id", "held_out", "tokens")))
+    both = both.repartition("chunk").sortWithinPartitions("chunk", F.col("tokens").isNotNull())
 
     def run(batches):
-        chunk, lp, base, seen = None, None, None, None
-        parts_of: list = []
+        chunk, held, lp, base, seen, word = None, [], None, None, None, None
+
+        def ready():
+            rows = pa.Table.from_batches(held)
+            value = lambda t, c: t.column(c).to_numpy()
+            of_words, of_pairs, keys = (rows.filter(rows.column(c).is_valid()) for c in ("c", "own", "pairs"))
+            order = np.argsort(value(of_words, "code"))
+            of = {c: value(of_words, c)[order] for c in ("c", "customers", *[f"{k}{j}" for k in ("p", "tables") for j in js])}
+            keys = sorted(zip(value(keys, "code").tolist(), keys.column("pairs").to_pylist()))
+            word, ctx = np.concatenate([np.frombuffer(zlib.decompress(x), "<u4").reshape(2, -1) for _, x in keys], axis=1)
+            prob = np.zeros(len(word))
+            prob[value(of_pairs, "code")] = value(of_pairs, "own")
+            for j in js:
+                prob += (strength + discount * of[f"tables{j}"][ctx]) * of[f"p{j}"][word] / len(js)
+            lp = np.log10(prob / (strength + of["customers"][ctx]))
+            return word, lp, np.log10((of["c"] + 0.1) / (total + 0.1 * (known + 1))), (of["c"] > 0).astype(np.int64)
+
         for batch in batches:
             ids = batch.column("chunk").to_numpy()
             is_doc = batch.column("tokens").is_valid().to_numpy(zero_copy_only=False)
             edges = np.flatnonzero(np.concatenate(([True], (ids[1:] != ids[:-1]) | (is_doc[1:] != is_doc[:-1]), [True])))
             for a, b in zip(edges[:-1].tolist(), edges[1:].tolist()):
                 if ids[a] != chunk:
-                    chunk, parts_of, lp = ids[a], [], None
+                    chunk, held, lp = ids[a], [], None
                 piece = batch.slice(a, b - a)
                 if not is_doc[a]:
-                    lists = piece.column("lp")
-                    sizes = np.diff(lists.offsets.to_numpy())
-                    value = lists.flatten().to_numpy(zero_copy_only=False)
-                    code = np.repeat(piece.column("code").to_numpy() - (np.cumsum(sizes) - sizes), sizes) + np.arange(len(value))
-                    parts_of.append((code, value, np.repeat(piece.column("c").to_numpy(), sizes)))
+                    held.append(piece)
                     continue
                 if lp is None:
-                    size = sum(len(x[0]) for x in parts_of)
-                    lp, base, seen = np.zeros(size), np.zeros(size), np.zeros(size, np.int64)
-                    for code, value, c in parts_of:
-                        lp[code], seen[code] = value, c > 0
-                        base[code] = np.log10((c + 0.1) / (tokens + 0.1 * (known + 1)))
-                    parts_of = []
+                    word, lp, base, seen = ready()
+                    held = []
                 own = [np.frombuffer(zlib.decompress(t), "<u4") for t in piece.column("tokens").to_pylist()]
                 ends = np.cumsum([len(x) for x in own])
                 begin = np.concatenate(([0], ends[:-1]))
                 flat = np.concatenate(own)
-                sums = [np.add.reduceat(v[flat], begin) for v in (seen, base, lp)]
+                sums = [np.add.reduceat(v, begin) for v in (seen[word[flat]], base[word[flat]], lp[flat])]
                 yield pa.RecordBatch.from_arrays([piece.column("doc_id"), piece.column("held_out"), pa.array((ends - begin).astype(np.int64)), pa.array(sums[0]), pa.array(sums[1]), pa.array(sums[2])], names=["doc_id", "held_out", "n_tokens", "n_known", "base_score", "score"])
 
     return both.mapInArrow(run, "doc_id long, held_out boolean, n_tokens long, n_known long, base_score double, score double")
 
 
-def op4_pitman_yor(spark: SparkSession, sf_dir: str, *, classes: int = 8) -> DataFrame:
-    parts = chunks(common.documents(spark, sf_dir).select("doc_id", "text"), classes)
-    kept = fit(parts, classes=classes)
-    last = kept[-1][1]
-    tokens = int(last.customers.sum())
-    found = common.materialize(answers(parts, kept, classes), "lm-answers")
+def op4_pitman_yor(spark: SparkSession, sf_dir: str) -> DataFrame:
+    parts = chunks(common.documents(spark, sf_dir).select("doc_id", "text"))
+    m = fit(parts)
+    found = common.materialize(answers(parts, m), "lm-answers")
     common.release(spark)
-    scored = score_chunks(parts, found, tokens, last.known)
-    return scored.select("doc_id", "held_out", "n_tokens", "n_known", F.lit(tokens).cast("long").alias("train_tokens"), "base_score", "score")
+    scored = score_chunks(parts, found, m)
+    return scored.select("doc_id", "held_out", "n_tokens", "n_known", F.lit(m.tokens).cast("long").alias("train_tokens"), "base_score", "score")
 
 
 def perplexity(scored: DataFrame) -> DataFrame:

@@ -169,3 +169,35 @@ def test_statistics_edges(spark):
     docs = spark.createDataFrame(rows, DOCS).withColumns({"lang": F.lit(None).cast("string"), "source": F.lit("s")})
     got = {r.doc_id: r for r in rules.statistics(docs).collect()}
     assert got[1].n_words == got[2].n_words == 0 and got[3].n_dup_lines == 1 and got[4].n_symbols == 1 and got[5].n_repeat_words == 10
+
+
+def test_every_word_before_is_a_context(spark):
+    rng = random.Random(4)
+    vocabulary = [f"w{i}" for i in range(30)]
+    texts = [" ".join(rng.choice(vocabulary) for _ in range(rng.randint(0, 40))) for _ in range(60)] + [None, "never seen words"]
+    parts = pitman_yor.chunks(spark.createDataFrame(list(enumerate(texts)), DOCS).repartition(3), chunk_bytes=1500)
+    held = {i: zlib.crc32(str(i).encode()) % 10 == 0 for i in range(len(texts))}
+    walk = lambda i: list(zip([" ", *(texts[i] or "").split()], [*(texts[i] or "").split(), ""]))
+    want = Counter(pair for i in held if not held[i] for pair in walk(i))
+    name = lambda w: int(pitman_yor.names_of([w.encode()])[0, 0])
+    m = pitman_yor.fit(parts)
+    assert {(r.ctx, r.id): r.n for r in m.counts.collect()} == {(name(a), name(b)): n for (a, b), n in want.items()}
+    tables = {(r.ctx, r.id): (r.t0, r.t1) for r in m.pairs.collect()}
+    assert all(1 <= t <= want_n for (a, b), want_n in want.items() if want_n > 1 for t in tables[name(a), name(b)])
+    contexts = {r.ctx: r for r in m.contexts.collect()}
+    assert len(contexts) == len({a for a, _ in want}) > 8
+    p = {r.id: (r.p0, r.p1) for r in m.words.collect()}
+    assert all(sum(x[j] for x in p.values()) + m.unknown[j] == pytest.approx(1) for j in (0, 1))
+
+    def prob(a, b):
+        here, n, out = contexts.get(name(a)), want[a, b], 0.0
+        for j in (0, 1):
+            t = tables.get((name(a), name(b)), (min(n, 1),) * 2)[j]
+            total, c = (here[f"tables{j}"], here.customers) if here else (0, 0)
+            out += (n - 0.5 * t + (1 + 0.5 * total) * p.get(name(b), m.unknown)[j]) / (1 + c) / 2
+        return out
+
+    got = {r.doc_id: r for r in pitman_yor.score_chunks(parts, pitman_yor.answers(parts, m), m).collect()}
+    assert len(got) == len(texts)
+    for i in held:
+        assert got[i].score == pytest.approx(sum(np.log10(prob(a, b)) for a, b in walk(i))) and got[i].n_tokens == len(walk(i))
