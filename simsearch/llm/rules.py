@@ -17,6 +17,8 @@ vary get a floor of scatter, so no matrix is singular. Equal rows get equal verd
 
 from __future__ import annotations
 
+from math import log1p, sqrt
+
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -25,10 +27,11 @@ from .mixing import bounded_broadcast
 
 _WHITE = " \t\n\x0b\x0c\r"
 FEATURES = ("length", "word_length", "symbols", "dup_lines", "repeats")
-#: Least standard deviation of a feature: the scale on which a difference means anything.
-FLOORS = (0.3, 0.1, 0.5, 0.7, 0.7)
-#: Chi-square with five degrees of freedom: the median, and the value exceeded with probability 1e-9.
-_CHI_MEDIAN, _CHI_CUT = 4.351, 51.7
+#: Chi-square with five degrees of freedom: the median, and the value exceeded with probability 0.001.
+_CHI_MEDIAN, _CHI_CUT = 4.351, 20.515
+#: Least standard deviation of a feature: a tenth for lengths; for shares, such that a text at the usual limit (symbols in 2 % of
+#: the characters, that is one in ten words; 30 % repeated lines; 20 % repeated words) lies at the cut-off among texts without any.
+FLOORS = (0.1, 0.1, *(log1p(percent) / sqrt(_CHI_CUT) for percent in (2, 30, 20)))
 
 
 def let(value: Column, body) -> Column:

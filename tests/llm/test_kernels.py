@@ -201,3 +201,14 @@ def test_every_word_before_is_a_context(spark):
     assert len(got) == len(texts)
     for i in held:
         assert got[i].score == pytest.approx(sum(np.log10(prob(a, b)) for a, b in walk(i))) and got[i].n_tokens == len(walk(i))
+
+
+def test_outliers_beyond_usual_limits_are_rejected(spark):
+    rng = random.Random(6)
+    base = [(n := int(rng.lognormvariate(6, 0.6)) + 20, int(n * rng.uniform(4.7, 5.3)), 0, n // 20 + 2, 0, n // 100) for _ in range(300)]
+    odd = {1000: (400, 2000, 60, 20, 0, 0), 1001: (400, 2000, 200, 20, 0, 0), 1002: (400, 2000, 0, 20, 12, 0), 1003: (400, 2000, 4, 20, 1, 8)}
+    rows = [(i, "en", "s", *x) for i, x in [*enumerate(base), *odd.items()]]
+    stats = spark.createDataFrame(rows, "doc_id long, lang string, source string, n_words long, word_chars long, n_symbols long, n_lines long, n_dup_lines long, n_repeat_words long")
+    kept = {r.doc_id: r.kept for r in rules.apply_rules(stats).collect()}
+    assert [kept[i] for i in odd] == [False, False, False, True]
+    assert sum(kept[i] for i in range(300)) >= 290
