@@ -26,10 +26,9 @@ def _per_query(cands: DataFrame, pick) -> DataFrame:
     return cands.select("qid", "id", "s", "dist").groupBy("qid").applyInPandas(run, "qid int, id long, s string, dist int, rank int")
 
 
-def nearest_within(corpus: DataFrame, queries: DataFrame, eps: int, most: int) -> DataFrame:
-    """Strings under eps, the nearest ``most`` of each query: what the sequential baselines look at."""
-    w = Window.partitionBy("qid").orderBy("dist", "id")
-    return range_scan(corpus, queries, eps - 1).withColumn("r", F.row_number().over(w)).where(F.col("r") <= most).drop("r")
+def all_within(corpus: DataFrame, queries: DataFrame, eps: int) -> DataFrame:
+    """All strings under eps: the farthest ones are those that a spread-seeking baseline picks."""
+    return range_scan(corpus, queries, eps - 1)
 
 
 class _Pairs:
@@ -49,7 +48,7 @@ def _score(lam, rows, d, members) -> float:
     return lam * spread - (1 - lam) * sum(rows[i][2] for i in members) / n
 
 
-def swap_baseline(corpus: DataFrame, queries: DataFrame, *, k: int = 25, lam: float = 0.5, eps: int = 40, max_drop: int | None = None, gain: str = "spread", most: int = 400, candidates: DataFrame | None = None) -> DataFrame:
+def swap_baseline(corpus: DataFrame, queries: DataFrame, *, k: int = 25, lam: float = 0.5, eps: int = 40, max_drop: int | None = None, gain: str = "spread", candidates: DataFrame | None = None) -> DataFrame:
     """Start with the k nearest; each farther string replaces the member of least spread if that raises the gain."""
 
     def pick(rows):
@@ -69,10 +68,10 @@ def swap_baseline(corpus: DataFrame, queries: DataFrame, *, k: int = 25, lam: fl
                 total[t] = new
         return [rows[i][0] for i in s]
 
-    return _per_query(nearest_within(corpus, queries, eps, most) if candidates is None else candidates, pick)
+    return _per_query(all_within(corpus, queries, eps) if candidates is None else candidates, pick)
 
 
-def multipass_greedy(corpus: DataFrame, queries: DataFrame, *, k: int = 25, lam: float = 0.5, eps: int = 40, passes: int = 1, most: int = 400, candidates: DataFrame | None = None) -> DataFrame:
+def multipass_greedy(corpus: DataFrame, queries: DataFrame, *, k: int = 25, lam: float = 0.5, eps: int = 40, passes: int = 1, candidates: DataFrame | None = None) -> DataFrame:
     """k passes over all candidates; each adds the one with the best objective. Further passes try replacements."""
 
     def pick(rows):
@@ -97,7 +96,7 @@ def multipass_greedy(corpus: DataFrame, queries: DataFrame, *, k: int = 25, lam:
                         s[at] = best
         return [rows[i][0] for i in s]
 
-    return _per_query(nearest_within(corpus, queries, eps, most) if candidates is None else candidates, pick)
+    return _per_query(all_within(corpus, queries, eps) if candidates is None else candidates, pick)
 
 
 def exact_best(cands: DataFrame, goal: Goal, most: int = 18) -> DataFrame:

@@ -100,3 +100,11 @@ def test_plans(spark):
 def test_vectors(spark):
     v = clusters.hashed_grams(corpus(spark, ["small ring", "old bolt"]), dims=16).collect()
     assert all(abs(sum(x * x for x in r.vec) - 1) < 1e-9 for r in v)
+
+
+def test_baselines_look_at_all_strings_under_the_limit(spark):
+    c = corpus(spark, [f"a{i:03d}" for i in range(450)] + ["zzzzzzzzzzzz"])
+    q = src.literal_queries(spark, ["a000"])
+    for method in (baselines.swap_baseline, baselines.multipass_greedy):
+        got = method(c, q, k=3, eps=20).collect()
+        assert len(got) == 3 and 450 in {r.id for r in got}
