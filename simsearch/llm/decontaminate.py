@@ -19,7 +19,6 @@ give zero hits or no rows. Columns beside doc_id and text are not read.
 
 from __future__ import annotations
 
-import hashlib
 from collections import defaultdict
 from dataclasses import dataclass
 
@@ -159,22 +158,24 @@ def find_leaks(docs: DataFrame, benchmark: DataFrame, *, t: int = 10, k: int = 5
     items = benchmark.where(F.col("item_id").isNotNull()).select(F.col("item_id").cast("string").alias("i"), F.coalesce("text", F.lit("")).alias("t"))
     size = items.agg(F.coalesce(F.sum(F.length("t")), F.lit(0))).first()[0]
     n_blocks = 1 + size // (block_words * 5)
+    if n_blocks > 1:  # equal rows are told apart by a number, written once so that every block sees the same
+        docs = common.materialize(docs.withColumn("row_number", F.monotonically_increasing_id()), "numbered-texts")
     results = []
     for n in range(n_blocks):
         rows = items.where(F.pmod(F.xxhash64("i"), F.lit(n_blocks)) == n).collect() if n_blocks > 1 else items.collect()  # a block of bounded size
         block = spark.sparkContext.broadcast(make_block([(r.i, r.t.encode()) for r in rows], t, k))
-        results.append(_scan(docs, block, keep_text, n_blocks))
+        results.append(_scan(docs, block, keep_text))
     if len(results) == 1:
-        return results[0].drop("text_hash")
+        return results[0]
     keys = [c for c in docs.columns if keep_text or c != "text"]
     union = results[0]
     for r in results[1:]:
         union = union.unionByName(r)
-    # rows with equal keys are told apart by nothing but their text: its hash is part of the key
-    return union.groupBy(*keys, "text_hash").agg(F.first("n_words").alias("n_words"), F.array_sort(F.array_distinct(F.flatten(F.collect_list("hit")))).alias("hit"), F.array_sort(F.array_distinct(F.flatten(F.collect_list("items")))).alias("items")).drop("text_hash")
+    firsts = [F.first(c).alias(c) for c in keys if c != "row_number"]
+    return union.groupBy("row_number").agg(*firsts, F.first("n_words").alias("n_words"), F.array_sort(F.array_distinct(F.flatten(F.collect_list("hit")))).alias("hit"), F.array_sort(F.array_distinct(F.flatten(F.collect_list("items")))).alias("items")).drop("row_number")
 
 
-def _scan(docs: DataFrame, block, keep_text: bool, n_blocks: int) -> DataFrame:
+def _scan(docs: DataFrame, block, keep_text: bool) -> DataFrame:
     kept = [c for c in docs.columns if keep_text or c != "text"]
     fields = ", ".join(f"`{c}` {docs.schema[c].dataType.simpleString()}" for c in kept)
 
@@ -182,17 +183,16 @@ def _scan(docs: DataFrame, block, keep_text: bool, n_blocks: int) -> DataFrame:
         b = block.value
         for batch in common.by_bytes(batches, lambda x: [len(v) if v else 0 for v in x.column("text").cast(pa.large_binary()).to_pylist()], _BATCH):
             texts = batch.column("text").cast(pa.large_binary()).to_pylist()
-            n_words, hits, items, marks = [], [], [], []
+            n_words, hits, items = [], [], []
             for data in texts:
                 n, hit, found = hits_of(data or b"", b)
                 n_words.append(n)
                 hits.append(np.flatnonzero(hit).astype(np.int32))
                 items.append(sorted({b.ids[i] for i in found}))
-                marks.append(int.from_bytes(hashlib.blake2b(data or b"", digest_size=8).digest(), "little", signed=True) if n_blocks > 1 else 0)
             columns = [batch.column(c) for c in kept]
-            yield pa.RecordBatch.from_arrays([*columns, pa.array(n_words, pa.int64()), pa.array(hits, pa.list_(pa.int32())), pa.array(items, pa.list_(pa.string())), pa.array(marks, pa.int64())], names=[*kept, "n_words", "hit", "items", "text_hash"])
+            yield pa.RecordBatch.from_arrays([*columns, pa.array(n_words, pa.int64()), pa.array(hits, pa.list_(pa.int32())), pa.array(items, pa.list_(pa.string()))], names=[*kept, "n_words", "hit", "items"])
 
-    return docs.mapInArrow(run, f"{fields}{', ' if fields else ''}{_OUT}, text_hash long")
+    return docs.mapInArrow(run, f"{fields}{', ' if fields else ''}{_OUT}")
 
 
 def op3_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:

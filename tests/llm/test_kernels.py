@@ -212,3 +212,11 @@ def test_outliers_beyond_usual_limits_are_rejected(spark):
     kept = {r.doc_id: r.kept for r in rules.apply_rules(stats).collect()}
     assert [kept[i] for i in odd] == [False, False, False, True]
     assert sum(kept[i] for i in range(300)) >= 290
+
+
+def test_equal_rows_stay_apart_whatever_the_blocks(spark):
+    bench = spark.createDataFrame([(i, f"w{i} x y z") for i in range(6)], "item_id long, text string")
+    docs = spark.createDataFrame([(1, "w1 x y z w2 x y z")] * 3 + [(None, "w3 x y z")] * 2 + [(2, None)] * 2, DOCS)
+    for block in (2_000_000, 2):
+        got = Counter((r.doc_id, r.n_words, len(r.hit), ",".join(r["items"])) for r in decontaminate.find_leaks(docs, bench, block_words=block).collect())
+        assert got == {(1, 8, 8, "1,2"): 3, (None, 4, 4, "3"): 2, (2, 0, 0, ""): 2}
