@@ -207,10 +207,12 @@ def similar_pairs(pairs: DataFrame, classes: DataFrame, docs: DataFrame, n: int,
 
     def sets(batch):
         found = [shingles(t, n) for t in common.utf8(batch.column("text").to_pylist())]
-        return [batch.column("cls").to_pylist(), [s.astype("<u8").tobytes() for s in found]]
+        return [[digest(s)[0] for s in found], [s.astype("<u8").tobytes() for s in found]]
 
-    texts = docs.select("doc_id", "text").join(wanted, F.col("doc_id").eqNullSafe(F.col("rep"))).select("cls", "text")
-    held = common.materialize(_arrow(texts, sets, "cls long, s binary", [pa.int64(), pa.binary()]).dropDuplicates(["cls"]), "sets")
+    # ids may repeat or be null: a set's own digest says of which class it is
+    texts = docs.select("doc_id", "text").join(wanted.select("rep").distinct(), F.col("doc_id").eqNullSafe(F.col("rep")), "left_semi").select("text")
+    found = _arrow(texts, sets, "cls long, s binary", [pa.int64(), pa.binary()]).join(wanted.select("cls"), "cls", "left_semi")
+    held = common.materialize(found.dropDuplicates(["cls"]), "sets")
     joined = both.join(held.select(F.col("cls").alias("a"), F.col("s").alias("x")), "a").join(held.select(F.col("cls").alias("b"), F.col("s").alias("y")), "b")
 
     def compare(batches):

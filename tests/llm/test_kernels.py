@@ -220,3 +220,15 @@ def test_equal_rows_stay_apart_whatever_the_blocks(spark):
     for block in (2_000_000, 2):
         got = Counter((r.doc_id, r.n_words, len(r.hit), ",".join(r["items"])) for r in decontaminate.find_leaks(docs, bench, block_words=block).collect())
         assert got == {(1, 8, 8, "1,2"): 3, (None, 4, 4, "3"): 2, (2, 0, 0, ""): 2}
+
+
+def test_shared_ids_do_not_hide_links(spark):
+    text = lambda i, end="": " ".join(f"t{i}w{j}" for j in range(60)) + end
+    for shared in (7, None):
+        rows = [(shared, text(i)) for i in range(8)] + [(100 + i, text(i, " end")) for i in range(8)]
+        pairs = spark.createDataFrame(rows, DOCS)
+        classes = jaccard.profiles(pairs, 5).groupBy(F.col("d1").alias("cls")).agg(F.min("doc_id").alias("rep"), F.first("n").alias("n"), *[F.first(f"p{i}").alias(f"p{i}") for i in range(jaccard.BITMAPS)]).persist()
+        name = lambda t: jaccard.digest(jaccard.shingles(t.encode(), 5))[0]
+        links = [(name(text(i)), name(text(i, " end"))) for i in range(8)]
+        similar = jaccard.similar_pairs(spark.createDataFrame(links, "a long, b long"), classes, pairs, 5, 80)
+        assert {(r.a, r.b) for r in similar.collect()} == set(links)
