@@ -36,15 +36,37 @@ def shared_dir(spark: SparkSession) -> str:
     return f"file://{_local_dir}"
 
 
-def materialize(df: DataFrame, what: str, *, partition_by: str | None = None) -> DataFrame:
-    """Write df into the shared folder and read it back: cuts lineage and survives lost executors."""
+def materialize(df: DataFrame, what: str) -> DataFrame:
+    """Write df into the shared folder and read it back: cuts lineage and survives lost executors.
+
+    Whoever writes a table deletes it with ``discard`` once its successor is written."""
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/{what}-{uuid.uuid4().hex}"
-    writer = df.write
-    if partition_by:
-        writer = writer.partitionBy(partition_by)
-    writer.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    df.write.parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out.written_at = path
+    return out
+
+
+def discard(*tables: DataFrame) -> None:
+    """Delete written tables that nothing reads any more, and let go of the shuffles that made their successors."""
+    for t in tables:
+        path = t.__dict__.pop("written_at", None)
+        if path:
+            at = t.sparkSession._jvm.org.apache.hadoop.fs.Path(path)
+            at.getFileSystem(t.sparkSession._jsparkSession.sessionState().newHadoopConf()).delete(at, True)
+    if tables:
+        release(tables[0].sparkSession)
+
+
+def sealed(docs: DataFrame, *kept: str) -> tuple[DataFrame, list[str]]:
+    """docs with all columns but ``kept`` under names that no operator uses, and the old names in order (for ``toDF``)."""
+    return docs.toDF(*[c if c in kept else f"__column{i}" for i, c in enumerate(docs.columns)]), docs.columns
+
+
+def without(docs: DataFrame, *names: str) -> DataFrame:
+    """docs less the columns that an operator is about to add: a column that came in under such a name is replaced."""
+    return docs.drop(*[c for c in docs.columns if c.lower() in {n.lower() for n in names}])
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:

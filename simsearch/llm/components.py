@@ -23,7 +23,8 @@ def components(links: DataFrame, *, most_rounds: int = 50) -> DataFrame:
         low = large.groupBy("u").agg(F.min("v").alias("m"))
         small = large.join(low, "u")
         small = small.select("u", F.col("m").alias("v")).union(small.where("v != m").select(F.col("v").alias("u"), F.col("m").alias("v"))).where("u != v").distinct()
-        edges = common.materialize(small, "links")
+        edges, old = common.materialize(small, "links"), edges
+        common.discard(old)
         now = edges.agg(F.count(F.lit(1)), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first()
         if now == mark:
             break
@@ -32,4 +33,6 @@ def components(links: DataFrame, *, most_rounds: int = 50) -> DataFrame:
         raise RuntimeError("components did not settle")
     nodes = edges.groupBy("u").agg(F.min("v").alias("component")).withColumnRenamed("u", "node")
     roots = edges.select(F.col("v").alias("node")).distinct().withColumn("component", F.col("node"))
-    return nodes.union(roots)
+    out = common.materialize(nodes.union(roots), "components")
+    common.discard(edges)
+    return out

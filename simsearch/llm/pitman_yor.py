@@ -114,14 +114,6 @@ def pair_rows(parts: DataFrame) -> DataFrame:
     return parts.where(F.col("ctx").isNotNull()).select("chunk", "code", "id", "ctx", "n")
 
 
-def discard(table: DataFrame) -> None:
-    """Delete a written intermediate table that nothing reads any more."""
-    jvm, conf = table.sparkSession._jvm, table.sparkSession._jsparkSession.sessionState().newHadoopConf()
-    for folder in {f.rsplit("/", 1)[0] for f in table.inputFiles()}:
-        path = jvm.org.apache.hadoop.fs.Path(folder)
-        path.getFileSystem(conf).delete(path, True)
-
-
 def log_gamma(x: np.ndarray) -> np.ndarray:
     """Stirling's series after shifting small arguments up."""
     shift = np.zeros_like(x)
@@ -242,17 +234,14 @@ def fit(parts: DataFrame, *, burn_in: int = 1, samples: int = 2, strength: float
         pulled = pairs.join(words.select("id", parent(t_all, r_all).alias("p")), "id").join(around, "ctx")
         pulled = pulled.select(*pairs.columns, (F.col("pull") * F.col("p")).alias("push"))
         after = common.materialize(seated(pulled, "n", "t", d, seed, number), "lm-seating")
-        if number > 1:
-            discard(pairs)
-        discard(around)
+        common.discard(pairs, around)
         pairs = after
         sums = pairs.groupBy("id").agg(F.sum("t").alias("t"))
         filled = words.join(sums, "id", "left").withColumn("tables", F.col("once") + F.coalesce("t", F.lit(0))).drop("t")
         after = seated(filled.withColumn("push", F.lit((s + d * r_all) / (m.known + 1))), "tables", "r", d, seed, number)
         after, old = common.materialize(after, "lm-parent"), words
         words = after
-        discard(old)
-        common.release(spark)
+        common.discard(old)
         t_all, r_all = totals()
         if number > burn_in:
             j = number - burn_in - 1

@@ -4,12 +4,13 @@ import hashlib
 import random
 import zlib
 from collections import Counter
+from pathlib import Path
 
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from simsearch.llm import decontaminate, encoding, jaccard, pitman_yor, quality, repair, rules, separators, suffixes, toxicity
+from simsearch.llm import common, decontaminate, encoding, jaccard, pitman_yor, quality, repair, rules, separators, suffixes, toxicity
 from simsearch.llm.components import components
 
 DOCS = "doc_id long, text string"
@@ -92,23 +93,71 @@ def test_leaks_edges(spark):
         assert {(7, 5, 3, "1,4"), (1, 0, 0, ""), (4, 1, 0, ""), (8, 16, 12, "3"), (None, 12, 3, "1,4")} <= got
 
 
-def test_signatures_lose_no_similar_pair():
+def brute_shingles(text, n):
+    words = "".join(chr(ord(c) + 32) if "A" <= c <= "Z" else c for c in text or "").split()
+    return {tuple(words[i : i + min(n, len(words))]) for i in range(max(1, len(words) - n + 1))} if words else set()
+
+
+def test_sets_match_brute_force():
+    rng = random.Random(8)
+    texts = ["", "  ", "one", "one TWO", "One two", "a b c d", "a b c d a b c d a b c"] + [" ".join(rng.choice("abcÄ") * rng.randint(1, 2) for _ in range(rng.randint(0, 60))) for _ in range(50)]
+    for n in (1, 3, 5):
+        want = [brute_shingles(t, n) for t in texts]
+        sets = jaccard.Sets([t.encode() for t in texts], n)
+        assert sets.size.tolist() == [len(w) for w in want]
+        names = list(zip(*(x.tolist() for x in sets.digests())))
+        for i, a in enumerate(texts):
+            assert (jaccard.shingles(a.encode(), n) == sets[i]).all()
+            for j in range(i):
+                assert len(np.intersect1d(sets[i], sets[j])) == len(want[i] & want[j])
+                assert (names[i] == names[j]) == (want[i] == want[j])
+
+
+@pytest.mark.parametrize(("parts", "spared"), [(3, 1), (4, 1), (5, 2), (2, 1)])
+def test_signatures_lose_no_similar_pair(parts, spared):
     rng = np.random.default_rng(5)
-    bands = jaccard.Bands(80, 2)
+    bands = jaccard.Bands(80, parts, spared)
+    words = [f"w{i}" for i in range(5000)]
     for n in (1, 4, 5, 9, 30, 200):
-        for _ in range(40):
-            a = np.unique(rng.integers(0, 1 << 63, n).astype(np.uint64))
+        for _ in range(25):
+            a = list(rng.permutation(words)[:n])
             b = a.copy()
             for _ in range(rng.integers(0, max(1, n // 5) + 1)):
                 if rng.random() < 0.5 and len(b) > 1:
-                    b = np.delete(b, rng.integers(len(b)))
+                    b.pop(rng.integers(len(b)))
                 else:
-                    b = np.append(b, rng.integers(0, 1 << 63))
-            b = np.unique(b.astype(np.uint64))
-            inter = len(np.intersect1d(a, b))
-            if 100 * inter >= 80 * (len(a) + len(b) - inter) and inter < max(len(a), len(b)):
-                assert set(bands.signatures(a)) & set(bands.signatures(b))
-                assert np.bitwise_count(jaccard.parity(a) ^ jaccard.parity(b)).sum() <= len(np.setxor1d(a, b))
+                    b.append(f"x{rng.integers(1000)}")
+            sets = jaccard.Sets([" ".join(x).encode() for x in (a, b)], 1)
+            inter, union = len({*a} & {*b}), len({*a} | {*b})
+            if 100 * inter >= 80 * union and inter < union:
+                sig, whose = bands.signatures(sets, np.ones(2, bool))
+                assert set(sig[whose == 0].tolist()) & set(sig[whose == 1].tolist())
+                bits = sets.parities().view(np.uint64)
+                assert np.bitwise_count(bits[0] ^ bits[1]).sum() <= union - inter
+
+
+def test_members_do_not_depend_on_how_rows_are_held(spark):
+    """Every two classes that share a signature are tied through the rows of that signature, whatever met where."""
+    words = [" ".join(f"w{(i * 7 + j) % 40}" for j in range(12)) for i in range(40)] * 2
+    docs = spark.createDataFrame([(t,) for t in words], "text string").repartition(5)
+    bands = lambda: jaccard.Bands(80)
+    sets = jaccard.Sets([w.encode() for w in words[:40]], 1)
+    sig, whose = bands().signatures(sets, np.ones(40, bool))
+    of = {}
+    for s, w in zip(sig.tolist(), sets.digests()[0][whose].tolist()):
+        of.setdefault(s, set()).add(w)
+    want = {s: x for s, x in of.items() if len(x) > 1}
+    for flush, slices in ((1_000_000, 1), (50, 1), (1, 2)):
+        got = {}
+        for part in range(slices):
+            for r in jaccard.members(jaccard.signature_rows(docs, 1, bands(), part, slices, flush)).collect():
+                got.setdefault(r.sig, []).append((r.low, r.cls))
+        assert {s: {c for _, c in x} for s, x in got.items()} == want
+        for x in got.values():
+            tied = {min(c for _, c in x)}
+            for _ in x:
+                tied |= {c for low, c in x if low in tied} | {low for low, c in x if c in tied}
+            assert tied == {c for _, c in x}
 
 
 def test_near_duplicates_edges(spark):
@@ -120,6 +169,30 @@ def test_near_duplicates_edges(spark):
     assert jaccard.near_duplicates(spark.createDataFrame([], DOCS)).count() == 0
 
 
+def test_near_duplicates_match_brute_force_and_clean_up(spark):
+    rng = random.Random(2)
+    base = [[rng.choice("abcdefghijklmnop") + rng.choice("xyz") for _ in range(rng.randint(1, 70))] for _ in range(12)]
+    texts = []
+    for words in base * 5:
+        words = words.copy()
+        for _ in range(rng.randint(0, 3)):
+            words[rng.randrange(len(words))] = rng.choice("qrst")
+        texts.append(" ".join(words))
+    sets = [brute_shingles(t, 3) for t in texts]
+    label = list(range(len(texts)))
+    for i, a in enumerate(sets):
+        for j, b in enumerate(sets[:i]):
+            if a and 100 * len(a & b) >= 80 * len(a | b) and label[i] != label[j]:
+                old, new = max(label[i], label[j]), min(label[i], label[j])
+                label = [new if x == old else x for x in label]
+    before = sorted(Path(common.shared_dir(spark).removeprefix("file://")).iterdir())
+    docs = spark.createDataFrame(list(enumerate(texts)), DOCS).repartition(6)
+    got = {r.doc_id: (r.n_shingles, r.component_id) for r in jaccard.near_duplicates(docs, n=3, percent=80).collect()}
+    assert got == {i: (len(s), c) for i, (s, c) in enumerate(zip(sets, label))}
+    left = {p.name.rsplit("-", 1)[0] for p in Path(common.shared_dir(spark).removeprefix("file://")).iterdir() if p not in before}
+    assert left == {"profiles", "components"}  # what the lazy result reads
+
+
 def test_components(spark):
     links = spark.createDataFrame([(i, i + 1) for i in range(9)] + [(20, 30), (30, 20), (5, 5)], "a long, b long")
     assert {(r.node, r.component) for r in components(links).collect()} == {(i, 0) for i in range(10)} | {(20, 20), (30, 20)}
@@ -228,7 +301,7 @@ def test_shared_ids_do_not_hide_links(spark):
         rows = [(shared, text(i)) for i in range(8)] + [(100 + i, text(i, " end")) for i in range(8)]
         pairs = spark.createDataFrame(rows, DOCS)
         classes = jaccard.profiles(pairs, 5).groupBy(F.col("d1").alias("cls")).agg(F.min("doc_id").alias("rep"), F.first("n").alias("n"), *[F.first(f"p{i}").alias(f"p{i}") for i in range(jaccard.BITMAPS)]).persist()
-        name = lambda t: jaccard.digest(jaccard.shingles(t.encode(), 5))[0]
+        name = lambda t: int(jaccard.Sets([t.encode()], 5).digests()[0][0])
         links = [(name(text(i)), name(text(i, " end"))) for i in range(8)]
         similar = jaccard.similar_pairs(spark.createDataFrame(links, "a long, b long"), classes, pairs, 5, 80)
         assert {(r.a, r.b) for r in similar.collect()} == set(links)
