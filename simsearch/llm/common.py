@@ -16,6 +16,7 @@ from pyspark.sql import functions as F
 SPACE = r"[\x20\x09-\x0D]+"
 
 _local_dir: str | None = None
+_written: list[str] = []
 
 
 def shared_dir(spark: SparkSession) -> str:
@@ -45,20 +46,38 @@ def materialize(df: DataFrame, what: str) -> DataFrame:
     df.write.parquet(path)
     out = spark.read.schema(df.schema).parquet(path)
     out.written_at = path
+    _written.append(path)
     return out
 
 
+def _delete(spark: SparkSession, path: str) -> None:
+    at = spark._jvm.org.apache.hadoop.fs.Path(path)
+    at.getFileSystem(spark._jsparkSession.sessionState().newHadoopConf()).delete(at, True)
+    if path in _written:
+        _written.remove(path)
+
+
 def discard(*tables: DataFrame) -> None:
     """Delete written tables that nothing reads any more, and let go of the shuffles that made their successors."""
     for t in tables:
         path = t.__dict__.pop("written_at", None)
         if path:
-            at = t.sparkSession._jvm.org.apache.hadoop.fs.Path(path)
-            at.getFileSystem(t.sparkSession._jsparkSession.sessionState().newHadoopConf()).delete(at, True)
+            _delete(t.sparkSession, path)
     if tables:
         release(tables[0].sparkSession)
 
 
+def written_so_far() -> set[str]:
+    return set(_written)
+
+
+def sweep(kept: DataFrame, before: set[str]) -> None:
+    """Once ``kept`` is written: delete all tables written on the way to it, that is since ``before`` was taken."""
+    for path in set(_written) - before - {kept.__dict__.get("written_at")}:
+        _delete(kept.sparkSession, path)
+    release(kept.sparkSession)
+
+
 def sealed(docs: DataFrame, *kept: str) -> tuple[DataFrame, list[str]]:
     """docs with all columns but ``kept`` under names that no operator uses, and the old names in order (for ``toDF``)."""
     return docs.toDF(*[c if c in kept else f"__column{i}" for i, c in enumerate(docs.columns)]), docs.columns

@@ -153,13 +153,16 @@ _OUT = "n_words long, hit array<int>, items array<string>"
 
 
 def find_leaks(docs: DataFrame, benchmark: DataFrame, *, t: int = 10, k: int = 5, block_words: int = 2_000_000, keep_text: bool = False) -> DataFrame:
-    """Per row of docs: its columns (text only if wanted), n_words, hit (places of hit words), items (ids as strings, sorted)."""
+    """Per row of docs: its columns (text only if wanted), n_words, hit (places of hit words), items (ids as strings, sorted).
+
+    Columns that came in under the names n_words, hit or items are replaced."""
     spark = docs.sparkSession
+    docs = common.without(docs, "n_words", "hit", "items", "__row")
     items = benchmark.where(F.col("item_id").isNotNull()).select(F.col("item_id").cast("string").alias("i"), F.coalesce("text", F.lit("")).alias("t"))
     size = items.agg(F.coalesce(F.sum(F.length("t")), F.lit(0))).first()[0]
     n_blocks = 1 + size // (block_words * 5)
     if n_blocks > 1:  # equal rows are told apart by a number, written once so that every block sees the same
-        docs = common.materialize(docs.withColumn("row_number", F.monotonically_increasing_id()), "numbered-texts")
+        docs = common.materialize(docs.withColumn("__row", F.monotonically_increasing_id()), "numbered-texts")
     results = []
     for n in range(n_blocks):
         rows = items.where(F.pmod(F.xxhash64("i"), F.lit(n_blocks)) == n).collect() if n_blocks > 1 else items.collect()  # a block of bounded size
@@ -171,8 +174,8 @@ def find_leaks(docs: DataFrame, benchmark: DataFrame, *, t: int = 10, k: int = 5
     union = results[0]
     for r in results[1:]:
         union = union.unionByName(r)
-    firsts = [F.first(c).alias(c) for c in keys if c != "row_number"]
-    return union.groupBy("row_number").agg(*firsts, F.first("n_words").alias("n_words"), F.array_sort(F.array_distinct(F.flatten(F.collect_list("hit")))).alias("hit"), F.array_sort(F.array_distinct(F.flatten(F.collect_list("items")))).alias("items")).drop("row_number")
+    firsts = [F.first(c).alias(c) for c in keys if c != "__row"]
+    return union.groupBy("__row").agg(*firsts, F.first("n_words").alias("n_words"), F.array_sort(F.array_distinct(F.flatten(F.collect_list("hit")))).alias("hit"), F.array_sort(F.array_distinct(F.flatten(F.collect_list("items")))).alias("items")).drop("__row")
 
 
 def _scan(docs: DataFrame, block, keep_text: bool) -> DataFrame:

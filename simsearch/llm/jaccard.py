@@ -185,16 +185,21 @@ def pieces(batches):
     return common.by_bytes(batches, lambda b: [max(len(v or ""), _PIECE >> 11) for v in b.column("text").to_pylist()], _PIECE)
 
 
+def text_key():
+    """64 bits by which rows of one id are told apart."""
+    return F.xxhash64(F.col("text").isNull(), F.col("text"))
+
+
 def profiles(docs: DataFrame, n: int) -> DataFrame:
-    """Per row: doc_id, n, the digest of its set, the set's parity bitmaps."""
+    """Per row: doc_id, t (key of its text), n, the digest of its set, the set's parity bitmaps."""
 
     def run(batches):
         for batch in pieces(batches):
             sets = Sets(common.utf8(batch.column("text").to_pylist()), n)
             bits = sets.parities()
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id").cast(pa.int64()), pa.array(sets.size), *map(pa.array, sets.digests()), *(pa.array(np.ascontiguousarray(bits[:, i])) for i in range(BITMAPS))], names=["doc_id", "n", "d1", "d2", *(f"p{i}" for i in range(BITMAPS))])
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id").cast(pa.int64()), batch.column("t"), pa.array(sets.size), *map(pa.array, sets.digests()), *(pa.array(np.ascontiguousarray(bits[:, i])) for i in range(BITMAPS))], names=["doc_id", "t", "n", "d1", "d2", *(f"p{i}" for i in range(BITMAPS))])
 
-    return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, n long, d1 long, d2 long, " + ", ".join(f"p{i} long" for i in range(BITMAPS)))
+    return docs.select("doc_id", "text", text_key().alias("t")).mapInArrow(run, "doc_id long, t long, n long, d1 long, d2 long, " + ", ".join(f"p{i} long" for i in range(BITMAPS)))
 
 
 _PAIRS = "sig long, cls long, low long"
@@ -380,6 +385,19 @@ def near_duplicates(docs: DataFrame, *, n: int = 5, percent: int = 80) -> DataFr
     return full.join(least, "c").select("doc_id", F.col("n").alias("n_shingles"), "component_id").union(alone)
 
 
+def one_of_each(docs: DataFrame, *, n: int = 5, percent: int = 80) -> DataFrame:
+    """Rows of docs, one of each group of similar texts: that with the smallest doc_id (null last), of those with equal ids
+    the one with the smallest key of its text. Texts without words are similar to nothing; only equal ones of one id are one."""
+    rows, found = link_classes(docs.select("doc_id", "text"), n=n, percent=percent)
+    full = rows.where("n > 0").join(found, F.col("d1") == F.col("node"), "left").select("doc_id", "t", F.coalesce("component", "d1").alias("c"))
+    first = full.groupBy("c").agg(F.min(F.struct(F.col("doc_id").isNull().alias("x"), "doc_id", "t")).alias("k")).select("k.doc_id", "k.t")
+    chosen = first.union(rows.where("n = 0").select("doc_id", "t")).distinct()
+    chosen = common.materialize(chosen.select(F.col("doc_id").alias("__id"), F.col("t").alias("__t")), "kept")
+    common.discard(rows, found)
+    same = F.col("doc_id").eqNullSafe(F.col("__id")) & (F.col("__key") == F.col("__t"))
+    return docs.withColumn("__key", text_key()).join(chosen, same, "left_semi").dropDuplicates(["doc_id", "__key"]).drop("__key")
+
+
 def op8_shingle_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_duplicates(common.documents(spark, sf_dir).select("doc_id", "text"), n=3, percent=90)
 

@@ -7,8 +7,8 @@ documents and one fractional repetition: its documents in a seeded order, as far
 
 Defined cases: a null source is a source of its own, last in order. Null or empty texts have size 0 and are
 taken 0 words. Sources without any words get target 0. Equal ids or rows tie by size; equal rows are
-interchangeable. An empty table gives an empty result. Extra columns are kept by ``mix_documents``; the
-working columns carry a prefix of their own.
+interchangeable. An empty table gives an empty result. Extra columns are kept by ``mix_documents``, except those that
+begin with the prefix of its own columns, which are replaced. Only sizes of texts take part, whatever their length.
 """
 
 from __future__ import annotations
@@ -68,8 +68,9 @@ def source_targets(sized: DataFrame, *, weights=(1, 2, 3), max_epochs: float = 3
     return per.select(f"{_P}source", f"{_P}source_size", F.col("w").alias(f"{_P}weight"), target.alias(f"{_P}target"))
 
 
-def source_plan(sized: DataFrame, *, weights=(1, 2, 3), max_epochs: float = 3.0, budget_share: float = 1.0, bucket_digits: int = 3) -> DataFrame:
-    """One row per source: size, target, whole repetitions, and the last md5 that the fractional one takes.
+def source_plan(sized: DataFrame, *, weights=(1, 2, 3), max_epochs: float = 3.0, budget_share: float = 1.0, bucket_digits: int = 3) -> tuple[DataFrame, list[DataFrame]]:
+    """One row per source: size, target, whole repetitions, and the last md5 that the fractional one takes; and the written
+    tables that it reads.
 
     The seeded order is by md5. A running sum over a whole source would put a hot source into one task, so
     sums per leading digits of the md5 find the one group of digits where the fraction ends, and only that
@@ -78,7 +79,8 @@ def source_plan(sized: DataFrame, *, weights=(1, 2, 3), max_epochs: float = 3.0,
     targets = source_targets(sized, weights=weights, max_epochs=max_epochs, budget_share=budget_share)
     whole = F.when(F.col(f"{_P}source_size") > 0, F.floor(F.col(f"{_P}target") / F.col(f"{_P}source_size"))).otherwise(F.lit(0))
     targets = targets.withColumn(f"{_P}whole", whole.cast("int")).withColumn(f"{_P}need", F.col(f"{_P}target") - F.col(f"{_P}whole") * F.col(f"{_P}source_size"))
-    targets = common.materialize(targets, "mix-targets").withColumnRenamed(f"{_P}source", "s")
+    written = common.materialize(targets, "mix-targets")
+    targets = written.withColumnRenamed(f"{_P}source", "s")
     here = F.col(f"{_P}source").eqNullSafe(F.col("s"))
     buckets = sized.groupBy(f"{_P}source", f"{_P}bucket").agg(F.sum(f"{_P}size").alias("n"))
     running = Window.partitionBy(f"{_P}source").orderBy(f"{_P}bucket").rowsBetween(Window.unboundedPreceding, -1)
@@ -92,7 +94,7 @@ def source_plan(sized: DataFrame, *, weights=(1, 2, 3), max_epochs: float = 3.0,
     # without an edge the fraction ends between two groups: none at all, or up to the last group below need
     full = buckets.where(F.col(f"{_P}before") + F.col("n") <= F.col(f"{_P}need")).groupBy("s").agg(F.max(f"{_P}bucket").alias("top"))
     out = targets.join(last, here, "left").drop(f"{_P}source").join(full.withColumnRenamed("s", "s2"), F.col("s").eqNullSafe(F.col("s2")), "left")
-    return out.select("s", f"{_P}source_size", f"{_P}target", f"{_P}whole", F.coalesce("last", F.concat(F.col("top"), F.lit("~")), F.lit("")).alias(f"{_P}last"))
+    return out.select(F.col("s").alias(f"{_P}s"), f"{_P}source_size", f"{_P}target", f"{_P}whole", F.coalesce("last", F.concat(F.col("top"), F.lit("~")), F.lit("")).alias(f"{_P}last")), [written, edge]
 
 
 def bounded_broadcast(df: DataFrame, rows: int = 20_000) -> DataFrame:
@@ -109,11 +111,14 @@ def mix_documents(docs: DataFrame, *, size=None, weights=(1, 2, 3), max_epochs:
 
     size: the column that measures a document, by default the words of its text. The plan of the sources is
     worked out on ids and numbers and written; the documents themselves are joined to it without a shuffle."""
+    docs = docs.drop(*[c for c in docs.columns if c.startswith(_P)])
     slim = docs.select(F.col("source").alias(f"{_P}source"), (word_count(F.col("text")) if size is None else size).alias(f"{_P}size"), seeded_key(F.col("doc_id"), seed).alias(f"{_P}key"))
     slim = common.materialize(slim, "mix-sizes")
-    plan = common.materialize(source_plan(slim, weights=weights, max_epochs=max_epochs, budget_share=budget_share, bucket_digits=bucket_digits), "mix-plan")
+    plan, used = source_plan(slim, weights=weights, max_epochs=max_epochs, budget_share=budget_share, bucket_digits=bucket_digits)
+    plan = common.materialize(plan, "mix-plan")
+    common.discard(slim, *used)
     sized = docs.withColumns({f"{_P}size": word_count(F.col("text")) if size is None else size, f"{_P}key": seeded_key(F.col("doc_id"), seed)})
-    joined = sized.join(bounded_broadcast(plan), F.col("source").eqNullSafe(F.col("s")), "left").drop("s")
+    joined = sized.join(bounded_broadcast(plan), F.col("source").eqNullSafe(F.col(f"{_P}s")), "left").drop(f"{_P}s")
     copies = F.when(F.col(f"{_P}size") > 0, F.col(f"{_P}whole") + (F.col(f"{_P}key") <= F.col(f"{_P}last")).cast("int")).otherwise(F.lit(0))
     return joined.withColumn(f"{_P}copies", copies.cast("int")).drop(f"{_P}key", f"{_P}whole", f"{_P}last")
 

@@ -154,7 +154,8 @@ def score_texts(texts: list[bytes], chain: Chain) -> np.ndarray:
 
 
 def score_documents(docs: DataFrame, chain: Chain, *, batch_bytes: int = 4 << 20) -> DataFrame:
-    """docs with a column quality_score; all other columns pass through."""
+    """docs with a column quality_score; all other columns pass through, one that came in under that name is replaced."""
+    docs = common.without(docs, "quality_score")
     model = docs.sparkSession.sparkContext.broadcast(chain)
     kinds = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema)
 
