@@ -4,7 +4,7 @@ Every stage takes (spark, docs, sf_dir) and returns a DataFrame that is written
 the next one. All but the last return the columns of documents; the last returns what the token files hold per document.
 
 Rows that are equal in all columns count as copies of each other; a document without any word is not a duplicate of
-anything. Documents that the mixture repeats are repeated rows. Empty tables give empty tables.
+anything else. Columns beside those that a stage needs pass through it whatever their names are. Documents that the mixture repeats are repeated rows. Empty tables give empty tables.
 """
 
 from __future__ import annotations
@@ -14,33 +14,34 @@ from pyspark.sql import functions as F
 
 from simsearch.llm import common, decontaminate, jaccard, mixing, quality, repair
 
-#: SQL cannot express the fitted classifier of the first stage; tests compare with a brute-force version.
+#: SQL cannot express the fitted classifier of the first stage; tests/llm/test_pipeline.py compares all stages with a brute-force version.
 ORACLE_SQL = None
 
 
 def keep_good(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents whose lines are likely good by the chain model fitted on the labels."""
     model = quality.fit_quality(docs, common.table(spark, sf_dir, "labels"))
-    return quality.score_documents(docs, model).where("quality_score >= 0.5").drop("quality_score")
+    safe, names = common.sealed(docs, "doc_id", "text")
+    return quality.score_documents(safe, model).where("quality_score >= 0.5").drop("quality_score").toDF(*names)
 
 
 def keep_one_of_group(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of documents linked by five-word shingles at a similarity of 0.8 or more, the one with the smallest id."""
-    groups = jaccard.near_duplicates(docs.select("doc_id", "text"), n=5, percent=80)
-    first = groups.where(F.col("doc_id").eqNullSafe(F.col("component_id"))).select(F.col("doc_id").alias("__id")).distinct()
-    kept = docs.join(first, F.col("doc_id").eqNullSafe(F.col("__id")), "left_semi")
-    return kept.withColumn("__text", F.xxhash64("text")).dropDuplicates(["doc_id", "__text"]).drop("__text")
+    safe, names = common.sealed(docs, "doc_id", "text")
+    return jaccard.one_of_each(safe, n=5, percent=80).toDF(*names)
 
 
 def drop_leaks(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that hold no window of a benchmark item."""
-    found = decontaminate.find_leaks(docs, common.table(spark, sf_dir, "benchmark").select("item_id", "text"), keep_text=True)
-    return found.where(F.size("hit") == 0).select(*docs.columns)
+    safe, names = common.sealed(docs, "doc_id", "text")
+    found = decontaminate.find_leaks(safe, common.table(spark, sf_dir, "benchmark").select("item_id", "text"), keep_text=True)
+    return found.where(F.size("hit") == 0).select(*safe.columns).toDF(*names)
 
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents as often as the mixture takes them; weights 1, 2, 3 over the sources, three repetitions at most."""
-    return mixing.repeat(mixing.mix_documents(docs))
+    safe, names = common.sealed(docs, "doc_id", "text", "source")
+    return mixing.repeat(mixing.mix_documents(safe)).toDF(*names)
 
 
 def write_tokens(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -54,6 +55,8 @@ STAGES = [("quality", keep_good), ("near_duplicates", keep_one_of_group), ("deco
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = common.documents(spark, sf_dir)
     for name, stage in STAGES:
+        before, old = common.written_so_far(), docs
         docs = common.materialize(stage(spark, docs, sf_dir), f"stage-{name}")
-        common.release(spark)
+        common.sweep(docs, before)
+        common.discard(old)
     return docs
