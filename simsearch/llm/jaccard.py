@@ -125,6 +125,13 @@ class Sets:
         return np.packbits(bits.astype(np.uint8), bitorder="little").view(np.int64).reshape(-1, BITMAPS)
 
 
+def histogram(hashes: np.ndarray, cells: int = 1024) -> bytes:
+    """How many hashes fall into each cell, 255 at most: the differences of two histograms never add up to more than the
+    sets have differences. Unlike parities they tell large sets apart."""
+    cell = (common.mix64(hashes ^ np.uint64(0x7654321)) % np.uint64(cells)).astype(np.int64)
+    return np.minimum(np.bincount(cell, minlength=cells), 255).astype(np.uint8).tobytes()
+
+
 def shingles(text: bytes, n: int) -> np.ndarray:
     return Sets([text], n).hashes
 
@@ -300,7 +307,7 @@ def may_be_similar(percent: int):
 def similar_pairs(pairs: DataFrame, classes: DataFrame, docs: DataFrame, n: int, percent: int) -> DataFrame:
     """Those of pairs (a, b) of classes whose sets are similar, by their whole sets.
 
-    Sizes and parity bitmaps first: both only drop pairs that cannot be similar."""
+    Sizes and parity bitmaps first, then histograms: all only drop pairs that cannot be similar."""
     small = classes.select("cls", "n", *[f"p{i}" for i in range(BITMAPS)])
     both = pairs.join(sided(small, "l"), F.col("a") == F.col("l_cls")).join(sided(small, "r"), F.col("b") == F.col("r_cls")).where(may_be_similar(percent))
     both = common.materialize(both.select("a", "b"), "pairs")
@@ -309,26 +316,34 @@ def similar_pairs(pairs: DataFrame, classes: DataFrame, docs: DataFrame, n: int,
     def sets(batches):
         for batch in pieces(batches):
             found = Sets(common.utf8(batch.column("text").to_pylist()), n)
-            yield pa.RecordBatch.from_arrays([pa.array(found.digests()[0]), pa.array([found[i].astype("<u8").tobytes() for i in range(batch.num_rows)], pa.binary())], names=["cls", "s"])
+            yield pa.RecordBatch.from_arrays([pa.array(found.digests()[0]), pa.array(found.size), pa.array([histogram(found[i]) for i in range(batch.num_rows)], pa.binary()), pa.array([found[i].astype("<u8").tobytes() for i in range(batch.num_rows)], pa.binary())], names=["cls", "n", "h", "s"])
 
     # ids may repeat or be null: a set's own digest says of which class it is
     texts = docs.select("doc_id", "text").join(wanted.select("rep").distinct(), F.col("doc_id").eqNullSafe(F.col("rep")), "left_semi").select("text")
-    found = texts.mapInArrow(sets, "cls long, s binary").join(wanted.select("cls"), "cls", "left_semi")
+    found = texts.mapInArrow(sets, "cls long, n long, h binary, s binary").join(wanted.select("cls"), "cls", "left_semi")
     held = common.materialize(found.dropDuplicates(["cls"]), "sets")
-    joined = both.join(held.select(F.col("cls").alias("a"), F.col("s").alias("x")), "a").join(held.select(F.col("cls").alias("b"), F.col("s").alias("y")), "b")
 
-    def compare(batches):
-        for batch in batches:
-            keep = []
-            for x, y in zip(batch.column("x"), batch.column("y")):
-                x, y = np.frombuffer(x.as_buffer(), "<u8"), np.frombuffer(y.as_buffer(), "<u8")
-                inter = len(np.intersect1d(x, y, assume_unique=True))
-                keep.append(100 * inter >= percent * (len(x) + len(y) - inter))
-            mask = pa.array(keep, pa.bool_())
-            yield pa.RecordBatch.from_arrays([batch.column("a").filter(mask), batch.column("b").filter(mask)], names=["a", "b"])
-
-    out = common.materialize(joined.select("a", "b", "x", "y").mapInArrow(compare, "a long, b long"), "similar")
-    common.discard(both, wanted, held)
+    def near(m, n, x, y):
+        x, y = np.frombuffer(x.as_buffer(), np.uint8), np.frombuffer(y.as_buffer(), np.uint8)
+        return int(np.abs(x.astype(np.int16) - y).sum()) * (100 + percent) <= (m + n) * (100 - percent)
+
+    def similar(m, n, x, y):
+        inter = len(np.intersect1d(np.frombuffer(x.as_buffer(), "<u8"), np.frombuffer(y.as_buffer(), "<u8"), assume_unique=True))
+        return 100 * inter >= percent * (m + n - inter)
+
+    def those(some: DataFrame, value: str, test) -> DataFrame:
+        def run(batches):
+            for batch in batches:
+                rows = zip(batch.column("m").to_pylist(), batch.column("n").to_pylist(), batch.column("x"), batch.column("y"))
+                mask = pa.array([test(*r) for r in rows], pa.bool_())
+                yield pa.RecordBatch.from_arrays([batch.column("a").filter(mask), batch.column("b").filter(mask)], names=["a", "b"])
+
+        left, right = held.select(F.col("cls").alias("a"), F.col("n").alias("m"), F.col(value).alias("x")), held.select(F.col("cls").alias("b"), "n", F.col(value).alias("y"))
+        return some.join(left, "a").join(right, "b").select("a", "b", "m", "n", "x", "y").mapInArrow(run, "a long, b long")
+
+    close = common.materialize(those(both, "h", near), "close")
+    out = common.materialize(those(close, "s", similar), "similar")
+    common.discard(both, wanted, held, close)
     return out
 
 
