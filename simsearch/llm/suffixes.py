@@ -1,23 +1,26 @@
 """Removal of long repeated strings by common-prefix interval trees over anchored suffixes.
 
-A string of ``length`` bytes holds an anchor: of its k-byte pieces the one whose hash is smallest (the rightmost of
-equals). Equal strings have the same anchor at the same offset, so only occurrences of anchors with equal pieces
-can repeat each other, and only suffixes that begin at anchors need sorting. An occurrence's context is what
-strings over the anchor can reach: ``length`` bytes to the right of its begin, ``length - k`` to the left.
-
-Contexts that occur twice are repeated as a whole; that is a count per digest. For the different contexts of an anchor
-an enhanced suffix array is made: suffixes in order with the lengths of common prefixes. A stack scan gives the
-intervals of the prefix tree. Within an interval the left sides are sorted and scanned the same way: a group of
-occurrences whose left sides part at one length and whose right sides part at another is a maximal repeat. Groups are
-reported with all of their occurrences.
-
-An anchor with very many different contexts is split without loss: strings over it begin 0 to length-k bytes before it;
+A string of ``short`` bytes or more holds an anchor: of the k-byte pieces of its first ``short`` bytes the one whose hash is
+smallest (the rightmost of equals). Equal strings have the same anchor at the same offset, so only occurrences of anchors
+with equal pieces can repeat each other, and only suffixes that begin at anchors need sorting. An occurrence's context is what
+strings of ``length`` bytes over the anchor can reach: ``length`` bytes to the right of its begin, ``short - k`` to the left.
+Anchors whose piece occurs once, which most do, are left out before anything else is done.
+
+Contexts that occur twice are repeated as a whole; that is a count per context (named by the digests of piece and context,
+128 bits together). For the different contexts of an anchor an enhanced suffix array is made: suffixes in order with the
+lengths of common prefixes. A stack scan gives the intervals of the prefix tree. Within an interval the left sides are
+sorted and scanned the same way: a group of occurrences whose left sides part at one length and whose right sides part at
+another is a maximal repeat. Groups are reported with all of their occurrences; from them follow the bytes that repeated
+strings of ``length`` bytes cover, which are removed, and those that repeated strings of ``short`` bytes cover, which are counted.
+
+An anchor with very many different contexts is split without loss: strings over it begin 0 to short-k bytes before it;
 each half of that range has a longer core that equal strings share, and the occurrences are dealt by the digest of their
 core. Halving ends at single begins, where the core is the string and a count decides.
 
-Defined cases: null and empty texts have no bytes; texts shorter than ``length`` lose nothing. Matches never reach
+Defined cases: null and empty texts have no bytes; texts shorter than ``short`` have no repeats. Matches never reach
 over a text's end. Equal rows are different texts, so all of their strings repeat. Cuts may split characters: what
-is left is bytes. Null ids are kept. Columns beside doc_id and text are not read.
+is left is bytes. Null ids are kept. A long text is read in stretches of some MB that overlap. Columns beside doc_id and text
+are not read. An empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -61,7 +64,7 @@ def sliding_min(x: np.ndarray, w: int) -> np.ndarray:
 
 
 def anchors(data: bytes, length: int) -> list[int]:
-    """Places of the anchors of all strings of the length, in order."""
+    """Places of the anchors of all strings of the length (the shorter of the two), in order."""
     raw = np.frombuffer(data, np.uint8)
     out: list[int] = []
     for begin in range(0, max(0, len(raw) - length + 1), _STRETCH):
@@ -77,7 +80,7 @@ def anchors(data: bytes, length: int) -> list[int]:
     return out
 
 
-def anchor_rows(docs: DataFrame, length: int) -> DataFrame:
+def anchor_rows(docs: DataFrame, length: int, short: int) -> DataFrame:
     """(h, c, doc_id, uid, pos, nl, nr): anchor digest, context digest, where, and bytes of context on both sides."""
 
     def run(batches):
@@ -85,10 +88,10 @@ def anchor_rows(docs: DataFrame, length: int) -> DataFrame:
             columns: list[list] = [[] for _ in range(7)]
             for doc_id, uid, data in zip(batch.column("doc_id").to_pylist(), batch.column("uid").to_pylist(), common.utf8(batch.column("text").to_pylist())):
                 n = len(data)
-                if n < length:
+                if n < short:
                     continue
-                for p in anchors(data, length):
-                    nl, nr = min(p, length - K), min(n - p, length)
+                for p in anchors(data, short):
+                    nl, nr = min(p, short - K), min(n - p, length)
                     h, c = xxhash.xxh3_64_intdigest(data[p : p + K]), xxhash.xxh3_64_intdigest(data[p - nl : p + nr], nl)
                     for column, v in zip(columns, (h, c, doc_id, uid, p, nl, nr)):
                         column.append(v)
@@ -144,31 +147,38 @@ def _span(left: int, right: int, least: int, from_: int, to: int):
     return (-high, least - low) if low <= high else None
 
 
-def group_spans(rows: DataFrame, length: int) -> DataFrame:
-    """(h, c, lo, hi) for groups of rows (g, h, c, left, right, d0, d1), each group within one task."""
+_SPAN = "h long, c long, kind int, lo int, hi int"
+
+
+def group_spans(rows: DataFrame, sizes: dict[int, int]) -> DataFrame:
+    """(h, c, kind, lo, hi) for groups of rows (g, h, c, left, right, d0, d1), each group within one task.
+
+    sizes: for each kind of result the bytes of its strings."""
 
     def run(batches):
         key, rows_of = None, []
-        out: list[list] = [[], [], [], []]
+        out: list[list] = [[], [], [], [], []]
 
         def close():
             if len(rows_of) < 2:
                 return
             lefts, rights, d0, d1 = [r[2] for r in rows_of], [r[3] for r in rows_of], rows_of[0][4], rows_of[0][5]
             # every stretch holds the anchor, so what covers a member is one stretch
-            best: dict[int, tuple[int, int]] = {}
-            for left, right, members in repeat_groups(lefts, rights, length, d0, d1):
-                s = _span(left, right, length, d0, d1)
-                if s:
-                    for m in members:
-                        lo, hi = best.get(m, s)
-                        best[m] = (min(lo, s[0]), max(hi, s[1]))
-            for m, (lo, hi) in best.items():
-                for column, v in zip(out, (rows_of[m][0], rows_of[m][1], lo, hi)):
+            best: dict[tuple[int, int], tuple[int, int]] = {}
+            for left, right, members in repeat_groups(lefts, rights, min(sizes.values()), d0, d1):
+                for kind, size in sizes.items():
+                    s = _span(left, right, size, d0, d1) if left + right >= size else None
+                    if s:
+                        for m in members:
+                            lo, hi = best.get((kind, m), s)
+                            best[kind, m] = (min(lo, s[0]), max(hi, s[1]))
+            for (kind, m), (lo, hi) in best.items():
+                for column, v in zip(out, (rows_of[m][0], rows_of[m][1], kind, lo, hi)):
                     column.append(v)
 
         def flush():
-            batch = pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(out, (pa.int64(), pa.int64(), pa.int32(), pa.int32()))], names=["h", "c", "lo", "hi"])
+            types = (pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.int32())
+            batch = pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(out, types)], names=["h", "c", "kind", "lo", "hi"])
             for x in out:
                 x.clear()
             return batch
@@ -186,7 +196,7 @@ def group_spans(rows: DataFrame, length: int) -> DataFrame:
         yield flush()
 
     ordered = rows.repartition("g").sortWithinPartitions("g")
-    return ordered.select("g", "h", "c", "left", "right", "d0", "d1").mapInArrow(run, "h long, c long, lo int, hi int")
+    return ordered.select("g", "h", "c", "left", "right", "d0", "d1").mapInArrow(run, _SPAN)
 
 
 def halves(rows: DataFrame, length: int) -> DataFrame:
@@ -202,44 +212,70 @@ def halves(rows: DataFrame, length: int) -> DataFrame:
     return both.withColumns({"g": F.xxhash64("g", "d0", "d1", core), "f": F.xxhash64(F.least(nl, F.col("d1") - 1), whole), "f2": F.crc32(whole)})
 
 
-def repeated_spans(docs: DataFrame, *, length: int = 400, most: int = 256) -> DataFrame:
-    """(doc_id, uid, begin, end): stretches of docs (doc_id, uid, text) that repeated strings of the length cover.
+def repeated_anchors(docs: DataFrame, length: int, short: int) -> DataFrame:
+    """Written anchor rows of those anchors whose piece occurs more than once."""
+    found = common.materialize(anchor_rows(docs, length, short), "anchors")
+    again = common.materialize(found.groupBy("h").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("h"), "pieces")
+    out = common.materialize(found.join(again, "h", "left_semi"), "anchors")
+    common.discard(found, again)
+    return out
+
+
+def split_spans(rows: DataFrame, kind: int, size: int, most: int) -> list[DataFrame]:
+    """Written spans of strings of one size over anchors with very many different contexts."""
+    spans, hot, held = [], rows, []
+    while hot.limit(1).count():
+        dealt = common.materialize(halves(hot, size), "halves")
+        same = common.materialize(dealt.groupBy("g", "f", "f2").agg(F.sum("n").alias("n"), F.min(F.struct("h", "c")).alias("k")), "cores")
+        nl, nr = F.length("left"), F.length("right")
+        twice = dealt.join(same.where("n > 1").select("g", "f", "f2"), ["g", "f", "f2"])
+        spans.append(common.materialize(twice.select("h", "c", F.lit(kind).alias("kind"), (-F.least(nl, F.col("d1") - 1)).alias("lo"), F.least(nr, F.lit(size) - F.col("d0")).alias("hi")), "spans"))
+        # one row per different context goes on; what it finds holds for its equals, which are covered already
+        groups = same.groupBy("g").agg(F.count(F.lit(1)).alias("m"))
+        lone = same.join(groups.where("m > 1"), "g").select("g", "f", "f2", "n", "m", "k.h", "k.c")
+        rest = common.materialize(dealt.drop("n").join(lone, ["g", "f", "f2", "h", "c"]).drop("f", "f2"), "halves")
+        spans.append(common.materialize(group_spans(rest.where(F.col("m") <= most).drop("m"), {kind: size}), "spans"))
+        common.discard(dealt, same, *held)
+        hot, held = rest.where(F.col("m") > most).drop("m"), [rest]
+    common.discard(*held)
+    return spans
+
+
+def repeated_spans(docs: DataFrame, *, length: int = 400, short: int = 256, most: int = 256) -> DataFrame:
+    """(doc_id, uid, kind, begin, end): stretches of docs (doc_id, uid, text) that repeated strings cover, of ``length`` bytes
+    (kind 0) and of ``short`` bytes (kind 1).
 
     Stretches may overlap. most: different contexts of an anchor up to which one task sorts them; more are split."""
-    spark = docs.sparkSession
-    found = common.materialize(anchor_rows(docs, length), "anchors")
+    spark, sizes = docs.sparkSession, {0: length, 1: short}
+    found = repeated_anchors(docs, length, short)
     classes = found.groupBy("h", "c").agg(F.count(F.lit(1)).alias("n"), F.min(F.struct("doc_id", "uid", "pos", "nl", "nr")).alias("rep"))
     classes = common.materialize(classes, "contexts")
     common.release(spark)
-    whole = classes.where("n > 1").select("h", "c", (-F.col("rep.nl")).alias("lo"), F.col("rep.nr").alias("hi"))
+    kinds = F.explode(F.array(*[F.struct(F.lit(k).alias("kind"), F.lit(size).alias("size")) for k, size in sizes.items()])).alias("x")
+    whole = classes.where("n > 1").select("h", "c", kinds, "rep").where(F.col("rep.nl") + F.col("rep.nr") >= F.col("x.size"))
+    whole = whole.select("h", "c", "x.kind", (-F.col("rep.nl")).alias("lo"), F.least(F.col("rep.nr"), F.col("x.size")).alias("hi"))
     open_ = classes.groupBy("h").agg(F.count(F.lit(1)).alias("m"), F.min("n").alias("fewest")).where("m > 1 and fewest = 1").select("h", "m")
+    open_ = common.materialize(open_, "open")
     wanted = classes.join(open_, "h").select("h", "c", "n", "m", "rep.*")
     per = wanted.groupBy("doc_id", "uid").agg(F.collect_list(F.struct("h", "c", "n", "m", "pos", "nl", "nr")).alias("x"))  # at most a text's anchors
     fetched = per.withColumnRenamed("doc_id", "i").withColumnRenamed("uid", "u").join(docs, F.col("i").eqNullSafe(F.col("doc_id")) & (F.col("u") == F.col("uid")))
     fetched = fetched.select(F.encode("text", "utf-8").alias("b"), F.explode("x").alias("x"))
-    rows = fetched.select(F.col("x.h").alias("g"), "x.h", "x.c", "x.n", "x.m", F.expr("substring(b, cast(x.pos - x.nl + 1 as int), x.nl)").alias("left"), F.expr("substring(b, cast(x.pos + 1 as int), x.nr)").alias("right"), F.lit(0).alias("d0"), F.lit(length - K + 1).alias("d1"))
+    rows = fetched.select(F.col("x.h").alias("g"), "x.h", "x.c", "x.n", "x.m", F.expr("substring(b, cast(x.pos - x.nl + 1 as int), x.nl)").alias("left"), F.expr("substring(b, cast(x.pos + 1 as int), x.nr)").alias("right"), F.lit(0).alias("d0"), F.lit(short - K + 1).alias("d1"))
     rows = common.materialize(rows.dropDuplicates(["h", "c"]), "context-bytes")
-    common.release(spark)
-    spans = [whole, common.materialize(group_spans(rows.where(F.col("m") <= most), length), "spans")]
+    common.discard(open_)
+    spans = [common.materialize(group_spans(rows.where(F.col("m") <= most), sizes), "spans")]
     hot = rows.where(F.col("m") > most).drop("m")
-    while hot.limit(1).count():
-        dealt = common.materialize(halves(hot, length), "halves")
-        same = dealt.groupBy("g", "f", "f2").agg(F.sum("n").alias("n"), F.min(F.struct("h", "c")).alias("k"))
-        sizes = same.groupBy("g").agg(F.count(F.lit(1)).alias("m"))
-        twice = same.where("n > 1").select("g", "f", "f2")
-        nl, nr = F.length("left"), F.length("right")
-        spans.append(common.materialize(dealt.join(twice, ["g", "f", "f2"]).select("h", "c", (-F.least(nl, F.col("d1") - 1)).alias("lo"), F.least(nr, F.lit(length) - F.col("d0")).alias("hi")), "spans"))
-        # one row per different context goes on; what it finds holds for its equals, which are covered already
-        lone = same.join(sizes.where("m > 1"), "g").select("g", "f", "f2", "n", "m", "k.h", "k.c")
-        rest = common.materialize(dealt.drop("n").join(lone, ["g", "f", "f2", "h", "c"]).drop("f", "f2"), "halves")
-        spans.append(common.materialize(group_spans(rest.where(F.col("m") <= most), length), "spans"))
-        hot = rest.where(F.col("m") > most).drop("m")
-    every = spans[0]
-    for s in spans[1:]:
+    for kind, size in sizes.items():
+        spans += split_spans(hot, kind, size, most)
+    every = whole
+    for s in spans:
         every = every.union(s)
-    every = every.groupBy("h", "c").agg(F.min("lo").alias("lo"), F.max("hi").alias("hi"))
-    common.release(spark)
-    return common.materialize(found.join(every, ["h", "c"]).select("doc_id", "uid", (F.col("pos") + F.col("lo")).alias("begin"), (F.col("pos") + F.col("hi")).alias("end")), "stretches")
+    every = common.materialize(every.groupBy("h", "c", "kind").agg(F.min("lo").alias("lo"), F.max("hi").alias("hi")), "cover")
+    common.discard(classes, rows, *spans)
+    out = found.join(every, ["h", "c"]).select("doc_id", "uid", "kind", (F.col("pos") + F.col("lo")).alias("begin"), (F.col("pos") + F.col("hi")).alias("end"))
+    out = common.materialize(out, "stretches")
+    common.discard(found, every)
+    return out
 
 
 def maximal_repeats(docs: DataFrame, *, length: int = 400) -> DataFrame:
@@ -269,9 +305,8 @@ def maximal_repeats(docs: DataFrame, *, length: int = 400) -> DataFrame:
         yield table(list(close()) if rows_of else [])
 
     docs = with_uid(docs)
-    found = common.materialize(anchor_rows(docs, length), "anchors")
-    shared = found.groupBy("h").agg(F.count(F.lit(1)).alias("m")).where("m > 1").select("h")
-    per = found.join(shared, "h").groupBy(F.col("doc_id").alias("i"), F.col("uid").alias("u")).agg(F.collect_list(F.struct("h", "pos", "nl", "nr")).alias("x"))
+    found = repeated_anchors(docs, length, length)
+    per = found.groupBy(F.col("doc_id").alias("i"), F.col("uid").alias("u")).agg(F.collect_list(F.struct("h", "pos", "nl", "nr")).alias("x"))
     fetched = per.join(docs, F.col("i").eqNullSafe(F.col("doc_id")) & (F.col("u") == F.col("uid"))).select("doc_id", F.encode("text", "utf-8").alias("b"), F.explode("x").alias("x"))
     rows = fetched.select("x.h", "doc_id", F.expr("substring(b, cast(x.pos - x.nl + 1 as int), x.nl)").alias("left"), F.expr("substring(b, cast(x.pos + 1 as int), x.nr)").alias("right"), "x.pos")
     return rows.repartition("h").sortWithinPartitions("h", "doc_id", "pos").mapInArrow(run, "repeat string, n_bytes int, doc_id long, begin long")
@@ -282,40 +317,49 @@ def with_uid(docs: DataFrame) -> DataFrame:
     return docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text")).withColumn("uid", F.xxhash64("doc_id", "text"))
 
 
-def remove_repeats(docs: DataFrame, *, length: int = 400, keep_bytes: bool = True, **options) -> DataFrame:
-    """Per row: doc_id, n_bytes, spans (removed stretches), kept_sha256 and, if wanted, kept (the remaining bytes)."""
+def remove_repeats(docs: DataFrame, *, length: int = 400, short: int = 256, keep_bytes: bool = True, **options) -> DataFrame:
+    """Per row: doc_id, n_bytes, spans (removed stretches), kept_sha256, if wanted kept (the remaining bytes), and n_short:
+    bytes that strings of ``short`` bytes cover which start anywhere else as well; they are counted, not removed."""
     marked = with_uid(docs)
-    spans = repeated_spans(marked, length=length, **options)
-    common.release(docs.sparkSession)
-    per = spans.groupBy(F.col("doc_id").alias("i"), F.col("uid").alias("u")).agg(F.collect_set(F.struct("begin", "end")).alias("x"))
-    joined = marked.join(per, F.col("i").eqNullSafe(F.col("doc_id")) & (F.col("u") == F.col("uid")), "left").select("doc_id", "text", F.col("x.begin").alias("begin"), F.col("x.end").alias("end"))
+    spans = repeated_spans(marked, length=length, short=short, **options)
+    per = spans.groupBy(F.col("doc_id").alias("i"), F.col("uid").alias("u")).agg(F.collect_set(F.struct("kind", "begin", "end")).alias("x"))
+    joined = marked.join(per, F.col("i").eqNullSafe(F.col("doc_id")) & (F.col("u") == F.col("uid")), "left").select("doc_id", "text", F.col("x.kind").alias("kind"), F.col("x.begin").alias("begin"), F.col("x.end").alias("end"))
+
+    def merge(stretches):
+        merged: list[list[int]] = []
+        for a, b in sorted(stretches):
+            if merged and a <= merged[-1][1]:
+                merged[-1][1] = max(merged[-1][1], b)
+            else:
+                merged.append([a, b])
+        return merged
 
     def run(batches):
         for batch in common.by_bytes(batches, lambda b: [len(v or "") for v in b.column("text").to_pylist()], 8 << 20):
-            ids, sizes, cuts, sums, kept = batch.column("doc_id"), [], [], [], []
-            for data, begin, end in zip(common.utf8(batch.column("text").to_pylist()), batch.column("begin").to_pylist(), batch.column("end").to_pylist()):
-                merged: list[list[int]] = []
-                for a, b in sorted(zip(begin or [], end or [])):
-                    if merged and a <= merged[-1][1]:
-                        merged[-1][1] = max(merged[-1][1], b)
-                    else:
-                        merged.append([a, b])
+            ids, sizes, cuts, sums, kept, short_ = batch.column("doc_id"), [], [], [], [], []
+            of = [batch.column(c).to_pylist() for c in ("kind", "begin", "end")]
+            for data, kind, begin, end in zip(common.utf8(batch.column("text").to_pylist()), *of):
+                stretches = list(zip(kind or [], begin or [], end or []))
+                merged = merge((a, b) for k, a, b in stretches if k == 0)
                 edges = [0, *(x for m in merged for x in m), len(data)]
                 left = b"".join(data[a:b] for a, b in zip(edges[::2], edges[1::2]))
                 sizes.append(len(data))
                 cuts.append([{"begin": a, "end": b} for a, b in merged])
                 sums.append(hashlib.sha256(left).hexdigest())
                 kept.append(left if keep_bytes else None)
+                short_.append(sum(b - a for a, b in merge((a, b) for k, a, b in stretches if k == 1)))
             span = pa.list_(pa.struct([("begin", pa.int64()), ("end", pa.int64())]))
-            yield pa.RecordBatch.from_arrays([ids, pa.array(sizes, pa.int64()), pa.array(cuts, span), pa.array(sums), pa.array(kept, pa.binary())], names=["doc_id", "n_bytes", "spans", "kept_sha256", "kept"])
+            yield pa.RecordBatch.from_arrays([ids, pa.array(sizes, pa.int64()), pa.array(cuts, span), pa.array(sums), pa.array(kept, pa.binary()), pa.array(short_, pa.int64())], names=["doc_id", "n_bytes", "spans", "kept_sha256", "kept", "n_short"])
 
-    return joined.mapInArrow(run, "doc_id long, n_bytes long, spans array<struct<begin: long, end: long>>, kept_sha256 string, kept binary")
+    return joined.mapInArrow(run, "doc_id long, n_bytes long, spans array<struct<begin: long, end: long>>, kept_sha256 string, kept binary, n_short long")
 
 
 def op1_repeated_strings(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Beside the columns asked for n_repeated_256: bytes that 256-byte strings cover which also start anywhere else, from the
+    same trees. A passage of some fifty words has fewer than the 400 bytes that are needed to be removed."""
     out = remove_repeats(common.documents(spark, sf_dir).select("doc_id", "text"), keep_bytes=False)
     removed = F.aggregate("spans", F.lit(0).cast("long"), lambda a, s: a + s["end"] - s["begin"])
-    return out.select("doc_id", "n_bytes", removed.alias("n_removed"), F.size("spans").cast("long").alias("n_spans"), "kept_sha256")
+    return out.select("doc_id", "n_bytes", removed.alias("n_removed"), F.size("spans").cast("long").alias("n_spans"), "kept_sha256", F.col("n_short").alias("n_repeated_256"))
 
 
 ORACLE: dict[str, str] = {}

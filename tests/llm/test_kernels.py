@@ -34,11 +34,42 @@ def test_repeats_match_brute_force(spark, most):
     rng = random.Random(3)
     word = lambda n: "".join(rng.choice("abcdefgh é") for _ in range(n))
     passage = word(700)
-    texts = [word(200) + passage[: rng.randint(380, 700)] + word(150) for _ in range(9)] + [passage] * 2 + ["ab" * 500, word(399), "", None]
-    docs = spark.createDataFrame(list(enumerate(texts)), DOCS)
+    texts = [word(200) + passage[: rng.randint(230, 700)] + word(150) for _ in range(12)] + [passage] * 2 + ["ab" * 500, word(399), "", None]
+    docs = spark.createDataFrame(list(enumerate(texts)), DOCS).withColumn("uid", F.lit("clash"))
     got = {r.doc_id: r for r in suffixes.remove_repeats(docs, length=400, most=most).collect()}
-    for i, (n, sha) in enumerate(brute_removed([(t or "").encode() for t in texts], 400)):
-        assert (sum(s.end - s.begin for s in got[i].spans), got[i].kept_sha256) == (n, sha)
+    every = [(t or "").encode() for t in texts]
+    for i, ((n, sha), (n_short, _)) in enumerate(zip(brute_removed(every, 400), brute_removed(every, 256))):
+        assert (sum(s.end - s.begin for s in got[i].spans), got[i].kept_sha256, got[i].n_short) == (n, sha, n_short)
+    assert suffixes.remove_repeats(docs.limit(0)).count() == 0
+
+
+def test_maximal_repeats_match_brute_force(spark):
+    """Every occurrence of every string of the length that occurs twice lies in a group of its own string's occurrences."""
+    rng = random.Random(5)
+    word = lambda n: "".join(rng.choice("abc") for _ in range(n))
+    passage = word(260)
+    texts = [word(60) + passage[a:b] + word(60) for a, b in ((0, 260), (20, 240), (0, 130), (100, 260))] + [word(200)]
+    size = 100
+    found = suffixes.maximal_repeats(spark.createDataFrame(list(enumerate(texts)), DOCS), length=size).collect()
+    groups = {}
+    for r in found:
+        groups.setdefault((r.repeat, r.n_bytes), []).append((r.doc_id, r.begin))
+    for (_, n), places in groups.items():
+        assert len({texts[i][b : b + n] for i, b in places}) == 1 and len(places) > 1  # one string
+        assert len({texts[i][b - 1 : b] for i, b in places}) > 1 or len({texts[i][b + n : b + n + 1] for i, b in places}) > 1 or n >= size
+    at = {}
+    for i, t in enumerate(texts):
+        for p in range(len(t) - size + 1):
+            at.setdefault(t[p : p + size], []).append((i, p))
+    for places in at.values():
+        if len(places) > 1:
+            (i, p), others = places[0], set(places[1:])
+            seen = set()
+            for (_, n), members in groups.items():
+                for j, b in members:
+                    if j == i and b <= p and p + size <= b + n:
+                        seen |= {(x, y + p - b) for x, y in members}
+            assert others <= seen
 
 
 def test_repeat_groups_have_all_occurrences():
