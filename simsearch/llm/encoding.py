@@ -1,14 +1,18 @@
-"""Token ids of whole texts by a public byte-level tokenizer, with a bounded cache of space-led pieces.
+"""Token ids of whole texts by a public byte-level tokenizer, with a bounded table of space-led parts.
 
 The pattern of byte-level BPE starts a new piece at every space that follows a non-white character, so a text may be
-cut there and the parts encoded on their own. Parts repeat; each process encodes a part once while it stays
-in the cache. Texts with white space before a space are given to the tokenizer whole.
+cut there and the parts encoded on their own. Parts repeat; each process encodes a part once while it stays in the table.
+All parts of some MB of text are looked up at once: a part is named by two 64-bit tabulation hashes of its bytes, the first to
+find it, the second to confirm it. A part of Latin letters alone is one piece of the pattern, so the tokenizer's merges are
+asked for it directly; a punctuation mark after it is a piece of its own. Texts with white space before a space are given to
+the tokenizer whole.
 """
 
 from __future__ import annotations
 
 import os
 import re
+from itertools import chain
 
 import numpy as np
 
@@ -16,88 +20,197 @@ os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
 
 _UNSAFE = re.compile(r"\s ")
 _JOINT = "\x0b"
+#: Latin letters (letters in every version of the character tables) and a mark after them.
+_WORD = re.compile("([A-Za-z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u024f]+)([.,;:!?]?)")
+_LONGEST = 64  # bytes of a part that is kept
+_GROUP = 2 << 20
+_HEAD = np.uint64(0x5DEECE66D1234567)
 _held: dict = {}
 
 
+def _tables() -> list[np.ndarray]:
+    draw = np.random.default_rng(20240229)
+    return [draw.integers(0, 1 << 64, (_LONGEST + 1) * 256, np.uint64, endpoint=False) for _ in range(2)]
+
+
 class Encoder:
-    def __init__(self, path: str, *, specials_as_text: bool = False, cache_size: int = 500_000, longest: int = 200):
+    def __init__(self, path: str, *, specials_as_text: bool = False, cache_size: int = 2_000_000):
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
         self.tokenizer.encode_special_tokens = specials_as_text
-        self.cache: dict[str, bytes] = {}
-        self.older: dict[str, bytes] = {}  # the cache before it was last begun anew
-        self.cache_size, self.longest = cache_size, longest
+        self.cache_size = cache_size
         joint = self._ids(_JOINT)
         self.joint = joint[0] if len(joint) == 1 else None
+        self.marks = {c: self._ids(c) for c in ".,;:!?"} | {"": []}
+        self.letter = self._byte_letters()
+        self.tables = _tables()
+        self._begin()
+
+    def _begin(self) -> None:
+        """An empty table. names is sorted, slot says where a name's other values are; store holds the ids."""
+        self.names, self.slot = np.zeros(0, np.uint64), np.zeros(0, np.int64)
+        self.proof, self.at, self.count = np.zeros(0, np.uint64), np.zeros(0, np.int64), np.zeros(0, np.int64)
+        self.store, self.used = np.zeros(1 << 16, np.uint32), 0
+
+    def _byte_letters(self) -> dict[int, str] | None:
+        """How the model writes each byte; None where it doesn't take words written so as they are."""
+        from tokenizers import pre_tokenizers
+
+        plain = [*range(33, 127), *range(161, 173), *range(174, 256)]
+        self.letter = {b: chr(b) for b in plain} | {b: chr(256 + i) for i, b in enumerate(b for b in range(256) if b not in set(plain))}
+        self.merges, self.space = self.tokenizer.model.tokenize, self.letter[32]
+        fits = isinstance(self.tokenizer.pre_tokenizer, pre_tokenizers.ByteLevel) and self.tokenizer.normalizer is None
+        return self.letter if fits and all(self._letters(w) == self._ids(" " + w) for w in ("word", "Ünïté", "thandanst")) else None
+
+    def _letters(self, word: str, before: str = " ") -> list[int]:
+        written = word if word.isascii() else "".join(map(self.letter.__getitem__, word.encode()))
+        return [t.id for t in self.merges(self.space + written if before else written)]
 
     def _ids(self, text: str) -> list[int]:
         return self.tokenizer.encode_batch_fast([text], add_special_tokens=False)[0].ids  # no offsets, the same ids
 
-    def _whole(self, text: str) -> bytes:
-        return np.array(self._ids(text), "<u4").tobytes()
-
-    def _learn(self, parts: set[str]) -> None:
-        plain, total, rest = [], 0, []
-        for p in parts:
-            if self.joint is None or not p or p[-1].isspace() or _JOINT in p:
-                rest.append(p)
-                continue
-            plain.append(p)
-            total += len(p) + 2
-            if total > 200_000:
-                self._bulk(plain)
-                plain, total = [], 0
+    def _head(self, part: str) -> list[int]:
+        """Ids of a part that begins a text."""
+        word = _WORD.fullmatch(part) if self.letter is not None else None
+        return self._letters(word[1], "") + self.marks[word[2]] if word else self._ids(part)
+
+    def _learn(self, parts: list[str]) -> list[list[int]]:
+        """Ids of parts that a space comes before."""
+        out: list = [None] * len(parts)
+        words: dict[str, list[int]] = {}
+        plain, total = [], 0
+        for i, p in enumerate(parts):
+            word = _WORD.fullmatch(p) if self.letter is not None else None
+            if word:
+                letters, mark = word.groups()
+                ids = words.get(letters)
+                if ids is None:
+                    ids = words[letters] = self._letters(letters)
+                out[i] = ids + self.marks[mark] if mark else ids
+            elif self.joint is None or not p or p[-1].isspace() or _JOINT in p:
+                out[i] = self._ids(" " + p)
+            else:
+                plain.append(i)
+                total += len(p) + 2
+                if total > 200_000:
+                    self._bulk(parts, plain, out)
+                    plain, total = [], 0
         if plain:
-            self._bulk(plain)
-        for p in rest:
-            self.cache[p] = self._whole(" " + p)
+            self._bulk(parts, plain, out)
+        return out
 
-    def _bulk(self, parts: list[str]) -> None:
+    def _bulk(self, parts: list[str], which: list[int], out: list) -> None:
         """Encode many parts as one text, joined by a white character that always is a token of its own."""
-        ids = np.array(self._ids(" " + f"{_JOINT} ".join(parts)), "<u4")
-        cuts = np.flatnonzero(ids == self.joint)
-        if len(cuts) != len(parts) - 1:
-            for p in parts:
-                self.cache[p] = self._whole(" " + p)
+        ids = self._ids(" " + f"{_JOINT} ".join(parts[i] for i in which))
+        cuts = [n for n, x in enumerate(ids) if x == self.joint]
+        if len(cuts) != len(which) - 1:
+            for i in which:
+                out[i] = self._ids(" " + parts[i])
             return
-        data, begin = ids.tobytes(), 0
-        for p, end in zip(parts, [*(cuts * 4).tolist(), len(data)]):
-            self.cache[p] = data[begin:end]
-            begin = end + 4
+        begin = 0
+        for i, end in zip(which, [*cuts, len(ids)]):
+            out[i] = ids[begin:end]
+            begin = end + 1
+
+    def _put(self, ids: list[list[int]]) -> tuple[np.ndarray, np.ndarray]:
+        """Ids go to the end of the store: where they begin, and how many they are."""
+        count = np.array([len(x) for x in ids], np.int64)
+        end = self.used + np.cumsum(count)
+        size = int(end[-1]) if len(end) else self.used
+        if size > len(self.store):
+            self.store = np.concatenate((self.store, np.zeros(max(size, 2 * len(self.store)) - len(self.store), np.uint32)))
+        self.store[self.used : size] = np.fromiter(chain.from_iterable(ids), np.uint32, size - self.used)
+        self.used = size
+        return end - count, count
+
+    def _group(self, segments: list[tuple[bytes, bool]]) -> list[bytes]:
+        """Ids of segments (bytes, whether a text begins there; else a space comes before)."""
+        if len(self.names) > self.cache_size:
+            self._begin()
+        data = b" ".join([s for s, _ in segments])
+        raw = np.frombuffer(data, np.uint8)
+        space = np.flatnonzero(raw == 32)
+        starts, ends = np.concatenate(([0], space + 1)), np.append(space, len(raw))
+        parts_of = np.array([s.count(b" ") + 1 for s, _ in segments])
+        edge = np.concatenate(([0], np.cumsum(parts_of)))
+        head = np.zeros(len(starts), bool)
+        head[edge[:-1][[h for _, h in segments]]] = True
+        size = ends - starts
+        place = np.minimum(np.arange(len(raw)) - np.repeat(starts, size + 1)[: len(raw)], _LONGEST).astype(np.int32) * 256 + raw
+        names = []
+        with np.errstate(over="ignore"):
+            for table in self.tables:
+                sums = np.zeros(len(raw) + 1, np.uint64)
+                np.cumsum(table[place], dtype=np.uint64, out=sums[1:])
+                names.append(sums[ends] - sums[starts] + size.astype(np.uint64) * _HEAD + np.where(head, _HEAD, np.uint64(0)))
+        del place, sums
+        at, count = np.zeros(len(starts), np.int64), np.zeros(len(starts), np.int64)
+        usual = np.flatnonzero(size <= _LONGEST)
+        found, first, inverse = np.unique(names[0][usual], return_index=True, return_inverse=True)
+        proof = names[1][usual][first]
+        where = np.minimum(np.searchsorted(self.names, found), max(len(self.names) - 1, 0))
+        known = self.names[where] == found if len(self.names) else np.zeros(len(found), bool)
+        slot = np.zeros(len(found), np.int64)
+        slot[known] = self.slot[where[known]]
+        new = np.flatnonzero(~known)
+        if len(new):
+            i = usual[first[new]]
+            words = [data[a:b].decode() for a, b in zip(starts[i].tolist(), ends[i].tolist())]
+            begins = head[i]
+            ids: list = [None] * len(words)
+            led = np.flatnonzero(~begins).tolist()
+            for n, x in zip(led, self._learn([words[n] for n in led])):
+                ids[n] = x
+            for n in np.flatnonzero(begins).tolist():
+                ids[n] = self._head(words[n])
+            slot[new] = len(self.proof) + np.arange(len(new))
+            put, many = self._put(ids)
+            self.proof, self.at, self.count = np.append(self.proof, proof[new]), np.append(self.at, put), np.append(self.count, many)
+            into = np.searchsorted(self.names, found[new])
+            self.names, self.slot = np.insert(self.names, into, found[new]), np.insert(self.slot, into, slot[new])
+        if not ((self.proof[slot] == proof).all() and (proof[inverse] == names[1][usual]).all()):
+            raise RuntimeError("two parts have the same 64-bit name")
+        at[usual], count[usual] = self.at[slot][inverse], self.count[slot][inverse]
+        kept, long = self.used, np.flatnonzero(size > _LONGEST)
+        if len(long):
+            words = [("" if head[n] else " ") + data[starts[n] : ends[n]].decode() for n in long.tolist()]
+            at[long], count[long] = self._put([self._ids(w) for w in words])
+        stop = np.cumsum(count)
+        flat = self.store[np.repeat(at - (stop - count), count) + np.arange(stop[-1])].astype("<u4", copy=False)
+        self.used = kept
+        cut = np.concatenate(([0], stop))[edge].tolist()
+        return [flat[a:b].tobytes() for a, b in zip(cut, cut[1:])]
 
     def encode(self, texts: list[str]) -> list[bytes]:
         """Ids of every text as little-endian unsigned 32-bit integers."""
-        out: list = [None] * len(texts)
-        cut: list[tuple[int, int, int]] = []
-        parts: list[str] = []
+        out: list[list[bytes]] = [[] for _ in texts]
+        group, owner, total = [], [], 0
+
+        def flush():
+            for i, ids in zip(owner, self._group(group)):
+                out[i].append(ids)
+
         for i, t in enumerate(texts):
             if not t:
-                out[i] = b""
-            elif _UNSAFE.search(t):
-                out[i] = self._whole(t)
-            else:
-                begin = len(parts)
-                parts += t.split(" ")
-                cut.append((i, begin, len(parts)))
-        if len(self.cache) > self.cache_size:
-            self.cache, self.older = {}, self.cache
-        heads = [(b, parts[b]) for _, b, _ in cut]
-        for b, _ in heads:
-            parts[b] = ""  # has no space before it
-        missing = set(parts).difference(self.cache)
-        missing.discard("")
-        back = missing & self.older.keys()
-        self.cache.update((p, self.older[p]) for p in back)
-        self._learn(missing - back)
-        self.cache.setdefault("", self._whole(" "))
-        ids = list(map(self.cache.__getitem__, parts))
-        for (i, b, e), (_, head) in zip(cut, heads):
-            ids[b] = self._whole(head)
-            out[i] = b"".join(ids[b:e])
-        for p in [p for p in missing if len(p) > self.longest]:
-            self.cache.pop(p, None)
-        return out
+                continue
+            if _UNSAFE.search(t):
+                out[i].append(np.array(self._ids(t), "<u4").tobytes())
+                continue
+            data, a = t.encode(), 0
+            while a <= len(data):  # a long text is cut at spaces
+                b = len(data) if len(data) - a <= _GROUP else data.find(b" ", a + _GROUP)
+                b = len(data) if b < 0 else b
+                group.append((data[a:b], a == 0))
+                owner.append(i)
+                total += b - a
+                a = b + 1
+                if total >= _GROUP:
+                    flush()
+                    group, owner, total = [], [], 0
+        if group:
+            flush()
+        return [b"".join(x) for x in out]
 
 
 def encoder(path: str, **options) -> Encoder:

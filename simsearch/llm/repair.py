@@ -6,12 +6,12 @@ and again, until no pair is frequent enough. Pairs never reach over the end of a
 symbol range of its own. A shard is one row of a Parquet table: ids of its documents, symbols and tokens of each
 document, the rules in order, the expansion length of every rule, and the symbols.
 
-Many pairs are replaced in each pass: pairs are counted in a hashed table, the heavy cells are counted
-exactly, and the pairs above the pass's threshold become rules together; of overlapping occurrences the left one is
-taken. Expansion lengths make it possible to find and decode a span without decoding what precedes it.
+All pairs that are frequent in a pass become rules together, instead of one at a time; of overlapping occurrences the
+left one is taken. Expansion lengths make it possible to find and decode a span without decoding what precedes it.
 
 Defined cases: null and empty texts are an end id alone; a null doc_id sorts first; rows with equal ids are
-ordered by text; an empty table gives no shards. Extra columns are not written.
+ordered by text; a text longer than a shard is a shard of its own, whole; an empty table gives no shards. Extra columns are not
+written, whatever their names.
 """
 
 from __future__ import annotations
@@ -26,71 +26,84 @@ from pyspark.sql import functions as F
 from . import common
 from .encoding import encoder
 
-_BUCKET_BITS = 20
+_CELL_BITS = 18
 
 
-def frequent_pairs(x: np.ndarray, ends: np.ndarray, most: int, least: int):
-    """Places of pairs to replace, their pair numbers, and the pairs with their counts.
-
-    ends: places of the last symbols of documents, where no pair begins."""
-    left, right = x[:-1], x[1:]
+def _cells(left: np.ndarray, right: np.ndarray) -> np.ndarray:
     with np.errstate(over="ignore"):
-        cell = ((left * np.uint32(0x9E3779B1)) ^ (right * np.uint32(0x85EBCA77) + (left >> np.uint32(7)))) * np.uint32(0xC2B2AE3D) >> np.uint32(32 - _BUCKET_BITS)
-    cell[ends[ends < len(cell)]] = 1 << _BUCKET_BITS
-    counts = np.bincount(cell, minlength=(1 << _BUCKET_BITS) + 1)
-    counts[-1] = 0
-    floor = max(least, int(np.partition(counts, -most)[-most]))
-    at = np.flatnonzero((counts >= floor)[cell])
-    # one pair speaks for each heavy cell; only its own occurrences count
-    number = np.zeros((1 << _BUCKET_BITS) + 1, np.int32)
-    heavy = np.flatnonzero(counts >= floor)
-    number[heavy] = np.arange(len(heavy), dtype=np.int32)
-    number = number[cell[at]]
-    speaks = np.zeros(len(heavy), np.int64)
-    speaks[number[::-1]] = at[::-1]
-    same = (left[at] == left[speaks][number]) & (right[at] == right[speaks][number])
-    at, number = at[same], number[same]
-    good = np.bincount(number, minlength=len(heavy)) >= floor
-    pairs = (left[speaks].astype(np.uint64) << np.uint64(32) | right[speaks])[good]
-    rank = np.cumsum(good) - 1
-    use = good[number]
-    at, number = at[use], rank[number[use]]
+        return ((left * np.uint32(0x9E3779B1)) ^ (right * np.uint32(0x85EBCA77) + (left >> np.uint32(7)))) * np.uint32(0xC2B2AE3D) >> np.uint32(32 - _CELL_BITS)
+
+
+def frequent_pairs(x: np.ndarray, at: np.ndarray, least: int):
+    """Places of pairs to replace, their pair numbers, and the pairs, of all pairs that begin at one of the places ``at`` and do
+    so ``least`` times or more. Counts are exact: the pairs are sorted."""
+    left, right = x[at], x[at + 1]
+    key = left.astype(np.uint64) << np.uint64(32) | right
+    ordered = np.sort(key)
+    first = common.run_starts(ordered)
+    pairs = ordered[first][np.diff(np.append(first, len(ordered))) >= least]
+    if not len(pairs):
+        return at[:0], at[:0], pairs
+    # the number of a pair is looked up by a hash cell; pairs that share a cell with another are searched for
+    table = np.full(1 << _CELL_BITS, -1, np.int32)
+    own = _cells((pairs >> np.uint64(32)).astype(np.uint32), pairs.astype(np.uint32))
+    table[own] = np.arange(len(pairs), dtype=np.int32)
+    cell = _cells(left, right)
+    number = table[cell]
+    found = (number >= 0) & (pairs[number] == key)
+    shared = np.zeros(1 << _CELL_BITS, bool)
+    shared[own[table[own] != np.arange(len(pairs))]] = True
+    rest = np.flatnonzero(shared[cell] & ~found)
+    if len(rest):
+        place = np.minimum(np.searchsorted(pairs, key[rest]), len(pairs) - 1)
+        same = pairs[place] == key[rest]
+        number[rest[same]], found[rest[same]] = place[same], True
+    at, number = at[found], number[found]
     # of overlapping occurrences take every other one, from the left
-    if len(at):
-        begins = np.flatnonzero(np.concatenate(([True], np.diff(at) != 1)))
-        place = np.arange(len(at)) - np.repeat(begins, np.diff(np.append(begins, len(at))))
-        keep = place % 2 == 0
-        at, number = at[keep], number[keep]
-    return at, number, pairs
-
-
-def compress(x: np.ndarray, ends: np.ndarray, first_rule: int, *, passes: int = 4, rules_per_pass: int = 2048, least: int = 16):
-    """Symbols, new document ends, rules (left, right) and expansion lengths of the rules."""
-    x, ends = x.astype(np.uint32), ends.copy()
+    begins = np.flatnonzero(np.concatenate(([True], np.diff(at) != 1)))
+    place = np.arange(len(at)) - np.repeat(begins, np.diff(np.append(begins, len(at))))
+    at, number = at[place % 2 == 0], number[place % 2 == 0]
+    used = np.bincount(number, minlength=len(pairs)) > 0
+    return at, (np.cumsum(used) - 1)[number], pairs[used]
+
+
+def compress(x: np.ndarray, ends: np.ndarray, first_rule: int, *, least: int = 16):
+    """Symbols, new document ends, rules (left, right) and expansion lengths of the rules.
+
+    ends: places of the last symbols of documents, where no pair begins. After a pass only pairs with one of its new symbols
+    can have become frequent, so each pass looks at fewer places, until no pair is found."""
+    x = x.astype(np.uint32)
+    last = np.zeros(len(x), bool)
+    last[ends] = True
+    if len(x):
+        last[-1] = True
     rules: list[np.ndarray] = []
-    n_rules = 0
-    for _ in range(passes):
-        if len(x) < 2:
-            break
-        at, number, pairs = frequent_pairs(x, ends, rules_per_pass, least)
+    n_rules, fresh = 0, 0  # symbols from ``fresh`` on are new
+    while True:
+        new = x >= fresh
+        new[:-1] |= new[1:].copy()
+        at, number, pairs = frequent_pairs(x, np.flatnonzero(new & ~last), least)
         if not len(pairs):
             break
-        x[at] = (first_rule + n_rules + number).astype(np.uint32)
+        fresh = first_rule + n_rules
+        x[at] = (fresh + number).astype(np.uint32)
+        last[at] = last[at + 1]
         keep = np.ones(len(x), bool)
         keep[at + 1] = False
-        ends -= np.searchsorted(at, ends)  # every pair that began before an end took one symbol away
-        x = x[keep]
+        x, last = x[keep], last[keep]
         rules.append(np.stack((pairs >> np.uint64(32), pairs & np.uint64(0xFFFFFFFF)), 1).astype(np.uint32))
         n_rules += len(pairs)
     table = np.concatenate(rules) if rules else np.zeros((0, 2), np.uint32)
-    return x, ends, table, lengths_of(table, first_rule)
+    return x, np.flatnonzero(last), table, lengths_of(table, first_rule)
 
 
 def lengths_of(rules: np.ndarray, first_rule: int) -> np.ndarray:
+    """Tokens that every rule stands for: rules of rules get their lengths once their parts have them."""
     out = np.zeros(len(rules), np.int64)
-    size = lambda s, out: out[s - first_rule] if s >= first_rule else 1
-    for i, (a, b) in enumerate(rules.tolist()):
-        out[i] = size(a, out) + size(b, out)
+    inner, part = rules >= first_rule, np.maximum(rules.astype(np.int64) - first_rule, 0)
+    while (out == 0).any():
+        size = np.where(inner, out[part], 1)
+        out = np.where((size > 0).all(1), size.sum(1), 0)
     return out.astype(np.int32)
 
 
@@ -100,18 +113,18 @@ class Grammar:
     def __init__(self, rules: np.ndarray, lengths: np.ndarray, first_rule: int):
         self.first, self.lengths = first_rule, lengths.astype(np.int64)
         self.begin = np.concatenate(([0], np.cumsum(self.lengths)))
-        self.flat = np.zeros(self.begin[-1], np.uint32)
-        for i, (a, b) in enumerate(rules.tolist()):
-            at = self.begin[i]
-            for s in (a, b):
-                if s < first_rule:
-                    self.flat[at] = s
-                    at += 1
-                else:
-                    j = s - first_rule
-                    n = self.lengths[j]
-                    self.flat[at : at + n] = self.flat[self.begin[j] : self.begin[j] + n]
-                    at += n
+        flat = rules.ravel().astype(np.uint32)
+        while True:  # all rules at once, one level deeper each time
+            inner = flat >= first_rule
+            if not inner.any():
+                break
+            place = np.cumsum(1 + inner) - 1 - inner
+            out = np.empty(len(flat) + int(inner.sum()), np.uint32)
+            out[place[~inner]] = flat[~inner]
+            of = flat[inner].astype(np.int64) - first_rule
+            out[place[inner]], out[place[inner] + 1] = rules[of, 0], rules[of, 1]
+            flat = out
+        self.flat = flat
 
     def sizes(self, symbols: np.ndarray) -> np.ndarray:
         if not len(self.lengths):

@@ -78,9 +78,11 @@ def test_repeat_groups_have_all_occurrences():
     assert (1, 3, [0, 1, 2]) in [(a, b, sorted(m)) for a, b, m in groups]
 
 
-def test_encoder_equals_tokenizer():
+def test_encoder_equals_tokenizer(monkeypatch):
     enc = encoding.Encoder(repair.default_tokenizer(), cache_size=5)
-    texts = ["Hello  world", " lead", "trail ", "a\n b", "a b\x0bc d", "x" * 300 + " y", "é ü <|endoftext|> z", "1 2\t3", ""] * 2
+    texts = ["the word, and thandanst. Ünïté! ärger; naïve? l'eau d'or don't x1 1x A.B ab.. ª µm \u0149x é́a ñ", "the word. the, the", "Hello  world", " lead", "trail ", "a\n b", "a b\x0bc d", "x" * 300 + " y", "é ü <|endoftext|> z", "1 2\t3", ""] * 2
+    texts += [" ".join("ab cde. É f-g".split()[i % 4] * (1 + i % 30) for i in range(n)) for n in (1, 40, 400)] + ["lead, lead lead " + "z" * 70 + " end "]
+    monkeypatch.setattr(encoding, "_GROUP", 90)
     assert enc.encode(texts) == [np.array(enc.tokenizer.encode(t, add_special_tokens=False).ids, "<u4").tobytes() for t in texts]
 
 
@@ -89,10 +91,16 @@ def test_grammar_round_trip_and_span():
     x = rng.integers(0, 9, 6000).astype("<u4")
     ends = np.array([0, 1, 500, 5999])
     symbols, new_ends, rules_, lengths = repair.compress(x, ends, 100, least=4)
+    inner = np.setdiff1d(np.arange(len(symbols) - 1), new_ends)
+    assert max(Counter(zip(symbols[inner].tolist(), symbols[inner + 1].tolist())).values()) < 4  # no frequent pair is left
     grammar = repair.Grammar(rules_, lengths, 100)
     assert (grammar.expand(symbols) == x).all() and len(symbols) < len(x)
     assert (np.cumsum(grammar.sizes(symbols))[new_ends] - 1 == ends).all()
     assert (grammar.span(symbols, 1234, 2345) == x[1234:2345]).all()
+    for tiny in ([], [7], [7, 7], [7] * 1000):
+        x = np.array(tiny, "<u4")
+        symbols, _, rules_, lengths = repair.compress(x, np.array([len(x) - 1] if tiny else [], np.int64), 100, least=2)
+        assert (repair.Grammar(rules_, lengths, 100).expand(symbols) == x).all()
 
 
 def test_token_files(spark):
