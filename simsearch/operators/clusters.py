@@ -40,13 +40,21 @@ def hashed_grams(corpus: DataFrame, *, dims: int = 64, n: int = 2, s: str = "s")
     return raw.withColumn("vec", F.transform("__c", lambda x: x / F.greatest(norm, F.lit(1e-12)))).drop("__b", "__c")
 
 
+def hashed_grams_of_texts(texts: DataFrame, *, dims: int = 64, n: int = 2) -> DataFrame:
+    """(id, vec) of texts (id, s) of any length: grams are counted per bucket by partial sums; no text without grams is lost."""
+    each = texts.select("id", F.explode_outer(grams(F.lower(F.col("s")), n)).alias("g"))
+    counts = each.select("id", F.pmod(F.crc32(F.col("g").cast("binary")), F.lit(dims)).cast("int").alias("b")).groupBy("id", "b").agg(F.count("b").cast("double").alias("x"))
+    sums = counts.groupBy("id").agg(F.map_from_entries(F.collect_list(F.when(F.col("b").isNotNull(), F.struct("b", "x")))).alias("m"), F.sqrt(F.sum(F.col("x") * F.col("x"))).alias("norm"))
+    return sums.select("id", F.transform(F.sequence(F.lit(0), F.lit(dims - 1)), lambda i: F.coalesce(F.try_element_at("m", i), F.lit(0.0)) / F.greatest("norm", F.lit(1e-12))).alias("vec"))
+
+
 def fit_vectorizer(corpus: DataFrame, how: str = "word2vec", *, dims: int = 32, seed: int = 1, n: int | None = 3):
     """A function from corpora to corpora with vec (array of double)."""
     if how == "hashed_grams":
         return lambda df: hashed_grams(df, dims=dims)
     toks = lambda df: df.withColumn("__t", tokenize(F.col("s"), n=n))
     if how == "word2vec":
-        model = Word2Vec(vectorSize=dims, minCount=1, maxIter=1, numPartitions=4, seed=seed, inputCol="__t", outputCol="__v").fit(toks(corpus))
+        model = Word2Vec(vectorSize=dims, minCount=1, maxIter=1, numPartitions=corpus.sparkSession.sparkContext.defaultParallelism, seed=seed, inputCol="__t", outputCol="__v").fit(toks(corpus))
         return lambda df: model.transform(toks(df)).withColumn("vec", vector_to_array("__v")).drop("__t", "__v")
     tf = HashingTF(numFeatures=dims, inputCol="__t", outputCol="__tf")
     idf = IDF(inputCol="__tf", outputCol="__v").fit(tf.transform(toks(corpus)))
@@ -64,15 +72,34 @@ def cluster_count(total_bytes: int, cap: int = 64 << 20, floor: int = 8) -> int:
     return max(floor, math.ceil(total_bytes / cap))
 
 
-def partition(vectors: DataFrame, m: int | None = None, *, seed: int = 1, cap: int = 64 << 20) -> DataFrame:
-    """vectors with cid. Clusters whose strings take more than cap bytes are cut by the digest of their ids."""
+def partition(vectors: DataFrame, m: int | None = None, *, seed: int = 1, cap: int = 64 << 20, most_rounds: int = 8) -> DataFrame:
+    """vectors with cid. Clusters whose strings take more than cap bytes are clustered again, each into as many parts as
+    the cap asks for, until none is too large or a cluster cannot be told apart any further (all of its vectors equal)."""
     if m is None:
         m = cluster_count(vectors.agg(F.coalesce(F.sum(F.octet_length("s")), F.lit(0))).first()[0], cap)
-    df = vectors.withColumn("__v", array_to_vector("vec"))
-    out = KMeans(k=m, seed=seed, maxIter=20, featuresCol="__v", predictionCol="cid").fit(df).transform(df).drop("__v")
-    sizes = out.groupBy("cid").agg(F.ceil(F.sum(F.octet_length("s")) / F.lit(cap)).alias("cuts"))
-    out = out.join(F.broadcast(sizes), "cid")
-    return out.withColumn("cid", (F.col("cid") + m * F.pmod(F.xxhash64("id"), F.col("cuts"))).cast("int")).drop("cuts")
+    fitted = lambda df, k: KMeans(k=k, seed=seed, maxIter=20, featuresCol="__v", predictionCol="cid").fit(df).transform(df)
+    out = fitted(vectors.withColumn("__v", array_to_vector("vec")), m).persist()
+    whole: set[int] = set()
+    for _ in range(most_rounds):
+        sizes = out.groupBy("cid").agg(F.sum(F.octet_length("s")).alias("bytes")).where(F.col("bytes") > cap).collect()  # rows: clusters that are too large
+        large = [r for r in sizes if r.cid not in whole]
+        if not large:
+            break
+        top = out.agg(F.max("cid")).first()[0] + 1
+        parts = [out.where(~F.col("cid").isin([r.cid for r in large]))]
+        for r in large:
+            some = fitted(out.where(F.col("cid") == r.cid).drop("cid"), max(2, math.ceil(r.bytes / cap)))
+            if some.select("cid").distinct().count() < 2:
+                whole.add(r.cid)
+                parts.append(out.where(F.col("cid") == r.cid))
+                continue
+            parts.append(some.withColumn("cid", (F.col("cid") + top).cast("int")))
+            top += max(2, math.ceil(r.bytes / cap))
+        joined = parts[0]
+        for p in parts[1:]:
+            joined = joined.unionByName(p)
+        out = joined.persist()
+    return out.drop("__v")
 
 
 def centres(members: DataFrame, how: str = "median") -> DataFrame:
@@ -106,11 +133,11 @@ def reachable(edges: DataFrame, clusters: int, cluster_share: float = 0.5) -> Da
     return edges.select("src", "dst", F.row_number().over(w).alias("hop")).where(F.col("hop") < keep).union(own)
 
 
-def training_sample(members: DataFrame, share: float = 0.05, per_cluster: int = 2000) -> DataFrame:
-    """(cid, vec): a share of every cluster by id digest, at least one row and at most per_cluster, so that it stays broadcast."""
+def training_sample(members: DataFrame, share: float = 0.05) -> DataFrame:
+    """(cid, id, vec): a share of every cluster by id digest, at least one row."""
     w = Window.partitionBy("cid").orderBy(F.md5(F.col("id").cast("string")), "id")
     rows = members.select("cid", "id", "vec", F.row_number().over(w).alias("r"), F.count(F.lit(1)).over(Window.partitionBy("cid")).alias("n"))
-    return rows.where((F.col("r") <= F.greatest(F.lit(1), F.ceil(F.lit(share) * F.col("n")))) & (F.col("r") <= per_cluster)).select("cid", "id", "vec")
+    return rows.where(F.col("r") <= F.greatest(F.lit(1), F.ceil(F.lit(share) * F.col("n")))).select("cid", "id", "vec")
 
 
 def classify(queries: DataFrame, sample: DataFrame, k: int = 5, metric: str = "euclid") -> DataFrame:
@@ -146,10 +173,14 @@ class ClusterModel:
         return ClusterModel(batch.sparkSession.read.parquet(path), self.edges, self.sample, self.clusters, self.vectorizer, self.centre)
 
 
-def frontier(members: DataFrame, starts: DataFrame, order: DataFrame, queries: DataFrame, kmax: int) -> DataFrame:
-    """(qid, q, cid, hop, id, s, vdist): per query and cluster the kmax nearest vectors. A walk never needs more."""
+def frontier(members: DataFrame, starts: DataFrame, order: DataFrame, queries: DataFrame, kmax: int | None) -> DataFrame:
+    """(qid, q, cid, hop, id, s, vdist): per query and cluster the kmax nearest vectors, or all of them (None).
+
+    A walk that keeps what it looks at never needs more than kmax of a cluster; one that skips strings may need all."""
     q = small(queries.select("qid", "q", F.col("vec").alias("qv")).join(starts.withColumnRenamed("cid", "src"), "qid").join(order, "src").select("qid", "q", "qv", F.col("dst").alias("cid"), "hop"))
     rows = members.join(q, "cid").select("qid", "q", "cid", "hop", "id", "s", euclid(F.col("qv"), F.col("vec")).alias("vdist"))
+    if kmax is None:
+        return rows
     w = Window.partitionBy("qid", "cid").orderBy("vdist", "id")
     return rows.withColumn("r", F.row_number().over(w)).where(F.col("r") <= kmax).drop("r")
 
@@ -218,4 +249,6 @@ def cluster_walk(model: ClusterModel, queries: DataFrame, goal: Goal, *, cluster
     qv = model.vectorizer(queries.withColumn("s", F.col("q"))).select("qid", "q", "vec").persist()
     starts = classify(qv, model.sample, k)
     edges = shortest_paths(model.edges) if route == "shortest_path" else model.edges
-    return walk(frontier(model.members, starts, reachable(edges, model.clusters, cluster_share), qv, goal.kmax), goal, **options)
+    skips = options.get("eps") is not None or options.get("on_drop") == "revert"
+    rows = frontier(model.members, starts, reachable(edges, model.clusters, cluster_share), qv, None if skips else goal.kmax)
+    return walk(rows, goal, **options)

@@ -24,6 +24,7 @@ def probe(lists: DataFrame, queries: DataFrame, eps: int, n: int = 2, *, mode: s
     bag: grams counted with their numbers, nothing is lost. set: distinct grams, bounded by the query's distinct
     grams, which loses nothing either but lets more through."""
     reach = eps - 1
+    small(queries)  # refuses more than a batch; a query has as many grams as characters
     q = numbered_grams(queries.select("qid", "q", F.length("q").alias("qlen")), ["qid", "qlen"], "q", n)
     if mode == "set":
         q, lists = q.where("occ = 1"), lists.where("occ = 1")
@@ -73,6 +74,15 @@ class GramIndex:
         found = verify(self.corpus, cands, near, eps)
         return found.unionByName(range_scan(self.corpus, far, eps - 1))
 
+    def blind(self, eps: int):
+        """Queries about which the count bound says nothing."""
+        return vacuous(eps, self.n)
+
+    def postings_read(self, queries: DataFrame, eps: int) -> int:
+        """Postings that a probe for the queries reads, after the length band."""
+        q = numbered_grams(queries.select("qid", "q", F.length("q").alias("qlen")), ["qid", "qlen"], "q", self.n)
+        return self.lists.join(F.broadcast(q), ["gram", "occ"]).where(F.abs(F.col("len") - F.col("qlen")) < eps).count()
+
     def explain_engine(self, queries: DataFrame, eps: int) -> DataFrame:
         return queries.select("qid", F.when(vacuous(eps, self.n), "scan").otherwise("index").alias("engine"))
 

@@ -3,7 +3,7 @@
 The loop by growing limits takes, at the end, all strings under the smallest limit that holds enough of them. The closed
 form asks for that limit directly: distances are counted per query, a running count finds the limit, and the nearest
 strings up to the cap are kept. One scan serves all queries; the corpus is never shuffled, queries are broadcast (a batch is
-bounded by ``MOST_QUERIES``, longer ones go by a shuffle-free split into batches)."""
+bounded by ``MOST_QUERIES``; a longer one is refused, to be cut by its caller)."""
 
 from __future__ import annotations
 
@@ -13,6 +13,8 @@ from pyspark.sql import functions as F
 from ..plans.goal import Goal
 
 MOST_QUERIES = 10_000
+#: Pairs of strings and queries up to which all distances are worked out without a limit.
+FEW_PAIRS = 2_000_000
 
 
 def small(queries: DataFrame) -> DataFrame:
@@ -44,7 +46,8 @@ def final_threshold(dists: DataFrame, goal: Goal, *, eps_start: int = 1, step: i
     running = F.sum("count").over(Window.partitionBy("qid").orderBy("dist"))
     need = F.min(F.when(F.col("n") >= goal.least, F.col("dist") + (0 if inclusive else 1)))
     at = counts.withColumn("n", running).groupBy("qid").agg(need.alias("need"))
-    grid = F.lit(eps_start) + F.lit(step) * F.ceil(F.greatest(F.col("need") - eps_start, F.lit(0)) / step)
+    start = F.lit(eps_start)
+    grid = start + F.lit(step) * F.ceil(F.greatest(F.col("need") - start, F.lit(0)) / step)
     return at.select("qid", F.when(F.col("need").isNotNull(), grid.cast("int")).alias("eps_final"))
 
 
@@ -53,20 +56,44 @@ def cap(rows: DataFrame, goal: Goal, order: list[str]) -> DataFrame:
     return rows.withColumn("place", F.row_number().over(w)).where(F.col("place") <= goal.most).drop("place")
 
 
-def relax(corpus: DataFrame, queries: DataFrame, goal: Goal, *, eps_start: int = 1, step: int = 1, engine: str = "histogram", inclusive: bool = False, tie_order: str = "nearest", index=None) -> DataFrame:
-    """Candidates (qid, id, s, dist, round, eps_final, exhausted).
+def plan_engine(corpus: DataFrame, queries: DataFrame, eps_start: int = 1, index=None) -> tuple[str, str]:
+    """The engine for a batch, and why. With an index whose count bound says something about all of the queries at the first
+    limit, and whose lists for them are shorter than the corpus, candidates come from the lists. Else few pairs are measured
+    without a limit in one scan, and many by scans under doubled limits, whose bounded distances fill a band only."""
+    strings, asked = corpus.count(), queries.count()
+    if index is not None:
+        blind = queries.where(index.blind(max(1, eps_start))).limit(1).count()
+        if not blind:
+            read = index.postings_read(queries, max(1, eps_start))
+            if read < strings * asked:
+                return "index", f"{read} postings for {strings * asked} pairs"
+    if strings * asked <= FEW_PAIRS:
+        return "histogram", f"{strings * asked} pairs"
+    return "gallop", f"{strings * asked} pairs"
+
+
+def relax(corpus: DataFrame, queries: DataFrame, goal: Goal, *, eps_start: int = 1, step: int = 1, engine: str = "auto", inclusive: bool = False, tie_order: str = "nearest", index=None, max_rounds: int | None = None) -> DataFrame:
+    """Candidates (qid, id, s, dist, round, eps_final, exhausted). max_rounds: limits that are tried at most.
 
     histogram: one scan of all distances. gallop: bounded scans with a doubled limit, only for queries that still lack
-    strings. index: candidates from a gram index per limit, where its count filter says anything. rounds: the literal loop."""
+    strings. index: candidates from a gram index per limit, where its count filter says anything. rounds: the literal loop.
+    auto: one of the first three, by ``plan_engine``."""
+    if engine == "auto":
+        engine = plan_engine(corpus, queries, eps_start, index)[0]
     if engine == "rounds":
         return _rounds(corpus, queries, goal, eps_start, step, inclusive, tie_order)
     if engine == "gallop":
-        dists = _gallop(corpus, queries, goal, eps_start, lambda c, q, t: range_scan(c, q, t))
+        dists = _gallop(corpus, queries, goal, eps_start, step, inclusive, lambda c, q, t: range_scan(c, q, t))
     elif engine == "index":
-        dists = _gallop(corpus, queries, goal, eps_start, lambda c, q, t: index.range_search(q, t + 1))
+        dists = _gallop(corpus, queries, goal, eps_start, step, inclusive, lambda c, q, t: index.range_search(q, t + 1))
+    elif engine == "histogram":
+        dists = range_scan(corpus, queries).persist()
     else:
-        dists = range_scan(corpus, queries)
+        raise ValueError(f"no engine {engine!r}")
     limits = final_threshold(dists, goal, eps_start=eps_start, step=step, inclusive=inclusive)
+    if max_rounds is not None:
+        last = eps_start + step * (max_rounds - 1)
+        limits = limits.withColumn("eps_final", F.least(F.coalesce("eps_final", F.lit(last)), F.lit(last)))
     return take(dists, limits, goal, eps_start, step, inclusive, tie_order)
 
 
@@ -79,22 +106,25 @@ def take(dists: DataFrame, limits: DataFrame, goal: Goal, eps_start: int, step:
     return cap(rows, goal, order).select("qid", "id", "s", "dist", "round", "eps_final", "exhausted")
 
 
-def _gallop(corpus, queries, goal, eps_start, search):
-    """Union of the queries' rows under the first doubled limit that holds enough; one small count per doubling."""
+def _gallop(corpus, queries, goal, eps_start, step, inclusive, search):
+    """Union of the queries' rows under the first doubled limit that reaches their final threshold; the ids of the queries
+    that are still open (a batch is bounded) come to the driver after each doubling, so plans do not grow with the rounds."""
     longest = corpus.agg(F.max("len")).first()[0] or 0
     top = max(longest, queries.agg(F.max(F.length("q"))).first()[0] or 0)
     open_, found, limit = queries.select("qid", "q"), None, max(1, eps_start)
     while True:
         rows = search(corpus, open_, limit).select("qid", "id", "s", "len", "dist").persist()
-        full = rows.groupBy("qid").count().where(F.col("count") >= goal.least).select("qid")
-        last = limit > top
-        done = rows if last else rows.join(F.broadcast(full), "qid", "left_semi")
-        found = done if found is None else found.unionByName(done)
-        if last:
-            return found
-        open_ = open_.join(F.broadcast(full), "qid", "left_anti")
-        if not open_.limit(1).count():
-            return found
+        if limit > top:
+            return rows if found is None else found.unionByName(rows)
+        # the final threshold lies on a grid and may lie beyond the limit that held enough
+        reached = final_threshold(rows, goal, eps_start=eps_start, step=step, inclusive=inclusive)
+        done = [r.qid for r in reached.where(F.col("eps_final") <= limit + (0 if inclusive else 1)).select("qid").collect()]
+        if done:
+            rows = rows.where(F.col("qid").isin(done))
+            found = rows if found is None else found.unionByName(rows)
+            open_ = open_.where(~F.col("qid").isin(done))
+            if not open_.limit(1).count():
+                return found
         limit *= 2
 
 

@@ -132,7 +132,7 @@ ORACLE: dict[str, str] = {
     "edit_distance_scan": f"{NAMES} SELECT qid, id, dist FROM d",
     "bounded_scan": f"{LINES} SELECT qid, id, dist FROM d WHERE dist <= 39",
     "length_band_scan": f"{LINES} SELECT q.qid, count(*) AS n FROM c JOIN q ON abs(len - length(q)) < 10 GROUP BY q.qid",
-    "hamming_cells": f"WITH c AS (SELECT * FROM ({CORPUS['clients']}) WHERE id <= 40) SELECT a.id AS i, b.id AS j, CAST(hamming(a.s, b.s) AS INTEGER) AS d FROM c a JOIN c b ON a.id < b.id",
+    "hamming_cells": f"WITH c AS ({CORPUS['clients']}) SELECT a.id AS i, b.id AS j, CAST(hamming(a.s, b.s) AS INTEGER) AS d FROM c a JOIN c b ON a.id % 100 = 0 AND a.id <> b.id AND a.len = b.len",
     "metrics_other": f"WITH c AS ({CORPUS['names']}), g AS (SELECT id, s, list_distinct([substring('^' || s || '$', i, 2) for i in range(1, length(s) + 2)]) AS x FROM c), r AS (SELECT list_distinct([substring('^small ring$', i, 2) for i in range(1, 12)]) AS y) SELECT id, round(levenshtein(s, 'small ring') / greatest(length(s), 10)::DOUBLE, 6) AS norm_edit, round(1 - len(list_intersect(x, y)) / (len(x) + len(y) - len(list_intersect(x, y)))::DOUBLE, 6) AS jaccard_gram FROM g, r",
     "grams_padded": f"WITH c AS ({CORPUS['names']}) SELECT id, {SHOWN} AS gram, occ FROM ({gram_rows('c', 's', 'id')})",
     "grams_unpadded": f"WITH c AS ({CORPUS['names']}) {gram_rows('c', 's', 'id', False)}",
@@ -146,6 +146,15 @@ ORACLE: dict[str, str] = {
     "edit_selfjoin": f"WITH c AS ({CORPUS['urls']}) SELECT a.id AS i, b.id AS j, CAST(levenshtein(a.s, b.s) AS INTEGER) AS dist FROM c a JOIN c b ON a.id < b.id WHERE levenshtein(a.s, b.s) < 6",
     "relax_names": f"{NAME}, {relaxed(SMALL)} {RELAXED}",
     "relax_batch": f"{LINES}, {relaxed(USUAL, start=30)} {RELAXED}",
+    "relax_auto": f"{LINES}, {relaxed(USUAL, start=30)} {RELAXED}",
+    "relax_max_rounds": f"{NAMES}, {relaxed(SMALL)}, m AS (SELECT qid, CAST(least(coalesce(CASE WHEN none THEN NULL ELSE eps END, 4), 4) AS INTEGER) AS most FROM re) SELECT d.qid, d.id, d.dist, d.dist AS round, most AS eps_final, FALSE AS exhausted FROM d JOIN m USING (qid) WHERE d.dist < most QUALIFY row_number() OVER (PARTITION BY d.qid ORDER BY d.dist, d.id) <= {SMALL.most}",
+    "index_sizes": " UNION ALL ".join(f"SELECT * FROM (WITH c AS ({CORPUS[n]}), g AS ({gram_rows('c', 's', 'id')}) SELECT '{n}' AS corpus, count(DISTINCT id) AS strings, count(*) AS postings, count(DISTINCT gram) AS grams FROM g)" for n in ("titles", "turns", "lines")),
+    "index_recall": f"{LINES} SELECT CAST(e AS INTEGER) AS eps, CAST(sum(CASE WHEN dist < e THEN 1 ELSE 0 END) AS BIGINT) AS found, CAST(sum(CASE WHEN dist < e THEN 1 ELSE 0 END) AS BIGINT) AS truth FROM d, (VALUES (2), (5), (10), (20), (30), (40)) AS v(e) GROUP BY e",
+    "search_counters": f"""{LINES}, g AS MATERIALIZED ({gram_rows('c', 's', 'id')}), h AS MATERIALIZED ({gram_rows('q', 'q', 'qid')}),
+m AS MATERIALIZED (SELECT qid, g.id, count(*) AS common FROM g JOIN h USING (gram, occ) GROUP BY qid, g.id), e AS (SELECT * FROM (VALUES (2), (5), (10), (20), (30), (40)) AS v(eps)),
+f AS (SELECT d.qid, d.dist, abs(d.len - length(q.q)) AS gap, length(q.q) AS n, coalesce(m.common, 0) AS common FROM d JOIN q USING (qid) LEFT JOIN m USING (qid, id))
+SELECT qid, CAST(eps AS INTEGER) AS eps, CAST(sum(CASE WHEN gap < eps THEN 1 ELSE 0 END) AS BIGINT) AS verified_by_scan, CAST(sum(CASE WHEN gap < eps THEN common ELSE 0 END) AS BIGINT) AS postings_read,
+  CAST(sum(CASE WHEN gap < eps AND common > 0 AND common >= n + 1 - 2 * (eps - 1) THEN 1 ELSE 0 END) AS BIGINT) AS verified_by_index, CAST(sum(CASE WHEN dist < eps THEN 1 ELSE 0 END) AS BIGINT) AS results FROM f, e GROUP BY qid, eps""",
     "relax_gallop": f"{LINES}, {relaxed(USUAL, start=30)} {RELAXED}",
     "relax_index": f"{LINES}, {relaxed(USUAL, start=5)} {RELAXED}",
     "relax_rounds": f"{_cands} {RELAXED}",
@@ -155,7 +164,7 @@ ORACLE: dict[str, str] = {
     "relax_exhausted": f"{NAME}, {relaxed(Goal(60, 100, 0.5))} {RELAXED}",
     "relax_if_empty_names": f"{NAMES}, m AS (SELECT qid, CAST(greatest(1, min(dist) + 1) AS INTEGER) AS eps_final FROM d GROUP BY qid) SELECT qid, id, dist, eps_final FROM d JOIN m USING (qid) WHERE dist < eps_final",
     "nearest_k": f"{LINES} SELECT qid, id, dist, CAST(row_number() OVER (PARTITION BY qid ORDER BY dist, id) AS INTEGER) AS rank FROM d QUALIFY rank <= 25",
-    "relax_chains": f"WITH c AS MATERIALIZED (SELECT * FROM ({CORPUS['chains']}) WHERE id % 10 = 8), q AS ({OWN.format(n=1)}), d AS MATERIALIZED (SELECT qid, id, s, len, CAST(levenshtein(s, q) AS INTEGER) AS dist FROM c, q), {relaxed(USUAL, start=30)} {RELAXED}",
+    "relax_chains": f"WITH c AS MATERIALIZED ({CORPUS['chains']}), q AS ({OWN.format(n=1)}), d AS MATERIALIZED (SELECT qid, id, s, len, CAST(levenshtein(s, q) AS INTEGER) AS dist FROM c, q), {relaxed(USUAL, start=30)} {RELAXED}",
     "pair_distances": f"{_cands} SELECT a.qid, a.id AS i, b.id AS j, CAST(levenshtein(a.s, b.s) AS INTEGER) AS d FROM r a JOIN r b ON a.qid = b.qid AND a.id < b.id",
     "contribution": f"{_cands}, {ranked(SMALL)} SELECT qid, id, contrib FROM kc",
     "cut_off_sampled": f"{_cands}, {ranked(SMALL)} SELECT qid, round(0.75 * avg(contrib), 6) AS cut FROM ks WHERE y <= ceil(0.25 * m) GROUP BY qid",
@@ -179,14 +188,13 @@ ORACLE: dict[str, str] = {
     "motif_fixed": f"{_aligned} {_motif.format('')}",
     "udaf_motif": f"{_aligned} {_motif.format('')}",
     "motif_nogap": f"{_aligned} " + _motif.format("WHERE ch <> '-'"),
-    "token_segments": f"SELECT doc_id, CAST(len(list_filter(regexp_split_to_array(lower({fold('text')}), '[^0-9a-z?]+'), lambda w: w <> '')) AS INTEGER) AS words FROM documents WHERE lang = 'en'",
-    "knn_embeddings": f"{_e} SELECT q.id AS qid, e.id, CAST(row_number() OVER (PARTITION BY q.id ORDER BY array_distance(q.vec, e.vec), e.id) AS INTEGER) AS rank FROM e JOIN e q ON q.id < 10 AND e.id <> q.id QUALIFY rank <= 5",
+    "token_segments": f"SELECT doc_id, CAST(len(list_filter(regexp_split_to_array(lower({fold('text')}), '[^0-9a-z?]+'), lambda w: w <> '')) AS INTEGER) AS words FROM documents",
+    "knn_embeddings": f"{_e} SELECT q.id AS qid, e.id, CAST(row_number() OVER (PARTITION BY q.id ORDER BY array_distance(q.vec, e.vec), e.id) AS INTEGER) AS rank FROM e JOIN e q ON q.id % 100 = 0 AND e.id <> q.id QUALIFY rank <= 5",
     "centre_graph": f"{_mean} SELECT src, dst, round(w, 4) AS w FROM g",
     "centre_median": f"{_e} SELECT cid, CAST(i - 1 AS INTEGER) AS component, round(quantile_cont(x, 0.5), 5) AS x FROM f GROUP BY cid, i",
     "reachable": f"{_mean} SELECT src, dst, CAST(row_number() OVER (PARTITION BY src ORDER BY w, dst) AS INTEGER) AS hop FROM g QUALIFY hop < 5 UNION ALL SELECT DISTINCT src, src, 0 FROM g",
     "training_sample": f"{_e} SELECT cid, id FROM e QUALIFY row_number() OVER (PARTITION BY cid ORDER BY md5(id::VARCHAR), id) <= greatest(1, ceil(0.05 * count(*) OVER (PARTITION BY cid)))",
-    "knn_classes": f"{_e}, t AS (SELECT * FROM e QUALIFY row_number() OVER (PARTITION BY cid ORDER BY md5(id::VARCHAR), id) <= greatest(1, ceil(0.05 * count(*) OVER (PARTITION BY cid)))), p AS (SELECT q.id AS qid, t.cid, array_distance(q.vec, t.vec) AS d FROM e q, t WHERE q.id < 20 QUALIFY row_number() OVER (PARTITION BY q.id ORDER BY array_distance(q.vec, t.vec), t.id) <= 5) SELECT qid, cid FROM p GROUP BY qid, cid QUALIFY row_number() OVER (PARTITION BY qid ORDER BY count(*) DESC, sum(d), cid) = 1",
-    "knn_accuracy": f"SELECT count(*) AS n, TRUE AS good FROM documents WHERE length({fold('text')}) >= 40 AND doc_id % 10 = 0",
+    "knn_classes": f"{_e}, t AS (SELECT * FROM e QUALIFY row_number() OVER (PARTITION BY cid ORDER BY md5(id::VARCHAR), id) <= greatest(1, ceil(0.05 * count(*) OVER (PARTITION BY cid)))), p AS (SELECT q.id AS qid, t.cid, array_distance(q.vec, t.vec) AS d FROM e q, t WHERE q.id % 100 = 0 QUALIFY row_number() OVER (PARTITION BY q.id ORDER BY array_distance(q.vec, t.vec), t.id) <= 5) SELECT qid, cid FROM p GROUP BY qid, cid QUALIFY row_number() OVER (PARTITION BY qid ORDER BY count(*) DESC, sum(d), cid) = 1",
     "quota_walk": _quota(SMALL),
     "random_subset": f"{_cands} SELECT qid, id, CAST(row_number() OVER (PARTITION BY qid ORDER BY md5('1:' || id::VARCHAR), id) AS INTEGER) AS rank FROM r QUALIFY rank <= 5",
     "exact_best": f"""{NAME}, {relaxed(SMALL)}, o AS (SELECT *, row_number() OVER (ORDER BY id) - 1 AS b FROM r),
