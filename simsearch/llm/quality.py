@@ -5,7 +5,10 @@ characters and words and of the lines before and after it; neighbouring lines ar
 maximise the likelihood of labelled documents, all of whose lines carry the document's label. Forward-backward
 gives each line's probability of being good; the document's score is their mean, weighted by line length.
 
-The fit uses a bounded sample of labelled documents (``rows``); every document is scored, whole.
+The fit uses a bounded sample of labelled documents (``rows``); every document is scored, whole. A long text's features are
+made piece by piece, three numbers a line are kept, and its chain is worked through in blocks side by side: a block's
+transfer from the line before it is a 2 x 2 matrix, so after one pass over all blocks at once and one over the matrices a last
+pass gives every line's messages exactly.
 
 Defined cases: null and empty texts are one empty line and get the score of such a line; a table of labels with
 one class or no row gives the score 0.5 shifted by nothing (weights zero); equal documents get equal scores;
@@ -35,8 +38,10 @@ for _chars, _c in (("#*$%&|<>", _SYMBOL), (".!?", _STOP), (",;:'\"()-", _POINT))
 N_OWN = 19
 
 
-def lines_of(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Features of every line of every text, characters per line, lines per text."""
+def lines_of(texts: list[bytes], seen: set[bytes] | None = None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Features of every line of every text, characters per line, lines per text.
+
+    seen: lines that came before in the text, where texts are pieces of one."""
     data = b"\n".join(texts) + b"\n"
     raw = np.frombuffer(data, np.uint8)
     ends = np.flatnonzero(raw == 10)
@@ -49,21 +54,22 @@ def lines_of(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     counts[:, _BLANK] -= 1  # the line's end
     length = (ends - starts).astype(np.float64)
     blank = kind == _BLANK
-    begins = ~blank & np.concatenate(([True], blank[:-1]))
+    before, after = np.concatenate(([True], blank[:-1])), np.concatenate((blank[1:], [True]))
+    begins = ~blank & before
     words = np.bincount(line[begins], minlength=n).astype(np.float64)
-    marked = np.bincount(line[:-1][(kind[:-1] == _SYMBOL) & blank[1:]], minlength=n)  # words that end in a symbol
-    alone = np.bincount(line[1:-1][(kind[1:-1] == _SYMBOL) & blank[:-2] & blank[2:]], minlength=n)  # symbols that stand alone
+    marked = np.bincount(line[(kind == _SYMBOL) & after], minlength=n)  # words that end in a symbol
+    alone = np.bincount(line[(kind == _SYMBOL) & before & after], minlength=n)  # symbols that stand alone
     again, twice, fresh = np.zeros(n), np.zeros(n), np.zeros(n)
     at = 0
     for text in texts:
-        seen: set[bytes] = set()
+        earlier = set() if seen is None else seen
         for part in text.split(b"\n"):
             found = part.split()
             if found:
-                again[at] = part in seen
+                again[at] = part in earlier
                 twice[at] = sum(map(eq, found, found[1:]))
                 fresh[at] = len(set(found))
-                seen.add(part)
+                earlier.add(part)
             at += 1
     size, per_word = np.maximum(length, 1), np.maximum(words, 1)
     last = np.where(length > 0, raw[np.maximum(ends - 1, 0)], 32)
@@ -145,12 +151,91 @@ def fit(samples: list[tuple[str, int]], *, steps: int = 100, rate: float = 0.15,
     return Chain(params[:width], params[width:].reshape(2, 2))
 
 
-def score_texts(texts: list[bytes], chain: Chain) -> np.ndarray:
-    own, length, per_text = lines_of(texts)
-    good, _, _ = marginals(with_neighbours(own, per_text) @ chain.weights, chain.moves, per_text)
-    text = np.repeat(np.arange(len(texts)), per_text)
-    weight = length + (np.bincount(text, length) == 0)[text]
-    return np.clip(np.bincount(text, weight * good) / np.bincount(text, weight), 0, 1)
+def parts_of_scores(texts: list[bytes], chain: Chain, seen: set[bytes] | None = None):
+    """What a line's features add to its own score, to that of the next and to that of the line before; and lines' sizes."""
+    own, length, per_text = lines_of(texts, seen)
+    return *(own @ chain.weights[i * N_OWN : (i + 1) * N_OWN] for i in range(3)), length, per_text
+
+
+def scores_of_lines(own, to_next, to_last, per_text: np.ndarray, chain: Chain) -> np.ndarray:
+    end = np.cumsum(per_text)
+    first, last = np.zeros(len(own), bool), np.zeros(len(own), bool)
+    first[end - per_text], last[end - 1] = True, True
+    u = own + first * chain.weights[3 * N_OWN] + last * chain.weights[3 * N_OWN + 1]
+    u[1:] += np.where(first[1:], 0, to_next[:-1])
+    u[:-1] += np.where(last[:-1], 0, to_last[1:])
+    return u
+
+
+def marginals_of_long(u: np.ndarray, moves: np.ndarray) -> np.ndarray:
+    """P(good) of every line of one text, in blocks side by side; log odds of messages are carried."""
+    n = len(u)
+    size = max(2, int(n**0.5))
+    count = n // size
+    block, tail = u[: count * size].reshape(count, size), u[count * size :]
+    ahead = lambda f: np.logaddexp(moves[0, 1], moves[1, 1] + f) - np.logaddexp(moves[0, 0], moves[1, 0] + f)
+    back = lambda x: np.logaddexp(moves[1, 0], moves[1, 1] + x) - np.logaddexp(moves[0, 0], moves[0, 1] + x)
+    # transfer[k, s, t]: from state s of the line before block k to state t of its last line
+    transfer = np.broadcast_to(moves, (count, 2, 2)).copy()
+    transfer[:, :, 1] += block[:, :1]
+    for t in range(1, size):
+        transfer = np.logaddexp(transfer[:, :, :1] + moves[0], transfer[:, :, 1:] + moves[1])
+        transfer[:, :, 1] += block[:, t, None]
+    into, out = np.zeros(count), np.zeros(count)  # log odds of the line before a block; messages back to its last line
+    odds = block[0, 0]
+    for t in range(1, size):
+        odds = block[0, t] + ahead(odds)
+    for k in range(1, count):
+        into[k] = odds
+        ends = np.logaddexp(transfer[k, 0], odds + transfer[k, 1])
+        odds = ends[1] - ends[0]
+    forward, backward = np.empty(n), np.zeros(n)
+    for t, x in enumerate(tail.tolist(), count * size):
+        odds = forward[t] = x + ahead(odds)
+    for t in range(n - 2, count * size - 1, -1):
+        backward[t] = back(u[t + 1] + backward[t + 1])
+    if len(tail):
+        out[-1] = back(tail[0] + backward[count * size])
+    for k in range(count - 1, 0, -1):
+        begins = np.logaddexp(transfer[k, :, 0], transfer[k, :, 1] + out[k])
+        out[k - 1] = begins[1] - begins[0]
+    f, b = forward[: count * size].reshape(count, size), backward[: count * size].reshape(count, size)
+    f[:, 0] = block[:, 0] + np.where(np.arange(count) > 0, ahead(into), 0)
+    b[:, -1] = out
+    for t in range(1, size):
+        f[:, t] = block[:, t] + ahead(f[:, t - 1])
+        b[:, size - 1 - t] = back(block[:, size - t] + b[:, size - t])
+    return 1 / (1 + np.exp(-np.clip(forward + backward, -700, 700)))
+
+
+def score_long(text: bytes, chain: Chain, piece: int = 1 << 20) -> float:
+    """The score of one text whose features are too many to be held at once."""
+    seen: set[bytes] = set()
+    found, begin = [], 0
+    while begin <= len(text):
+        end = text.find(b"\n", begin + piece)
+        end = len(text) if end < 0 else end
+        found.append(parts_of_scores([text[begin:end]], chain, seen)[:4])
+        begin = end + 1
+    own, to_next, to_last, length = (np.concatenate(x) for x in zip(*found))
+    u = scores_of_lines(own, to_next, to_last, np.array([len(own)]), chain)
+    good = marginals_of_long(u, chain.moves) if len(u) > 8 else marginals(u, chain.moves, np.array([len(u)]))[0]
+    return float(np.average(good, weights=length if length.any() else None))
+
+
+def score_texts(texts: list[bytes], chain: Chain, *, most_lines: int = 2_000, most_bytes: int = 1 << 20) -> np.ndarray:
+    long = np.array([len(t) > most_bytes or t.count(b"\n") >= most_lines for t in texts], bool)
+    out = np.zeros(len(texts))
+    for i in np.flatnonzero(long).tolist():
+        out[i] = score_long(texts[i], chain)
+    rest = [t for t, x in zip(texts, long) if not x]
+    if rest:
+        own, to_next, to_last, length, per_text = parts_of_scores(rest, chain)
+        good, _, _ = marginals(scores_of_lines(own, to_next, to_last, per_text, chain), chain.moves, per_text)
+        text = np.repeat(np.arange(len(rest)), per_text)
+        weight = length + (np.bincount(text, length) == 0)[text]
+        out[~long] = np.bincount(text, weight * good) / np.bincount(text, weight)
+    return np.clip(out, 0, 1)
 
 
 def score_documents(docs: DataFrame, chain: Chain, *, batch_bytes: int = 4 << 20) -> DataFrame:

@@ -266,6 +266,22 @@ def test_chain_marginals_match_enumeration():
     assert good[1] == pytest.approx(sum(w for s, w in weight.items() if s[1]) / sum(weight.values()))
 
 
+def test_long_texts_are_scored_like_short_ones():
+    rng = np.random.default_rng(3)
+    for n in (9, 10, 16, 50, 1003):
+        u, moves = rng.normal(size=n) * 3, rng.normal(size=(2, 2)) * 2
+        assert np.allclose(quality.marginals_of_long(u, moves), quality.marginals(u, moves, np.array([n]))[0])
+    chain = quality.fit([("Clean words are here.\nAnd more of them.", 1), ("# $ a a a a\n# $\n# $", 0)] * 20)
+    lines = ["Clean words are here.", "# $ a a a a", "", "x", "x", "Ünï, code."]
+    texts = ["\n".join(lines[int(i)] for i in rng.integers(0, 6, n)).encode() for n in (1, 3, 200)] + [b"", b"\n", b"\n" * 50]
+    assert np.allclose(quality.score_texts(texts, chain), [quality.score_long(t, chain, piece=40) for t in texts])
+    import time
+
+    began = time.process_time()
+    assert 0 <= quality.score_texts([b"\n" * 300_000 + b"x"], chain)[0] <= 1
+    assert time.process_time() - began < 30
+
+
 def test_classifiers_edges():
     chain = quality.fit([("clean words here.", 1)])
     assert np.allclose(quality.score_texts([b"", b"a\n\nb"], chain), 0.5)
