@@ -136,7 +136,16 @@ def fit(samples: list[tuple[str, int]], *, steps: int = 100, rate: float = 0.15,
     weights, moves = np.zeros(width), np.zeros((2, 2))
     if len({y for _, y in samples}) < 2:
         return Chain(weights, moves)
-    own, _, per_text = lines_of(common.utf8(t for t, _ in samples))
+    made, group, size = [], [], 0
+    for text in [*common.utf8(t for t, _ in samples), None]:  # features are made for some texts at a time, to hold little beside them
+        if group and (text is None or size > 1 << 20):
+            made.append(lines_of(group))
+            group, size = [], 0
+        if text is not None:
+            group.append(text)
+            size += len(text)
+    own, per_text = (np.concatenate([m[i] for m in made]) for i in (0, 2))
+    del made
     x = with_neighbours(own, per_text)
     y = np.repeat(np.array([y for _, y in samples], float), per_text)
     told = np.zeros((2, 2))
