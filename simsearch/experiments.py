@@ -1,6 +1,7 @@
 """The experiment workloads: build times, index against scan, five methods by data size, sweeps over four corpora.
 
-Queries with seconds in them return what was measured in the session as it is; their other columns are the same on every run."""
+Queries with seconds in them return what was measured in the session as it is; their other columns are the same on every run.
+``WORKLOADS`` are those that take minutes even on small tables; ``bench.py --workloads`` runs them, the others are queries."""
 
 from __future__ import annotations
 
@@ -20,6 +21,12 @@ FOUR = ("titles", "turns", "lines", "chains")
 LAMBDAS = tuple(i / 10 for i in range(11))
 SHARES = (20, 40, 60, 80, 100)
 SEARCH_GRID = (2, 5, 10, 20, 30, 40)
+WORKLOADS: dict = {}
+
+
+def workload(f):
+    WORKLOADS[f.__name__] = f
+    return f
 
 
 def seconds(df: DataFrame) -> float:
@@ -40,7 +47,7 @@ def held(spark, sf_dir, name, n: int = 5):
 # build times -----------------------------------------------------------------------------------------------
 
 
-@query
+@workload
 def index_build_times(spark, sf_dir):
     """Seconds to build and store the gram index of each corpus, its strings and postings."""
     out = []
@@ -65,7 +72,7 @@ def index_sizes(spark, sf_dir):
     return out
 
 
-@query
+@workload
 def vector_cluster_times(spark, sf_dir):
     """Seconds to vectorise (three ways) and to cluster each corpus, apart."""
     out = []
@@ -147,7 +154,7 @@ def five(c, q, model, goal: Goal, eps: int) -> dict:
     }
 
 
-@query
+@workload
 def runtime_by_size(spark, sf_dir):
     """Seconds of the five methods on a fifth to all of the lines; the clusters are built beforehand and timed apart."""
     every, out = src.lines(spark, sf_dir).persist(), []
@@ -209,7 +216,7 @@ def _eps_query(corpus):
         return eps_sweep(spark, sf_dir, corpus, n=2 if corpus == "chains" else 5)
 
     run.__name__ = f"eps_sweep_{corpus}"
-    return query(run)
+    return workload(run)
 
 
 for _corpus in FOUR:
@@ -233,7 +240,7 @@ def _union(rows):
     return out
 
 
-@query
+@workload
 def lambda_sweep_chains(spark, sf_dir):
     """Score against the weight on the long random strings, for relax-rank, relax-align and the walk."""
     c, q = held(spark, sf_dir, "chains", 2)
@@ -250,10 +257,10 @@ def lambda_sweep_chains(spark, sf_dir):
     return _union(rows)
 
 
-@query
+@workload
 def k_sweep_chains(spark, sf_dir):
     """Score, distance and spread against the mean number of results, on the long random strings."""
-    c, q = held(spark, sf_dir, "chains")
+    c, q = held(spark, sf_dir, "chains", 2)
     dists = range_scan(c, q).persist()
     goals = [Goal(k, k + 30, 0.5) for k in K_GRID]
     return _union(_card_row("relax_rank", g.kmin + 15, r, g) for g, r in zip(goals, _rank_over(dists, goals, 30)))
@@ -276,7 +283,7 @@ def cut_off_grid(spark, sf_dir):
     return _union(rows)
 
 
-@query
+@workload
 def cluster_share_grid(spark, sf_dir):
     """The walk under shares of the clusters that it may visit."""
     c, q = line_setting(spark, sf_dir)
@@ -284,7 +291,7 @@ def cluster_share_grid(spark, sf_dir):
     return _union(_card_row("cluster_walk", share, clusters.cluster_walk(model, q, USUAL, cluster_share=share), USUAL) for share in (0.125, 0.25, 0.5, 1.0))
 
 
-@query
+@workload
 def walk_revert(spark, sf_dir):
     """The walk that puts back a string which lowers the score."""
     c, q = line_setting(spark, sf_dir)

@@ -29,7 +29,10 @@ def balance_score(results: DataFrame, lam: float) -> DataFrame:
 
 
 def score_card(results: DataFrame, lam: float, kmin: int, kmax: int, queries: DataFrame | None = None) -> DataFrame:
-    """Per query: count, whether it is in range, closeness, spread, balance; queries without results count 0."""
+    """Per query: count, whether it is in range, closeness, spread, balance; queries without results count 0.
+
+    Results are at most kmax per query; they are kept while the measures are taken, so a method runs once."""
+    results = results.select("qid", "id", "s", "dist").persist()
     counts = results.groupBy("qid").agg(F.count(F.lit(1)).alias("result_count"))
     card = counts.join(balance_score(results, lam), "qid")
     if queries is not None:
