@@ -108,3 +108,11 @@ def test_baselines_look_at_all_strings_under_the_limit(spark):
     for method in (baselines.swap_baseline, baselines.multipass_greedy):
         got = method(c, q, k=3, eps=20).collect()
         assert len(got) == 3 and 450 in {r.id for r in got}
+
+
+def test_doubled_limits_reach_the_threshold_on_the_grid(spark):
+    """With a step above 1 the final threshold may lie beyond the first limit that holds enough strings."""
+    c = corpus(spark, [f"abcdefgh{i}" for i in range(8)] + [f"abcd{x * 5}" for x in "XYZ"])
+    q = src.literal_queries(spark, ["abcdefgh_"])
+    rows = lambda engine: sorted((r.id, r.dist, r.eps_final) for r in relax(c, q, Goal(5, 8, 0.5), step=10, engine=engine).collect())
+    assert len(rows("rounds")) == 11 and rows("gallop") == rows("histogram") == rows("auto") == rows("rounds")
