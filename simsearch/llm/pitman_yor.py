@@ -11,13 +11,18 @@ Seating draws the waiting time to the next new table at once from its closed for
 so a word with a billion customers costs as many steps as it has tables. A pair that was seen once has one table whatever
 is drawn: such pairs enter the totals once and only the others are swept.
 
-Words are named by 64 bits of a 128-bit digest; a clash is detected and stops the query. Texts are read once: each stretch
-of texts becomes a chunk with its own small vocabulary, its (word, context) pairs, and its texts as numbers of pairs. Counts
-are summed over chunks for the model; to score, every chunk asks once for each of its words and pairs.
+How rows are held. Words are named by 64 bits of a 128-bit digest (a clash is detected and stops the query) and known words
+get numbers, small ones for frequent words. Texts are read once: each stretch of texts becomes a chunk with its own small
+vocabulary and its texts as codes of it. The pairs of a chunk are dealt over buckets by a hash of both words, so no context
+and no word is hot; what a chunk sends to a bucket is one packed row. There are as many buckets as the tokens need, about
+``per_bucket`` each. A bucket asks for totals once per word and context that it holds. To score, every chunk is sent what the
+buckets know of its own pairs. Tables of a step are deleted once the next is written.
 
 Defined cases: null and empty texts are the end token alone. Unknown words get the parent's unknown mass; after a context
 that was not trained on, the parent decides. With no training text every count is 0 and probabilities are uniform over the
 one unknown word (score 0). Equal rows are scored alike and count as often as they are there. Ids may repeat or be null.
+A text longer than a chunk is a chunk of its own. More than 2^32 distinct words stop the query. Of the table only doc_id and
+text are read, so other columns may have any name.
 """
 
 from __future__ import annotations
@@ -27,7 +32,7 @@ import zlib
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from . import common
@@ -41,45 +46,76 @@ def names_of(words: list[bytes]) -> np.ndarray:
     return np.frombuffer(b"".join(hashlib.blake2b(w, digest_size=16).digest() for w in words), "<i8").reshape(-1, 2)
 
 
+def pack(numbers: np.ndarray) -> bytes:
+    """Whole numbers from 0 to 2^32 - 1 as four planes of bytes, deflated."""
+    return zlib.compress(np.ascontiguousarray(numbers.astype("<u4").view(np.uint8).reshape(-1, 4).T).tobytes(), 3)
+
+
+def unpack(packed: bytes) -> np.ndarray:
+    return np.ascontiguousarray(np.frombuffer(zlib.decompress(packed), np.uint8).reshape(4, -1).T).view("<u4").ravel()
+
+
+def pack_keys(keys: np.ndarray) -> tuple[bytes, bytes]:
+    """Ascending keys (context in the upper half, word in the lower): steps of the contexts, and the words."""
+    return pack(np.diff(keys >> np.uint64(32), prepend=np.uint64(0))), pack(keys & np.uint64(0xFFFFFFFF))
+
+
+def unpack_keys(steps: bytes, words: bytes) -> np.ndarray:
+    return (np.cumsum(unpack(steps).astype(np.uint64), dtype=np.uint64) << np.uint64(32)) | unpack(words).astype(np.uint64)
+
+
+def batch_of(schema: pa.Schema, size: int, /, **columns) -> pa.RecordBatch:
+    """A batch of that many rows; columns that are not given are null."""
+    return pa.RecordBatch.from_arrays([pa.array(columns[f.name], f.type) if f.name in columns else pa.nulls(size, f.type) for f in schema], schema=schema)
+
+
+def groups(batches, by: str):
+    """(value, table) of each run of rows with the same value of ``by``; runs may go over several batches."""
+    now, held = None, []
+    for batch in batches:
+        ids = batch.column(by).to_numpy(zero_copy_only=False)
+        edges = [*common.run_starts(ids).tolist(), len(ids)]
+        for a, b in zip(edges[:-1], edges[1:]):
+            if held and ids[a] != now:
+                yield now, pa.Table.from_batches(held)
+                held = []
+            now = ids[a]
+            held.append(batch.slice(a, b - a))
+    if held:
+        yield now, pa.Table.from_batches(held)
+
+
+def united(first: DataFrame, second: DataFrame) -> DataFrame:
+    return first.unionByName(second, allowMissingColumns=True)
+
+
 def chunks(docs: DataFrame, chunk_bytes: int = 24 << 20) -> DataFrame:
-    """One written table with four kinds of rows. Word rows, one per word of a chunk: chunk, code, id, proof, n (training
-    count); the text's begin is the last of them. Pair rows, one per (word, context) of a chunk: chunk, code, id, ctx, n.
-    Key rows: chunk, code (of the first pair), pairs (the pairs as word codes). Document rows: chunk, doc_id, held_out,
-    tokens (codes of its pairs)."""
+    """One written table with two kinds of rows. Word rows, one per word of a chunk: chunk, code, id, proof, n (training
+    count), followers (tokens of training texts that come after it); the text's begin is the last of them. Document
+    rows, one per stretch of documents: chunk, code (their order), ids, held_out, sizes, words (codes of all their tokens)."""
+    schema = pa.schema([("chunk", pa.int64()), ("code", pa.int32()), ("id", pa.int64()), ("proof", pa.int64()), ("n", pa.int64()), ("followers", pa.int64()), ("ids", pa.list_(pa.int64())), ("held_out", pa.list_(pa.bool_())), ("sizes", pa.list_(pa.int64())), ("words", pa.binary())])
 
     def run(batches):
         from pyspark import TaskContext
 
-        part, serial = TaskContext.get().partitionId(), 0
+        part, serial, size = TaskContext.get().partitionId(), 0, 0
         codes: dict[bytes, int] = {}
         held: list = []  # per document: id, held_out, word codes
-        size = 0
 
         def close():
-            chunk, names = (part << 32) + serial, names_of([*codes, BEGIN])
-            begin = len(codes)
-            flat = np.concatenate([x[2] for x in held])
-            ends = np.cumsum([len(x[2]) for x in held])
-            before = np.full(len(flat), begin)
-            before[1:] = flat[:-1]
-            before[ends[:-1]] = begin
-            trained = np.repeat([not x[1] for x in held], np.diff(ends, prepend=0))
-            key, number = np.unique(flat * (begin + 1) + before, return_inverse=True)
-            word, ctx = np.divmod(key, begin + 1)
-            n = np.bincount(number[trained], minlength=len(key))
-            n_word = np.bincount(flat[trained], minlength=begin + 1)
+            chunk, names, begin = (part << 32) + serial, names_of([*codes, BEGIN]), len(codes)
+            trained = [x for x in held if not x[1]]
+            n = np.bincount(np.concatenate([x[2] for x in trained]), minlength=begin + 1) if trained else np.zeros(begin + 1, np.int64)
+            followers = n.copy()
+            followers[begin] = len(trained)
+            if END in codes:
+                followers[codes[END]] = 0
             for a in range(0, len(names), 100_000):
                 w = names[a : a + 100_000]
-                yield batch_of(len(w), chunk=np.full(len(w), chunk), code=np.arange(a, a + len(w), dtype=np.int32), id=w[:, 0].copy(), proof=w[:, 1].copy(), n=n_word[a : a + len(w)])
-            for a in range(0, len(key), 100_000):
-                w, c = word[a : a + 100_000], ctx[a : a + 100_000]
-                yield batch_of(len(w), chunk=np.full(len(w), chunk), code=np.arange(a, a + len(w), dtype=np.int32), id=names[w, 0], ctx=names[c, 0], n=n[a : a + len(w)])
-                yield batch_of(1, chunk=[chunk], code=[a], pairs=[zlib.compress(np.stack((w, c)).astype("<u4").tobytes(), 6)])
-            tokens = number.astype("<u4")
+                yield batch_of(schema, len(w), chunk=np.full(len(w), chunk), code=np.arange(a, a + len(w), dtype=np.int32), id=w[:, 0].copy(), proof=w[:, 1].copy(), n=n[a : a + len(w)], followers=followers[a : a + len(w)])
             for a in range(0, len(held), 2000):
                 h = held[a : a + 2000]
-                own = [zlib.compress(tokens[e - len(x[2]) : e].tobytes(), 6) for x, e in zip(h, ends[a : a + 2000].tolist())]
-                yield batch_of(len(h), chunk=np.full(len(h), chunk), doc_id=[x[0] for x in h], held_out=[x[1] for x in h], tokens=own)
+                yield batch_of(schema, 1, chunk=[chunk], code=[a], ids=[[x[0] for x in h]], held_out=[[x[1] for x in h]], sizes=[[len(x[2]) for x in h]], words=[pack(np.concatenate([x[2] for x in h]))])
 
         for batch in common.by_bytes(batches, lambda b: [len(v or "") for v in b.column("text").to_pylist()], 2 << 20):
             for doc_id, out, text in zip(batch.column("doc_id").to_pylist(), batch.column("held_out").to_pylist(), common.utf8(batch.column("text").to_pylist())):
@@ -88,7 +124,7 @@ def chunks(docs: DataFrame, chunk_bytes: int = 24 << 20) -> DataFrame:
                 for w in tokens:
                     if w not in codes:
                         codes[w] = len(codes)
-                held.append((doc_id, out, np.fromiter(map(codes.__getitem__, tokens), np.int64, len(tokens))))
+                held.append((doc_id, out, np.fromiter(map(codes.__getitem__, tokens), np.int64, len(tokens)).astype(np.uint32)))
                 size += len(text) + 64
             if size >= chunk_bytes:
                 yield from close()
@@ -97,21 +133,53 @@ def chunks(docs: DataFrame, chunk_bytes: int = 24 << 20) -> DataFrame:
         if held:
             yield from close()
 
-    schema = pa.schema([("chunk", pa.int64()), ("code", pa.int32()), ("id", pa.int64()), ("proof", pa.int64()), ("ctx", pa.int64()), ("n", pa.int64()), ("pairs", pa.binary()), ("doc_id", pa.int64()), ("held_out", pa.bool_()), ("tokens", pa.binary())])
-
-    def batch_of(size, /, **columns):
-        return pa.RecordBatch.from_arrays([pa.array(columns[f.name], f.type) if f.name in columns else pa.nulls(size, f.type) for f in schema], schema=schema)
-
     marked = docs.select("doc_id", "text", (common.crc_mod(F.col("doc_id"), 10) == 0).alias("held_out"))
-    return common.materialize(marked.mapInArrow(run, "chunk long, code int, id long, proof long, ctx long, n long, pairs binary, doc_id long, held_out boolean, tokens binary"), "lm-chunks")
+    return common.materialize(marked.mapInArrow(run, "chunk long, code int, id long, proof long, n long, followers long, ids array<long>, held_out array<boolean>, sizes array<long>, words binary"), "lm-chunks")
 
 
 def word_rows(parts: DataFrame) -> DataFrame:
-    return parts.where(F.col("proof").isNotNull()).select("chunk", "code", "id", "proof", "n")
-
-
-def pair_rows(parts: DataFrame) -> DataFrame:
-    return parts.where(F.col("ctx").isNotNull()).select("chunk", "code", "id", "ctx", "n")
+    return parts.where(F.col("proof").isNotNull()).select("chunk", "code", "id", "proof", "n", "followers")
+
+
+def text_rows(parts: DataFrame) -> DataFrame:
+    return parts.where(F.col("words").isNotNull()).select("chunk", F.col("code").alias("at"), "ids", "held_out", "sizes", "words")
+
+
+class Texts:
+    """The texts of one chunk as pairs. word, ctx: the chunk's codes of its distinct pairs. number: the pair of each
+    token. sizes, ids, held_out: per document. known: pairs of known words; keys: theirs, in numbers of the model, with
+    ``bucket``, in the order in which they are sent."""
+
+    def __init__(self, rows: pa.Table, numbers: np.ndarray, buckets: int):
+        rows = rows.sort_by("at")
+        self.ids, self.held_out, self.sizes = (np.concatenate([np.array(x, dtype=object) for x in rows.column(c).to_pylist()]) for c in ("ids", "held_out", "sizes"))
+        self.sizes = self.sizes.astype(np.int64)
+        flat = np.concatenate([unpack(x) for x in rows.column("words").to_pylist()]).astype(np.int64)
+        begin = len(numbers) - 1
+        self.begins = np.cumsum(self.sizes) - self.sizes
+        before = np.full(len(flat), begin)
+        before[1:] = flat[:-1]
+        before[self.begins] = begin
+        pairs, self.number = np.unique(flat * (begin + 1) + before, return_inverse=True)
+        self.word, self.ctx = np.divmod(pairs, begin + 1)
+        known = np.flatnonzero((numbers[self.word] >= 0) & (numbers[self.ctx] >= 0))
+        keys = (numbers[self.ctx[known]].astype(np.uint64) << np.uint64(32)) | numbers[self.word[known]].astype(np.uint64)
+        bucket = (common.mix64(keys) % np.uint64(buckets)).astype(np.int64)
+        order = np.lexsort((keys, bucket))
+        self.known, self.keys, self.bucket = known[order], keys[order], bucket[order]
+
+    def counts(self) -> np.ndarray:
+        """Training counts of the known pairs."""
+        trained = np.repeat(~self.held_out.astype(bool), self.sizes)
+        return np.bincount(self.number[trained], minlength=len(self.word))[self.known]
+
+
+def numbers_of(rows: pa.Table) -> np.ndarray:
+    """The model's numbers of a chunk's codes, -1 for words that it does not know."""
+    rows = rows.filter(rows.column("code").is_valid())
+    numbers = np.empty(len(rows), np.int64)
+    numbers[rows.column("code").to_numpy()] = rows.column("g").combine_chunks().fill_null(-1).to_numpy()
+    return numbers
 
 
 def log_gamma(x: np.ndarray) -> np.ndarray:
@@ -173,8 +241,128 @@ def seat(customers: np.ndarray, push: np.ndarray, discount: float, rng) -> np.nd
     return tables
 
 
-def seated(rows: DataFrame, customers: str, tables: str, discount: float, seed: int, number: int) -> DataFrame:
-    """rows with the column ``tables`` drawn anew; rows have a column push, which goes, and id (with ctx: a pair)."""
+class Model:
+    """Written tables of a fitted model. codes: chunk, code, g (the word's number). blocks: what chunks sent to buckets.
+    seating: per bucket the packed pairs seen more than once with tables t (last sweep) and total (over the samples).
+    words: g, id, n, followers (its customers as a context), p<j> (the parent's probability), k<j> (its tables as a context)."""
+
+    def __init__(self, strength: float, discount: float, samples: int):
+        self.strength, self.discount, self.samples = strength, discount, samples
+        self.codes = self.blocks = self.seating = self.words = None
+        self.known = self.tokens = 0
+        self.buckets = 1
+        self.unknown: list[float] = []  # the parent's probability of the unknown word, per sample
+
+
+def number_words(parts: DataFrame, m: Model, per_part: int = 100_000) -> DataFrame:
+    """id, g, n, followers of the words of training texts and of the text's begin. Numbers are dealt within parts by falling
+    counts, so frequent words have small ones."""
+    counted = word_rows(parts).groupBy("id").agg(F.sum("n").alias("n"), F.sum("followers").alias("followers"), (F.min("proof") != F.max("proof")).alias("clash"))
+    counted = common.materialize(counted.where("n > 0 or followers > 0 or clash"), "lm-counted")
+    first = counted.agg(F.count(F.lit(1)).alias("rows"), F.count_if(F.col("n") > 0).alias("known"), F.sum("n").alias("tokens"), F.max("clash").alias("clash")).first()
+    if first.clash:
+        raise ValueError("two words have the same 64-bit name")
+    spread = first.rows // per_part + 1
+    m.known, m.tokens = first.known, first.tokens or 0
+    part = F.pmod(F.col("id"), F.lit(spread))
+    rank = F.row_number().over(Window.partitionBy(part).orderBy(F.desc(F.col("n") + F.col("followers")), "id"))
+    numbered = common.materialize(counted.select("id", ((rank - 1) * spread + part).cast("long").alias("g"), "n", "followers"), "lm-numbered")
+    if (numbered.agg(F.max("g")).first()[0] or 0) >= 1 << 32:
+        raise ValueError("more than 2^32 words")
+    common.discard(counted)
+    return numbered
+
+
+def send_pairs(parts: DataFrame, m: Model) -> DataFrame:
+    """Per chunk and bucket one row: bucket, chunk, steps and dishes (packed keys), n (packed training counts)."""
+    buckets = m.buckets
+    schema = pa.schema([("bucket", pa.int64()), ("chunk", pa.int64()), ("steps", pa.binary()), ("dishes", pa.binary()), ("n", pa.binary())])
+    both = united(m.codes, text_rows(parts)).repartition("chunk").sortWithinPartitions("chunk")
+
+    def run(batches):
+        for chunk, rows in groups(batches, "chunk"):
+            texts = Texts(rows.filter(rows.column("words").is_valid()), numbers_of(rows), buckets)
+            n, edges = texts.counts(), [*common.run_starts(texts.bucket).tolist(), len(texts.bucket)]
+            for a, b in zip(edges[:-1], edges[1:]):
+                steps, dishes = pack_keys(texts.keys[a:b])
+                yield batch_of(schema, 1, bucket=texts.bucket[a : a + 1], chunk=[chunk], steps=[steps], dishes=[dishes], n=[pack(n[a:b])])
+
+    return common.materialize(both.mapInArrow(run, "bucket long, chunk long, steps binary, dishes binary, n binary"), "lm-blocks")
+
+
+def merged(rows: pa.Table) -> tuple[np.ndarray, np.ndarray]:
+    """Ascending keys of a bucket's trained pairs, and their counts over all chunks."""
+    keys, n = [], []
+    for steps, dishes, count in zip(*(rows.column(c).to_pylist() for c in ("steps", "dishes", "n"))):
+        here = unpack(count)
+        keys.append(unpack_keys(steps, dishes)[here > 0])
+        n.append(here[here > 0].astype(np.int64))
+    keys, n = np.concatenate(keys), np.concatenate(n)
+    keys, at = np.unique(keys, return_inverse=True)
+    total = np.zeros(len(keys), np.int64)
+    np.add.at(total, at, n)
+    return keys, total
+
+
+STATE = "bucket long, steps binary, dishes binary, n binary, t binary, total binary, g long, as_ctx long, as_word long, asked boolean"
+STATE_SCHEMA = pa.schema([("bucket", pa.int64()), ("steps", pa.binary()), ("dishes", pa.binary()), ("n", pa.binary()), ("t", pa.binary()), ("total", pa.binary()), ("g", pa.int64()), ("as_ctx", pa.int64()), ("as_word", pa.int64()), ("asked", pa.bool_())])
+
+
+def state_rows(bucket: int, keys: np.ndarray, n: np.ndarray, t: np.ndarray, total: np.ndarray, sums: dict[str, np.ndarray], asked: np.ndarray | None):
+    """One row with the packed pairs of a bucket, then one per word number with the tables it adds as context and as word."""
+    steps, dishes = pack_keys(keys)
+    yield batch_of(STATE_SCHEMA, 1, bucket=[bucket], steps=[steps], dishes=[dishes], n=[pack(n)], t=[pack(t)], total=[pack(total)])
+    size = len(sums["g"])
+    for a in range(0, size, 100_000):
+        b = min(size, a + 100_000)
+        more = {} if asked is None else {"asked": asked[a:b]}
+        yield batch_of(STATE_SCHEMA, b - a, bucket=np.full(b - a, bucket), **{c: v[a:b] for c, v in sums.items()}, **more)
+
+
+def tables_by_word(keys: np.ndarray, t: np.ndarray) -> dict[str, np.ndarray]:
+    ctx, word = (keys >> np.uint64(32)).astype(np.int64), (keys & np.uint64(0xFFFFFFFF)).astype(np.int64)
+    g, at = np.unique(np.concatenate((ctx, word)), return_inverse=True)
+    count = lambda which: np.bincount(which, weights=t, minlength=len(g)).astype(np.int64)
+    return {"g": g, "as_ctx": count(at[: len(keys)]), "as_word": count(at[len(keys) :])}
+
+
+def first_seating(blocks: DataFrame) -> DataFrame:
+    """Every pair at one table. The packed rows hold the pairs seen more than once; the sums count all pairs seen once."""
+
+    def run(batches):
+        for bucket, rows in groups(batches, "bucket"):
+            keys, n = merged(rows)
+            more = n > 1
+            sums = tables_by_word(keys, n == 1)
+            asked = np.isin(sums["g"], tables_by_word(keys[more], n[more])["g"])
+            one = np.ones(int(more.sum()), np.int64)
+            yield from state_rows(bucket, keys[more], n[more], one, 0 * one, sums, asked)
+
+    dealt = blocks.repartition("bucket").sortWithinPartitions("bucket")
+    return common.materialize(dealt.mapInArrow(run, STATE), "lm-seating")
+
+
+def sweep_pairs(state: DataFrame, answers: DataFrame, m: Model, seed: int, number: int, keep: bool) -> DataFrame:
+    """Seat the packed pairs anew. answers: bucket, g, p (the parent's probability), pull (of the context)."""
+    discount = m.discount
+    packed = state.where("steps is not null").select("bucket", "steps", "dishes", "n", "t", "total")
+    both = united(packed, answers).repartition("bucket").sortWithinPartitions("bucket")
+
+    def run(batches):
+        for bucket, rows in groups(batches, "bucket"):
+            told = rows.filter(rows.column("p").is_valid()).sort_by("g")
+            g, p, pull = (told.column(c).to_numpy() for c in ("g", "p", "pull"))
+            row = rows.filter(rows.column("steps").is_valid()).to_pylist()[0]
+            keys, n, total = unpack_keys(row["steps"], row["dishes"]), unpack(row["n"]).astype(np.int64), unpack(row["total"]).astype(np.int64)
+            ctx, word = (keys >> np.uint64(32)).astype(np.int64), (keys & np.uint64(0xFFFFFFFF)).astype(np.int64)
+            t = seat(n, pull[np.searchsorted(g, ctx)] * p[np.searchsorted(g, word)], discount, Draws(common.mix64(keys), seed, number))
+            yield from state_rows(bucket, keys, n, t, total + t * keep, tables_by_word(keys, t), None)
+
+    return common.materialize(both.mapInArrow(run, STATE), "lm-seating")
+
+
+def seat_parent(rows: DataFrame, discount: float, seed: int, number: int) -> DataFrame:
+    """rows with r, the tables of each word in the parent, drawn anew; customers are ``tables``, the column push goes."""
     keep = [c for c in rows.columns if c != "push"]
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in rows.schema if f.name != "push")
 
@@ -183,42 +371,48 @@ def seated(rows: DataFrame, customers: str, tables: str, discount: float, seed:
             if not batch.num_rows:
                 continue
             value = lambda c: batch.column(c).to_numpy(zero_copy_only=False)
-            keys = value("id").view(np.uint64)
-            if "ctx" in keep:
-                keys = common.mix64(keys) ^ value("ctx").view(np.uint64)
-            t = seat(value(customers), value("push"), discount, Draws(keys, seed, number))
-            yield pa.RecordBatch.from_arrays([pa.array(t) if c == tables else batch.column(c) for c in keep], names=keep)
+            r = seat(value("tables"), value("push"), discount, Draws(value("id").view(np.uint64), seed, number))
+            yield pa.RecordBatch.from_arrays([pa.array(r) if c == "r" else batch.column(c) for c in keep], names=keep)
 
     return rows.mapInArrow(run, schema)
 
 
-class Model:
-    """Written tables of a fitted model. counts: id, ctx, n of every trained pair. pairs: id, ctx, n, t<j> of those seen
-    more than once. words: id, n, p<j> (the parent's probability). contexts: ctx, customers, tables<j>. Samples j = 0, 1, ..."""
-
-    def __init__(self, strength: float, discount: float):
-        self.strength, self.discount = strength, discount
-        self.counts = self.pairs = self.words = self.contexts = None
-        self.known = self.tokens = self.samples = 0
-        self.unknown: list[float] = []  # the parent's probability of the unknown word, per sample
-
-
-def fit(parts: DataFrame, *, burn_in: int = 1, samples: int = 2, strength: float = 1.0, discount: float = 0.5, seed: int = 1) -> Model:
+def fit(parts: DataFrame, *, burn_in: int = 1, samples: int = 2, strength: float = 1.0, discount: float = 0.5, seed: int = 1, per_bucket: int = 2_000_000) -> Model:
     """Count all pairs, seat them, sweep, and keep the seatings of the last sweeps."""
-    spark, m, s, d = parts.sparkSession, Model(strength, discount), strength, discount
-    vocabulary = word_rows(parts).groupBy("id").agg(F.sum("n").alias("n"), (F.min("proof") != F.max("proof")).alias("clash"))
-    vocabulary = common.materialize(vocabulary.where("n > 0 or clash"), "lm-words")
-    first = vocabulary.agg(F.count(F.lit(1)).alias("known"), F.sum("n").alias("tokens"), F.max("clash").alias("clash")).first()
-    if first.clash:
-        raise ValueError("two words have the same 64-bit name")
-    m.known, m.tokens, m.samples = first.known, first.tokens or 0, samples
-    m.counts = common.materialize(pair_rows(parts).groupBy("id", "ctx").agg(F.sum("n").alias("n")).where("n > 0"), "lm-counts")
-    once = (F.col("n") == 1).cast("long")
-    fixed = common.materialize(m.counts.groupBy("ctx").agg(F.sum("n").alias("customers"), F.sum(once).alias("once")), "lm-contexts")
-    tables = m.counts.groupBy("id").agg(F.count(F.lit(1)).alias("tables"), F.sum(once).alias("once"))
-    words = common.materialize(vocabulary.select("id", "n").join(tables, "id").withColumn("r", F.lit(1).cast("long")), "lm-parent")
-    pairs = m.counts.where("n > 1").withColumn("t", F.lit(1).cast("long"))
-    common.release(spark)
+    m, s, d = Model(strength, discount, samples), strength, discount
+    numbered = number_words(parts, m)
+    m.buckets = m.tokens // per_bucket + 1
+    m.codes = common.materialize(word_rows(parts).select("chunk", "code", "id").join(numbered.select("id", "g"), "id", "left").select("chunk", "code", "g"), "lm-codes")
+    common.release(parts.sparkSession)
+    m.blocks = send_pairs(parts, m)
+    common.release(parts.sparkSession)
+    state = first_seating(m.blocks)
+    sums = state.where("g is not null").groupBy("g").agg(F.sum("as_ctx").alias("once_ctx"), F.sum("as_word").alias("once_word"))
+    zero = lambda c: F.coalesce(c, F.lit(0)).alias(c)
+    # pairs seen more than once start with one table each
+    packed = state.where("steps is not null").select("bucket", "steps", "dishes", "t")
+
+    def start(batches):
+        for batch in batches:
+            for row in batch.to_pylist():
+                found = tables_by_word(unpack_keys(row["steps"], row["dishes"]), unpack(row["t"]))
+                yield pa.RecordBatch.from_arrays([pa.array(found[c]) for c in ("g", "as_ctx", "as_word")], names=["g", "as_ctx", "as_word"])
+
+    begun = packed.mapInArrow(start, "g long, as_ctx long, as_word long").groupBy("g").agg(F.sum("as_ctx").alias("as_ctx"), F.sum("as_word").alias("as_word"))
+    base = numbered.join(sums, "g", "left").select("g", "id", "n", "followers", zero("once_ctx"), zero("once_word"))
+
+    def with_tables(words, found):
+        filled = words.join(found, "g", "left")
+        kept = [c for c in words.columns if c not in ("ctx_tables", "tables", "r")]
+        r = F.col("r") if "r" in words.columns else (F.col("n") > 0).cast("long").alias("r")
+        plus = lambda a, b, c: (F.col(a) + F.coalesce(b, F.lit(0))).alias(c)
+        return filled.select(*kept, plus("once_ctx", "as_ctx", "ctx_tables"), plus("once_word", "as_word", "tables"), r)
+
+    words = common.materialize(with_tables(base, begun), "lm-parent")
+    requests = common.materialize(state.where("asked").select("bucket", "g"), "lm-requests")
+    state_now = common.materialize(state.where("steps is not null"), "lm-seating")
+    common.discard(state, numbered)
+    state = state_now
 
     def totals():
         row = words.agg(F.coalesce(F.sum("tables"), F.lit(0)).alias("t"), F.coalesce(F.sum("r"), F.lit(0)).alias("r")).first()
@@ -229,96 +423,79 @@ def fit(parts: DataFrame, *, burn_in: int = 1, samples: int = 2, strength: float
 
     t_all, r_all = totals()
     for number in range(1, burn_in + samples + 1):
-        sums = pairs.groupBy("ctx").agg(F.sum("t").alias("t"))
-        around = common.materialize(sums.join(fixed, "ctx").select("ctx", (s + d * (F.col("t") + F.col("once"))).alias("pull")), "lm-around")
-        pulled = pairs.join(words.select("id", parent(t_all, r_all).alias("p")), "id").join(around, "ctx")
-        pulled = pulled.select(*pairs.columns, (F.col("pull") * F.col("p")).alias("push"))
-        after = common.materialize(seated(pulled, "n", "t", d, seed, number), "lm-seating")
-        common.discard(pairs, around)
-        pairs = after
-        sums = pairs.groupBy("id").agg(F.sum("t").alias("t"))
-        filled = words.join(sums, "id", "left").withColumn("tables", F.col("once") + F.coalesce("t", F.lit(0))).drop("t")
-        after = seated(filled.withColumn("push", F.lit((s + d * r_all) / (m.known + 1))), "tables", "r", d, seed, number)
-        after, old = common.materialize(after, "lm-parent"), words
+        told = requests.join(words.select("g", parent(t_all, r_all).alias("p"), (s + d * F.col("ctx_tables")).alias("pull")), "g").select("bucket", "g", "p", "pull")
+        after = sweep_pairs(state, told, m, seed, number, number > burn_in)
+        common.discard(state)
+        state = after
+        found = state.where("g is not null").groupBy("g").agg(F.sum("as_ctx").alias("as_ctx"), F.sum("as_word").alias("as_word"))
+        filled = with_tables(words, found).withColumn("push", F.lit((s + d * r_all) / (m.known + 1)))
+        after = common.materialize(seat_parent(filled, d, seed, number), "lm-parent")
+        common.discard(words)
         words = after
-        common.discard(old)
         t_all, r_all = totals()
         if number > burn_in:
-            j = number - burn_in - 1
-            pairs, words = pairs.withColumn(f"t{j}", F.col("t")), words.withColumn(f"p{j}", parent(t_all, r_all))
-            m.unknown.append((s + d * r_all) / (m.known + 1) / (s + t_all))
-    m.pairs, m.words = pairs, words.select("id", "n", *[f"p{j}" for j in range(samples)])
-    sums = pairs.groupBy("ctx").agg(*[F.sum(f"t{j}").alias(f"t{j}") for j in range(samples)])
-    m.contexts = fixed.join(sums, "ctx", "left").select("ctx", "customers", *[(F.col("once") + F.coalesce(f"t{j}", F.lit(0))).alias(f"tables{j}") for j in range(samples)])
+            j, u = number - burn_in - 1, (s + d * r_all) / (m.known + 1) / (s + t_all)
+            # the text's begin is a context but no word
+            p = F.when(F.col("n") > 0, parent(t_all, r_all)).otherwise(F.lit(u))
+            after = common.materialize(words.withColumn(f"p{j}", p).withColumn(f"k{j}", F.col("ctx_tables")), "lm-parent")
+            common.discard(words)
+            words = after
+            m.unknown.append(u)
+    common.discard(requests)
+    m.seating, m.words = state, words
     return m
 
 
-def answers(parts: DataFrame, m: Model) -> DataFrame:
-    """What chunks ask for. Per word: chunk, code, c (training count), p<j>, customers, tables<j> (as a context). Per pair that
-    was trained on: chunk, code, own (its customers less the discount of its tables, averaged over the samples)."""
-    js = range(m.samples)
-    p, tables = [f"p{j}" for j in js], [f"tables{j}" for j in js]
-    facts = m.words.join(m.contexts.withColumnRenamed("ctx", "id"), "id", "full")
-    facts = common.materialize(facts, "lm-facts")
-    asked = word_rows(parts).select("chunk", "code", "id").join(facts, "id", "left")
-    zero = lambda c: F.coalesce(c, F.lit(0)).alias(c)
-    of_words = asked.select("chunk", "code", F.coalesce("n", F.lit(0)).alias("c"), *[F.coalesce(c, F.lit(float(u))).alias(c) for c, u in zip(p, m.unknown)], zero("customers"), *[zero(c) for c in tables], F.lit(None).cast("double").alias("own"))
-    mean = sum((F.col(f"t{j}") for j in js), F.lit(0)) / m.samples
-    own = m.pairs.select("id", "ctx", (F.col("n") - m.discount * mean).alias("own"))
-    own = m.counts.where("n = 1").select("id", "ctx", F.lit(1 - m.discount).alias("own")).unionByName(own)
-    of_pairs = pair_rows(parts).select("chunk", "code", "id", "ctx").join(own, ["id", "ctx"])
-    empty = lambda c: F.lit(None).cast(dict(of_words.dtypes)[c]).alias(c)
-    return of_words.unionByName(of_pairs.select(*[c if c in ("chunk", "code", "own") else empty(c) for c in of_words.columns]))
+def answers(m: Model) -> DataFrame:
+    """Per block: chunk, bucket, n and total (packed), the training count of each of its pairs and its tables over all samples."""
+    schema, samples = pa.schema([("chunk", pa.int64()), ("bucket", pa.int64()), ("n", pa.binary()), ("total", pa.binary())]), m.samples
+    packed = m.seating.where("steps is not null").select("bucket", F.col("steps").alias("s"), F.col("dishes").alias("w"), "total")
+    both = united(m.blocks, packed).repartition("bucket").sortWithinPartitions("bucket")
+
+    def run(batches):
+        for bucket, rows in groups(batches, "bucket"):
+            blocks = rows.filter(rows.column("chunk").is_valid())
+            keys, n = merged(blocks)
+            state = rows.filter(rows.column("s").is_valid()).to_pylist()[0]
+            total = np.full(len(keys), samples)
+            total[np.searchsorted(keys, unpack_keys(state["s"], state["w"]))] = unpack(state["total"])
+            for chunk, steps, dishes in zip(*(blocks.column(c).to_pylist() for c in ("chunk", "steps", "dishes"))):
+                asked = unpack_keys(steps, dishes)
+                at = np.minimum(np.searchsorted(keys, asked), max(len(keys) - 1, 0))
+                there = keys[at] == asked if len(keys) else np.zeros(len(asked), bool)
+                take = lambda v: np.where(there, v[at], 0) if len(keys) else np.zeros(len(asked), np.int64)
+                yield batch_of(schema, 1, chunk=[chunk], bucket=[bucket], n=[pack(take(n))], total=[pack(take(total))])
+
+    return common.materialize(both.mapInArrow(run, "chunk long, bucket long, n binary, total binary"), "lm-answers")
 
 
 def score_chunks(parts: DataFrame, found: DataFrame, m: Model) -> DataFrame:
     """Per document: doc_id, held_out, n_tokens, n_known, base_score, score."""
-    strength, discount, known, total, js = m.strength, m.discount, m.known, m.tokens, range(m.samples)
-    texts = parts.where(F.col("tokens").isNotNull() | F.col("pairs").isNotNull())
-    kinds = dict(found.dtypes) | {"pairs": "binary", "doc_id": "bigint", "held_out": "boolean", "tokens": "binary"}
-    fill = lambda df: df.select(*[c if c in df.columns else F.lit(None).cast(t).alias(c) for c, t in kinds.items()])
-    # the answers of a chunk and its keys come before its documents: nothing more than one chunk's vocabulary is held
-    both = fill(found).unionByName(fill(texts.select("chunk", "code", "pairs", "doc_id", "held_out", "tokens")))
-    both = both.repartition("chunk").sortWithinPartitions("chunk", F.col("tokens").isNotNull())
+    strength, discount, known, total, js, buckets, unknown = m.strength, m.discount, m.known, m.tokens, range(m.samples), m.buckets, m.unknown
+    facts = ["followers", *[f"{k}{j}" for j in js for k in ("p", "k")]]
+    asked = m.codes.join(m.words.select("g", F.col("n").alias("c"), *facts), "g", "left")
+    both = united(united(asked, text_rows(parts)), found).repartition("chunk").sortWithinPartitions("chunk")
+    schema = pa.schema([("doc_id", pa.int64()), ("held_out", pa.bool_()), ("n_tokens", pa.int64()), ("n_known", pa.int64()), ("base_score", pa.float64()), ("score", pa.float64())])
 
     def run(batches):
-        chunk, held, lp, base, seen, word = None, [], None, None, None, None
-
-        def ready():
-            rows = pa.Table.from_batches(held)
-            value = lambda t, c: t.column(c).to_numpy()
-            of_words, of_pairs, keys = (rows.filter(rows.column(c).is_valid()) for c in ("c", "own", "pairs"))
-            order = np.argsort(value(of_words, "code"))
-            of = {c: value(of_words, c)[order] for c in ("c", "customers", *[f"{k}{j}" for k in ("p", "tables") for j in js])}
-            keys = sorted(zip(value(keys, "code").tolist(), keys.column("pairs").to_pylist()))
-            word, ctx = np.concatenate([np.frombuffer(zlib.decompress(x), "<u4").reshape(2, -1) for _, x in keys], axis=1)
-            prob = np.zeros(len(word))
-            prob[value(of_pairs, "code")] = value(of_pairs, "own")
+        for _, rows in groups(batches, "chunk"):
+            texts = Texts(rows.filter(rows.column("words").is_valid()), numbers_of(rows), buckets)
+            of_words = rows.filter(rows.column("code").is_valid()).sort_by("code")
+            value = lambda c, missing=0: of_words.column(c).combine_chunks().fill_null(missing).to_numpy()
+            told = rows.filter(rows.column("bucket").is_valid()).sort_by("bucket")
+            own = np.zeros(len(texts.word))
+            if len(told):
+                n, tables = (np.concatenate([unpack(x) for x in told.column(c).to_pylist()]) for c in ("n", "total"))
+                own[texts.known] = n - discount * tables / len(js)
             for j in js:
-                prob += (strength + discount * of[f"tables{j}"][ctx]) * of[f"p{j}"][word] / len(js)
-            lp = np.log10(prob / (strength + of["customers"][ctx]))
-            return word, lp, np.log10((of["c"] + 0.1) / (total + 0.1 * (known + 1))), (of["c"] > 0).astype(np.int64)
-
-        for batch in batches:
-            ids = batch.column("chunk").to_numpy()
-            is_doc = batch.column("tokens").is_valid().to_numpy(zero_copy_only=False)
-            edges = np.flatnonzero(np.concatenate(([True], (ids[1:] != ids[:-1]) | (is_doc[1:] != is_doc[:-1]), [True])))
-            for a, b in zip(edges[:-1].tolist(), edges[1:].tolist()):
-                if ids[a] != chunk:
-                    chunk, held, lp = ids[a], [], None
-                piece = batch.slice(a, b - a)
-                if not is_doc[a]:
-                    held.append(piece)
-                    continue
-                if lp is None:
-                    word, lp, base, seen = ready()
-                    held = []
-                own = [np.frombuffer(zlib.decompress(t), "<u4") for t in piece.column("tokens").to_pylist()]
-                ends = np.cumsum([len(x) for x in own])
-                begin = np.concatenate(([0], ends[:-1]))
-                flat = np.concatenate(own)
-                sums = [np.add.reduceat(v, begin) for v in (seen[word[flat]], base[word[flat]], lp[flat])]
-                yield pa.RecordBatch.from_arrays([piece.column("doc_id"), piece.column("held_out"), pa.array((ends - begin).astype(np.int64)), pa.array(sums[0]), pa.array(sums[1]), pa.array(sums[2])], names=["doc_id", "held_out", "n_tokens", "n_known", "base_score", "score"])
+                own += (strength + discount * value(f"k{j}")[texts.ctx]) * value(f"p{j}", unknown[j])[texts.word] / len(js)
+            lp = np.log10(own / (strength + value("followers")[texts.ctx]))
+            c, number = value("c"), texts.number
+            base = np.log10((c + 0.1) / (total + 0.1 * (known + 1)))
+            sums = [np.add.reduceat(v[number], texts.begins) for v in ((c > 0).astype(np.int64)[texts.word], base[texts.word], lp)]
+            for a in range(0, len(texts.ids), 10_000):
+                cut = slice(a, a + 10_000)
+                yield batch_of(schema, len(texts.ids[cut]), doc_id=texts.ids[cut].tolist(), held_out=texts.held_out[cut].tolist(), n_tokens=texts.sizes[cut], n_known=sums[0][cut], base_score=sums[1][cut], score=sums[2][cut])
 
     return both.mapInArrow(run, "doc_id long, held_out boolean, n_tokens long, n_known long, base_score double, score double")
 
@@ -326,8 +503,8 @@ def score_chunks(parts: DataFrame, found: DataFrame, m: Model) -> DataFrame:
 def op4_pitman_yor(spark: SparkSession, sf_dir: str) -> DataFrame:
     parts = chunks(common.documents(spark, sf_dir).select("doc_id", "text"))
     m = fit(parts)
-    found = common.materialize(answers(parts, m), "lm-answers")
-    common.release(spark)
+    found = answers(m)
+    common.discard(m.blocks, m.seating)
     scored = score_chunks(parts, found, m)
     return scored.select("doc_id", "held_out", "n_tokens", "n_known", F.lit(m.tokens).cast("long").alias("train_tokens"), "base_score", "score")
 

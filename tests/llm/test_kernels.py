@@ -308,24 +308,33 @@ def test_every_word_before_is_a_context(spark):
     walk = lambda i: list(zip([" ", *(texts[i] or "").split()], [*(texts[i] or "").split(), ""]))
     want = Counter(pair for i in held if not held[i] for pair in walk(i))
     name = lambda w: int(pitman_yor.names_of([w.encode()])[0, 0])
-    m = pitman_yor.fit(parts)
-    assert {(r.ctx, r.id): r.n for r in m.counts.collect()} == {(name(a), name(b)): n for (a, b), n in want.items()}
-    tables = {(r.ctx, r.id): (r.t0, r.t1) for r in m.pairs.collect()}
-    assert all(1 <= t <= want_n for (a, b), want_n in want.items() if want_n > 1 for t in tables[name(a), name(b)])
-    contexts = {r.ctx: r for r in m.contexts.collect()}
-    assert len(contexts) == len({a for a, _ in want}) > 8
-    p = {r.id: (r.p0, r.p1) for r in m.words.collect()}
-    assert all(sum(x[j] for x in p.values()) + m.unknown[j] == pytest.approx(1) for j in (0, 1))
+    m = pitman_yor.fit(parts, per_bucket=300)
+    assert m.buckets > 2
+    words = {r.g: r for r in m.words.collect()}
+    by_name = {r.id: r for r in words.values()}
+    counted, tables = Counter(), {}
+    for r in m.blocks.collect():
+        for key, n in zip(pitman_yor.unpack_keys(r.steps, r.dishes).tolist(), pitman_yor.unpack(r.n).tolist()):
+            counted[words[key >> 32].id, words[key & 0xFFFFFFFF].id] += n
+    assert +counted == {(name(a), name(b)): n for (a, b), n in want.items()}
+    for r in m.seating.where("steps is not null").collect():
+        for key, total in zip(pitman_yor.unpack_keys(r.steps, r.dishes).tolist(), pitman_yor.unpack(r.total).tolist()):
+            tables[words[key >> 32].id, words[key & 0xFFFFFFFF].id] = total / 2
+    assert set(tables) == {(name(a), name(b)) for (a, b), n in want.items() if n > 1}
+    assert all(1 <= tables[name(a), name(b)] <= n for (a, b), n in want.items() if n > 1)
+    assert sum(r.followers > 0 for r in words.values()) == len({a for a, _ in want}) > 8
+    assert all(sum(r[f"p{j}"] for r in words.values() if r.n) + m.unknown[j] == pytest.approx(1) for j in (0, 1))
+    for a in {a for a, _ in want}:  # a context's tables are those of its pairs
+        assert sum(by_name[name(a)][f"k{j}"] for j in (0, 1)) / 2 == pytest.approx(sum(tables.get((name(x), name(y)), 1) for x, y in want if x == a))
 
     def prob(a, b):
-        here, n, out = contexts.get(name(a)), want[a, b], 0.0
+        here, dish, n = by_name.get(name(a)), by_name.get(name(b)), want[a, b]
+        out = n - 0.5 * tables.get((name(a), name(b)), min(n, 1))
         for j in (0, 1):
-            t = tables.get((name(a), name(b)), (min(n, 1),) * 2)[j]
-            total, c = (here[f"tables{j}"], here.customers) if here else (0, 0)
-            out += (n - 0.5 * t + (1 + 0.5 * total) * p.get(name(b), m.unknown)[j]) / (1 + c) / 2
-        return out
+            out += (1 + 0.5 * (here[f"k{j}"] if here else 0)) * (dish[f"p{j}"] if dish else m.unknown[j]) / 2
+        return out / (1 + (here.followers if here else 0))
 
-    got = {r.doc_id: r for r in pitman_yor.score_chunks(parts, pitman_yor.answers(parts, m), m).collect()}
+    got = {r.doc_id: r for r in pitman_yor.score_chunks(parts, pitman_yor.answers(m), m).collect()}
     assert len(got) == len(texts)
     for i in held:
         assert got[i].score == pytest.approx(sum(np.log10(prob(a, b)) for a, b in walk(i))) and got[i].n_tokens == len(walk(i))
