@@ -7,8 +7,8 @@ dish in a restaurant leave and come back one by one, with the other dishes' tabl
 totals are exchanged (tables per context, tables per word, tables of the parent), so (word, context) pairs are independent
 within a sweep and are worked on in parallel. The predictive probability is averaged over the samples.
 
-Seating draws the waiting time to the next new table at once from its closed form instead of one coin per customer,
-so a word with a billion customers costs as many steps as it has tables. A pair that was seen once has one table whatever
+Seating flips one coin per customer, for many dishes at once; beyond 65,536 customers it draws the waiting time to the next
+new table from its closed form, so a word with a billion customers costs as many steps as it has tables. A pair that was seen once has one table whatever
 is drawn: such pairs enter the totals once and only the others are swept.
 
 How rows are held. Words are named by 64 bits of a 128-bit digest (a clash is detected and stops the query) and known words
@@ -176,7 +176,6 @@ class Texts:
 
 def numbers_of(rows: pa.Table) -> np.ndarray:
     """The model's numbers of a chunk's codes, -1 for words that it does not know."""
-    rows = rows.filter(rows.column("code").is_valid())
     numbers = np.empty(len(rows), np.int64)
     numbers[rows.column("code").to_numpy()] = rows.column("g").combine_chunks().fill_null(-1).to_numpy()
     return numbers
@@ -206,15 +205,55 @@ class Draws:
             x = common.mix64(self.keys[places] + np.uint64(self.turn) * np.uint64(0x9E3779B97F4A7C15))
         return ((x >> np.uint64(11)).astype(float) + 0.5) * 2.0**-53
 
+    def random_at(self, places: np.ndarray, turns: np.ndarray) -> np.ndarray:
+        with np.errstate(over="ignore"):
+            x = common.mix64(self.keys[places] + (turns.astype(np.uint64) << np.uint64(20)) * np.uint64(0x9E3779B97F4A7C15))
+        return ((x >> np.uint64(11)).astype(float) + 0.5) * 2.0**-53
+
 
-def seat(customers: np.ndarray, push: np.ndarray, discount: float, rng) -> np.ndarray:
+def seat_by_coins(customers: np.ndarray, push: np.ndarray, discount: float, rng, at: np.ndarray, block: int = 1 << 21) -> np.ndarray:
+    """Tables of the dishes ``at``, one coin per customer, all customers of a block of dishes at once.
+
+    Customer m + 1 opens a table where the tables so far exceed a number that its coin fixes in advance. The tables before
+    each customer are the least solution of that; starting from one table, repeated running sums climb to it."""
+    out = np.ones(len(at), np.int64)
+    ends = np.cumsum(customers[at] - 1)
+    begin = 0
+    while begin < len(at):
+        base = ends[begin - 1] if begin else 0
+        end = max(begin + 1, int(np.searchsorted(ends, base + block, "right")))
+        here = np.arange(begin, end)
+        size = customers[at[here]] - 1
+        first = np.cumsum(size) - size
+        of = np.repeat(at[here], size)
+        m = np.arange(len(of)) - np.repeat(first, size) + 1
+        u = rng.random_at(of, m) if isinstance(rng, Draws) else rng.random(len(of))
+        need = (m - push[of] * (1 - u) / u) / discount
+        tables = np.ones(len(of))
+        while len(here):
+            opened = need < tables
+            sums = np.cumsum(opened)
+            now = 1.0 + (sums - opened) - np.repeat(sums[first] - opened[first], size)
+            out[here] = 1 + np.add.reduceat(opened.astype(np.int64), first)
+            moving = np.maximum.reduceat(now != tables, first)
+            keep = np.repeat(moving, size)
+            here, size, need, tables = here[moving], size[moving], need[keep], now[keep]
+            first = np.cumsum(size) - size
+        begin = end
+    return out
+
+
+def seat(customers: np.ndarray, push: np.ndarray, discount: float, rng, coins: int = 1 << 16) -> np.ndarray:
     """Tables of each dish after all its customers have come in one by one.
 
     push: (strength + discount * tables of the restaurant) * parent's probability of the dish. With t tables and m seated
     customers the next one opens a table with odds push / (m - discount * t). The chance that none of the next
-    ones does is a ratio of gamma functions; a uniform draw is turned into the number of customers until one does."""
+    ones does is a ratio of gamma functions; a uniform draw is turned into the number of customers until one does. Dishes of up
+    to ``coins`` customers are seated by one coin each instead, which is faster and has the same distribution."""
     tables = (customers > 0).astype(np.int64)
-    at = np.flatnonzero(customers > 1)
+    few = np.flatnonzero((customers > 1) & (customers <= coins)) if discount > 0 else np.zeros(0, np.int64)
+    tables[few] = seat_by_coins(customers, push, discount, rng, few)
+    at = np.flatnonzero(customers > (coins if discount > 0 else 1))
     seated = np.ones(len(at))
     while len(at):
         n, a = customers[at].astype(float), np.maximum(push[at], 1e-300)
@@ -277,17 +316,17 @@ def send_pairs(parts: DataFrame, m: Model) -> DataFrame:
     """Per chunk and bucket one row: bucket, chunk, steps and dishes (packed keys), n (packed training counts)."""
     buckets = m.buckets
     schema = pa.schema([("bucket", pa.int64()), ("chunk", pa.int64()), ("steps", pa.binary()), ("dishes", pa.binary()), ("n", pa.binary())])
-    both = united(m.codes, text_rows(parts)).repartition("chunk").sortWithinPartitions("chunk")
 
-    def run(batches):
-        for chunk, rows in groups(batches, "chunk"):
-            texts = Texts(rows.filter(rows.column("words").is_valid()), numbers_of(rows), buckets)
-            n, edges = texts.counts(), [*common.run_starts(texts.bucket).tolist(), len(texts.bucket)]
-            for a, b in zip(edges[:-1], edges[1:]):
-                steps, dishes = pack_keys(texts.keys[a:b])
-                yield batch_of(schema, 1, bucket=texts.bucket[a : a + 1], chunk=[chunk], steps=[steps], dishes=[dishes], n=[pack(n[a:b])])
+    def run(words: pa.Table, rows: pa.Table) -> pa.Table:
+        texts = Texts(rows, numbers_of(words), buckets)
+        n, edges, out = texts.counts(), [*common.run_starts(texts.bucket).tolist(), len(texts.bucket)], []
+        for a, b in zip(edges[:-1], edges[1:]):
+            steps, dishes = pack_keys(texts.keys[a:b])
+            out.append(batch_of(schema, 1, bucket=texts.bucket[a : a + 1], chunk=rows.column("chunk")[:1].to_pylist(), steps=[steps], dishes=[dishes], n=[pack(n[a:b])]))
+        return pa.Table.from_batches(out, schema)
 
-    return common.materialize(both.mapInArrow(run, "bucket long, chunk long, steps binary, dishes binary, n binary"), "lm-blocks")
+    both = m.codes.groupBy("chunk").cogroup(text_rows(parts).groupBy("chunk"))
+    return common.materialize(both.applyInArrow(run, "bucket long, chunk long, steps binary, dishes binary, n binary"), "lm-blocks")
 
 
 def merged(rows: pa.Table) -> tuple[np.ndarray, np.ndarray]:
@@ -474,30 +513,27 @@ def score_chunks(parts: DataFrame, found: DataFrame, m: Model) -> DataFrame:
     strength, discount, known, total, js, buckets, unknown = m.strength, m.discount, m.known, m.tokens, range(m.samples), m.buckets, m.unknown
     facts = ["followers", *[f"{k}{j}" for j in js for k in ("p", "k")]]
     asked = m.codes.join(m.words.select("g", F.col("n").alias("c"), *facts), "g", "left")
-    both = united(united(asked, text_rows(parts)), found).repartition("chunk").sortWithinPartitions("chunk")
     schema = pa.schema([("doc_id", pa.int64()), ("held_out", pa.bool_()), ("n_tokens", pa.int64()), ("n_known", pa.int64()), ("base_score", pa.float64()), ("score", pa.float64())])
 
-    def run(batches):
-        for _, rows in groups(batches, "chunk"):
-            texts = Texts(rows.filter(rows.column("words").is_valid()), numbers_of(rows), buckets)
-            of_words = rows.filter(rows.column("code").is_valid()).sort_by("code")
-            value = lambda c, missing=0: of_words.column(c).combine_chunks().fill_null(missing).to_numpy()
-            told = rows.filter(rows.column("bucket").is_valid()).sort_by("bucket")
-            own = np.zeros(len(texts.word))
-            if len(told):
-                n, tables = (np.concatenate([unpack(x) for x in told.column(c).to_pylist()]) for c in ("n", "total"))
-                own[texts.known] = n - discount * tables / len(js)
-            for j in js:
-                own += (strength + discount * value(f"k{j}")[texts.ctx]) * value(f"p{j}", unknown[j])[texts.word] / len(js)
-            lp = np.log10(own / (strength + value("followers")[texts.ctx]))
-            c, number = value("c"), texts.number
-            base = np.log10((c + 0.1) / (total + 0.1 * (known + 1)))
-            sums = [np.add.reduceat(v[number], texts.begins) for v in ((c > 0).astype(np.int64)[texts.word], base[texts.word], lp)]
-            for a in range(0, len(texts.ids), 10_000):
-                cut = slice(a, a + 10_000)
-                yield batch_of(schema, len(texts.ids[cut]), doc_id=texts.ids[cut].tolist(), held_out=texts.held_out[cut].tolist(), n_tokens=texts.sizes[cut], n_known=sums[0][cut], base_score=sums[1][cut], score=sums[2][cut])
-
-    return both.mapInArrow(run, "doc_id long, held_out boolean, n_tokens long, n_known long, base_score double, score double")
+    def run(of_words: pa.Table, rows: pa.Table) -> pa.Table:
+        texts = Texts(rows.filter(rows.column("words").is_valid()), numbers_of(of_words), buckets)
+        of_words = of_words.sort_by("code")
+        value = lambda c, missing=0: of_words.column(c).combine_chunks().fill_null(missing).to_numpy()
+        told = rows.filter(rows.column("bucket").is_valid()).sort_by("bucket")
+        own = np.zeros(len(texts.word))
+        if len(told):
+            n, tables = (np.concatenate([unpack(x) for x in told.column(c).to_pylist()]) for c in ("n", "total"))
+            own[texts.known] = n - discount * tables / len(js)
+        for j in js:
+            own += (strength + discount * value(f"k{j}")[texts.ctx]) * value(f"p{j}", unknown[j])[texts.word] / len(js)
+        lp = np.log10(own / (strength + value("followers")[texts.ctx]))
+        c, number = value("c"), texts.number
+        base = np.log10((c + 0.1) / (total + 0.1 * (known + 1)))
+        sums = [np.add.reduceat(v[number], texts.begins) for v in ((c > 0).astype(np.int64)[texts.word], base[texts.word], lp)]
+        return pa.Table.from_batches([batch_of(schema, len(texts.ids), doc_id=texts.ids.tolist(), held_out=texts.held_out.tolist(), n_tokens=texts.sizes, n_known=sums[0], base_score=sums[1], score=sums[2])])
+
+    both = asked.groupBy("chunk").cogroup(united(text_rows(parts), found).groupBy("chunk"))
+    return both.applyInArrow(run, "doc_id long, held_out boolean, n_tokens long, n_known long, base_score double, score double")
 
 
 def op4_pitman_yor(spark: SparkSession, sf_dir: str) -> DataFrame:
