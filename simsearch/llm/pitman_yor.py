@@ -7,7 +7,7 @@ dish in a restaurant leave and come back one by one, with the other dishes' tabl
 totals are exchanged (tables per context, tables per word, tables of the parent), so (word, context) pairs are independent
 within a sweep and are worked on in parallel. The predictive probability is averaged over the samples.
 
-Seating flips one coin per customer, for many dishes at once; beyond 65,536 customers it draws the waiting time to the next
+Seating flips one coin per customer, for many dishes at once; beyond 67 million customers it draws the waiting time to the next
 new table from its closed form, so a word with a billion customers costs as many steps as it has tables. A pair that was seen once has one table whatever
 is drawn: such pairs enter the totals once and only the others are swept.
 
@@ -217,6 +217,22 @@ def seat_by_coins(customers: np.ndarray, push: np.ndarray, discount: float, rng,
     Customer m + 1 opens a table where the tables so far exceed a number that its coin fixes in advance. The tables before
     each customer are the least solution of that; starting from one table, repeated running sums climb to it."""
     out = np.ones(len(at), np.int64)
+    large = customers[at] > block
+    for i in np.flatnonzero(large):  # one dish, stretch by stretch
+        for a in range(1, int(customers[at[i]]), block):
+            m = np.arange(a, min(a + block, int(customers[at[i]])))
+            u = rng.random_at(np.full(len(m), at[i]), m) if isinstance(rng, Draws) else rng.random(len(m))
+            need, tables = (m - push[at[i]] * (1 - u) / u) / discount, np.full(len(m), float(out[i]))
+            while True:
+                opened = need < tables
+                now = out[i] + np.cumsum(opened) - opened
+                if (now == tables).all():
+                    break
+                tables = now
+            out[i] += opened.sum()
+    if large.any():
+        out[~large] = seat_by_coins(customers, push, discount, rng, at[~large], block)
+        return out
     ends = np.cumsum(customers[at] - 1)
     begin = 0
     while begin < len(at):
@@ -243,7 +259,7 @@ def seat_by_coins(customers: np.ndarray, push: np.ndarray, discount: float, rng,
     return out
 
 
-def seat(customers: np.ndarray, push: np.ndarray, discount: float, rng, coins: int = 1 << 16) -> np.ndarray:
+def seat(customers: np.ndarray, push: np.ndarray, discount: float, rng, coins: int = 1 << 26) -> np.ndarray:
     """Tables of each dish after all its customers have come in one by one.
 
     push: (strength + discount * tables of the restaurant) * parent's probability of the dish. With t tables and m seated

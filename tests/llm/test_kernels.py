@@ -250,6 +250,11 @@ def test_seating_matches_one_by_one():
     fast = pitman_yor.seat(np.full(4000, 40), np.full(4000, push), d, rng)
     assert abs(fast.mean() - np.mean([slow(40) for _ in range(4000)])) < 0.25
     assert (pitman_yor.seat(np.array([0, 1]), np.ones(2), d, rng) == [0, 1]).all()
+    waiting = pitman_yor.seat(np.full(4000, 40), np.full(4000, push), d, rng, coins=1)
+    assert abs(waiting.mean() - fast.mean()) < 0.15
+    n, keys = np.array([2, 900, 3, 2500, 41]), np.arange(5, dtype=np.uint64)
+    tables = [pitman_yor.seat_by_coins(n, n * 0.1, d, pitman_yor.Draws(keys, 1, 1), np.arange(5), block).tolist() for block in (100, 1000, 1 << 20)]
+    assert tables[0] == tables[1] == tables[2]  # stretches do not change what is drawn
     import math
 
     x = np.array([0.5, 1.0, 3.7, 50.0, 1e6])
