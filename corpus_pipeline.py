@@ -14,7 +14,7 @@ from pyspark.sql import functions as F
 
 from simsearch.llm import common, decontaminate, jaccard, mixing, quality, repair
 
-#: SQL cannot express the fitted classifier of the first stage; tests/llm/test_pipeline.py compares all stages with a brute-force version.
+#: SQL cannot express the fitted classifier of the first stage; tests/llm/test_tables.py compares the stages with a brute-force version.
 ORACLE_SQL = None
 
 
