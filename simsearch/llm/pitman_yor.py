@@ -21,7 +21,7 @@ buckets know of its own pairs. Tables of a step are deleted once the next is wri
 Defined cases: null and empty texts are the end token alone. Unknown words get the parent's unknown mass; after a context
 that was not trained on, the parent decides. With no training text every count is 0 and probabilities are uniform over the
 one unknown word (score 0). Equal rows are scored alike and count as often as they are there. Ids may repeat or be null.
-A text longer than a chunk is a chunk of its own. More than 2^32 distinct words stop the query. Of the table only doc_id and
+A text is never cut: one longer than a chunk closes the chunk that it is in. More than 2^32 distinct words stop the query. Of the table only doc_id and
 text are read, so other columns may have any name.
 """
 
