@@ -10,9 +10,9 @@ from .measures import pair_distances
 from .relax import relax
 
 
-def contribution(cands: DataFrame) -> DataFrame:
-    """(qid, id, contrib): total distance to all other candidates of the query."""
-    pairs = pair_distances(cands)
+def contribution(cands: DataFrame, known: DataFrame | None = None) -> DataFrame:
+    """(qid, id, contrib): total distance to all other candidates of the query. known: as in ``pair_distances``."""
+    pairs = pair_distances(cands, known)
     both = pairs.select("qid", F.explode(F.array("i", "j")).alias("id"), "d")
     sums = both.groupBy("qid", "id").agg(F.sum("d").alias("contrib"))
     return cands.join(sums, ["qid", "id"], "left").withColumn("contrib", F.coalesce("contrib", F.lit(0)).cast("long"))
@@ -37,17 +37,17 @@ def rank_by(scored: DataFrame, score: str, goal: Goal, *, pruned=None, quota_bas
     if keep_exact:
         rows = rows.withColumn("pruned", F.col("pruned") & (F.col("dist") > 0))
     base = F.count(F.lit(1)).over(w) if quota_base == "before" else F.sum((~F.col("pruned")).cast("long")).over(w)
-    n = F.element_at(F.array(*[F.lit(x) for x in goal.shares()]), (base + 1).cast("int"))
+    n = goal.share_of(base)
     first = F.when(F.col("dist") == 0, 0).otherwise(1) if keep_exact else F.lit(0)
     rows = rows.withColumn("n", n).withColumn("rank", F.row_number().over(w.orderBy("pruned", first, F.col(score).desc(), "id")))
     allowed = ~F.col("pruned") | (F.col("rank") <= goal.kmin) if backfill else ~F.col("pruned")
     return rows.where((F.col("rank") <= F.col("n")) & allowed).drop("n")
 
 
-def relax_rank(corpus: DataFrame, queries: DataFrame, goal: Goal, *, sample_share: float | None = 0.25, cut_factor: float = 0.75, quota_base: str = "before", backfill: bool = True, keep_exact: bool = False, candidates: DataFrame | None = None, **options) -> DataFrame:
+def relax_rank(corpus: DataFrame, queries: DataFrame, goal: Goal, *, sample_share: float | None = 0.25, cut_factor: float = 0.75, quota_base: str = "before", backfill: bool = True, keep_exact: bool = False, candidates: DataFrame | None = None, known: DataFrame | None = None, **options) -> DataFrame:
     """(qid, id, s, dist, contrib, rank, pruned). sample_share=None: no pruning; 1.0: exact cut-off."""
     cands = relax(corpus, queries, goal, **options) if candidates is None else candidates
-    scored = contribution(cands.select("qid", "id", "s", "dist"))
+    scored = contribution(cands.select("qid", "id", "s", "dist"), known)
     pruned = F.lit(False)
     if sample_share is not None:
         scored = scored.join(F.broadcast(cut_off(scored, sample_share=sample_share, cut_factor=cut_factor)), "qid")

@@ -10,8 +10,8 @@ from pyspark.sql import functions as F
 from .functions import sqlapi
 from .functions import strings as fs
 from .operators import align, baselines, clusters, gram_index, measures, rank
-from .operators.relax import nearest, range_scan, relax, relax_if_empty
-from .plans.goal import Goal
+from .operators.relax import cap, final_threshold, nearest, range_scan, relax, relax_if_empty, take
+from .plans.goal import Goal, GoalGrid
 from .sources import corpora as src
 from .streaming import upkeep
 
@@ -344,34 +344,54 @@ def score_identity(spark, sf_dir):
     return b.select("qid", (F.abs(other - F.col("balance_score")) < 1e-9).alias("same"))
 
 
+def _means():
+    of = {"score": "balance_score", "distance": "mean_query_distance", "spread": "mean_pair_distance", "results": "result_count"}
+    return [*[F.round(F.avg(c), 6).alias(name) for name, c in of.items()], F.sum((~F.col("in_range")).cast("int")).cast("long").alias("out_of_range")]
+
+
 def _sweep_rows(parts):
     out = None
     for label, value, df in parts:
-        row = df.agg(F.round(F.avg("balance_score"), 6).alias("score"), F.round(F.avg("mean_query_distance"), 6).alias("distance"), F.round(F.avg("mean_pair_distance"), 6).alias("spread"), F.round(F.avg("result_count"), 6).alias("results"), F.sum((~F.col("in_range")).cast("int")).cast("long").alias("out_of_range")).select(F.lit(label).alias("method"), F.lit(float(value)).alias("value"), "score", "distance", "spread", "results", "out_of_range")
+        row = df.agg(*_means()).select(F.lit(label).alias("method"), F.lit(float(value)).alias("value"), "score", "distance", "spread", "results", "out_of_range")
         out = row if out is None else out.union(row)
     return out
 
 
-@query
-def lambda_sweep(spark, sf_dir):
-    c, q = line_setting(spark, sf_dir)
-    dists = range_scan(c, q).persist()
-    return _sweep_rows((("relax_rank"), lam, measures.score_card(_rank_of(dists, Goal(25, 55, lam), 30), lam, 25, 55)) for lam in (0.0, 0.2, 0.4, 0.6, 0.8, 1.0))
-
+def _nearest_known(dists, goals):
+    """The first candidates by (distance, id) of the goal that keeps most, which hold those of every goal, and their pair
+    distances: the corpus is read once, and no distance is worked out twice."""
+    near = cap(dists, max(goals, key=lambda g: g.most), ["dist", "id"]).persist()
+    return near, measures.pair_distances(near).persist()
 
-def _rank_of(dists, goal, eps_start):
-    """relax-rank from distances that are there already: a sweep reads the corpus once."""
-    from .operators.relax import final_threshold, take
 
+def _rank_of(dists, goal, eps_start, known=None, **options):
+    """relax-rank from distances that are there already."""
     cands = take(dists, final_threshold(dists, goal, eps_start=eps_start), goal, eps_start, 1, False)
-    return rank.relax_rank(None, None, goal, candidates=cands)
+    return rank.relax_rank(None, None, goal, candidates=cands, known=known, **options)
+
+
+def _rank_sweep(dists, goals, values, eps_start):
+    """Means over the queries of relax-rank's measures under several goals, all goals in one plan."""
+    near, known = _nearest_known(dists, goals)
+    grid = GoalGrid(goals)
+    near, known = grid.over(near), grid.over(known)
+    card = measures.score_card(_rank_of(near, grid, eps_start, known), grid.lam, grid.kmin, grid.kmax, known=known)
+    value = grid.pick([float(v) for v in values]).alias("value")
+    return card.groupBy(value).agg(*_means()).select(F.lit("relax_rank").alias("method"), "value", "score", "distance", "spread", "results", "out_of_range")
+
+
+@query
+def lambda_sweep(spark, sf_dir):
+    c, q = line_setting(spark, sf_dir)
+    goals = [Goal(25, 55, lam) for lam in (0.0, 0.2, 0.4, 0.6, 0.8, 1.0)]
+    return _rank_sweep(range_scan(c, q), goals, [g.lam for g in goals], 30)
 
 
 @query
 def k_sweep(spark, sf_dir):
     c, q = line_setting(spark, sf_dir)
-    dists = range_scan(c, q).persist()
-    return _sweep_rows(("relax_rank", k + 15, measures.score_card(_rank_of(dists, Goal(k, k + 30, 0.5), 30), 0.5, k, k + 30)) for k in K_GRID)
+    goals = [Goal(k, k + 30, 0.5) for k in K_GRID]
+    return _rank_sweep(range_scan(c, q), goals, [g.kmin + 15 for g in goals], 30)
 
 
 @query
@@ -379,10 +399,11 @@ def eps_sweep_counts(spark, sf_dir):
     """Results against the first limit: a plain range search against relax-rank."""
     c, q = line_setting(spark, sf_dir)
     dists = range_scan(c, q).persist()
+    near, known = _nearest_known(dists, [USUAL])
     out = None
     for eps in EPS_GRID:
         plain = dists.where(F.col("dist") < eps).groupBy("qid").agg(F.least(F.count(F.lit(1)), F.lit(25)).alias("n")).select(F.lit("range_k").alias("method"), "qid", "n")
-        ours = _rank_of(dists, USUAL, eps).groupBy("qid").agg(F.count(F.lit(1)).alias("n")).select(F.lit("relax_rank").alias("method"), "qid", "n")
+        ours = _rank_of(near, USUAL, eps, known).groupBy("qid").agg(F.count(F.lit(1)).alias("n")).select(F.lit("relax_rank").alias("method"), "qid", "n")
         rows = q.select("qid").crossJoin(F.broadcast(spark.createDataFrame([("range_k",), ("relax_rank",)], "method string"))).join(plain.union(ours), ["method", "qid"], "left").select(F.lit(eps).alias("eps"), "method", "qid", F.coalesce("n", F.lit(0)).cast("long").alias("n"))
         out = rows if out is None else out.union(rows)
     return out
@@ -417,7 +438,8 @@ def overlap_methods(spark, sf_dir):
 @query
 def suggest_lambda(spark, sf_dir):
     c, q = src.names(spark, sf_dir), name_queries(spark)
-    return rounded(measures.suggest_lambda(c, q, lambda a, b, g: rank.relax_rank(a, b, g, sample_share=None), lambda lam: Goal(5, 8, lam), (0.0, 0.25, 0.5, 0.75, 1.0), 6.0), "spread", "distance")
+    near, known = _nearest_known(range_scan(c, q), [Goal(5, 8, 1.0)])
+    return rounded(measures.suggest_lambda(c, q, lambda a, b, g: _rank_of(near, g, 1, known, sample_share=None), lambda lam: Goal(5, 8, lam), (0.0, 0.25, 0.5, 0.75, 1.0), 6.0, known), "spread", "distance")
 
 
 # alignment -------------------------------------------------------------------------------------------------

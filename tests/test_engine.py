@@ -5,8 +5,8 @@ from pyspark.sql import functions as F
 
 from simsearch.functions import alignment as al
 from simsearch.operators import baselines, clusters, gram_index, measures, rank
-from simsearch.operators.relax import range_scan, relax
-from simsearch.plans.goal import Goal
+from simsearch.operators.relax import final_threshold, range_scan, relax, take
+from simsearch.plans.goal import Goal, GoalGrid
 from simsearch.queries import QUERIES, SMALL
 from simsearch.sources import corpora as src
 
@@ -116,3 +116,20 @@ def test_doubled_limits_reach_the_threshold_on_the_grid(spark):
     q = src.literal_queries(spark, ["abcdefgh_"])
     rows = lambda engine: sorted((r.id, r.dist, r.eps_final) for r in relax(c, q, Goal(5, 8, 0.5), step=10, engine=engine).collect())
     assert len(rows("rounds")) == 11 and rows("gallop") == rows("histogram") == rows("auto") == rows("rounds")
+
+
+def test_goals_in_one_plan(spark):
+    """A grid of goals gives each goal the results that it has alone, ties and too few strings included."""
+    words = ["ring", "rings", "bring", "king", "rang", "rung", "string", "wing", "rig", "ringer", "r", "zzzzzzzzzz"]
+    corpus = spark.createDataFrame([(i, w, len(w)) for i, w in enumerate(words)], "id long, s string, len int")
+    queries = spark.createDataFrame([(1, "ring"), (2, "zzzz")], "qid int, q string")
+    goals = [Goal(2, 4, 0.0), Goal(3, 5, 0.5), Goal(20, 30, 1.0)]
+    dists, grid = range_scan(corpus, queries).persist(), GoalGrid(goals)
+
+    def ranked(rows, goal):
+        cands = take(rows, final_threshold(rows, goal, eps_start=2), goal, 2, 1, False)
+        return sorted(tuple(r) for r in rank.relax_rank(None, None, goal, candidates=cands).select("qid", "id", "contrib", "rank", "pruned").collect())
+
+    together = ranked(grid.over(dists), grid)
+    alone = sorted((q * GoalGrid.PLACES + i, *rest) for i, g in enumerate(goals) for q, *rest in ranked(dists, g))
+    assert together == alone and len({q for q, *_ in alone}) == 6
