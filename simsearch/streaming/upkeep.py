@@ -28,6 +28,20 @@ def run_to_table(stream: DataFrame, mode: str = "append") -> DataFrame:
     return stream.sparkSession.table(name)
 
 
+def run_to_files(stream: DataFrame, path: str, mode: str = "append") -> DataFrame:
+    """As ``run_to_table``, but every batch's result becomes files under path, a folder that all executors share, as does the
+    state: nothing comes to the driver. In mode 'complete' the last batch holds everything."""
+    spark, written = stream.sparkSession, []
+
+    def keep(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{path}/batch-{number}")  # a batch that is tried again replaces its files
+        written.append(f"{path}/batch-{number}")
+
+    stream.writeStream.foreachBatch(keep).outputMode(mode).option("checkpointLocation", f"{path}/progress").trigger(availableNow=True).start().awaitTermination()
+    kept = written[-1:] if mode == "complete" else sorted(set(written))
+    return spark.read.schema(stream.schema).parquet(*kept) if kept else spark.createDataFrame([], stream.schema)
+
+
 def tumbling(spark, sf_dir, size: str = "1 hour") -> DataFrame:
     counts = _events(spark, sf_dir).withWatermark("ts", "1 hour").groupBy(F.window("ts", size), "event_type").agg(F.count(F.lit(1)).alias("n"), F.round(F.sum("value"), 4).alias("total"))
     return run_to_table(counts, "complete").select(F.date_format("window.start", "yyyy-MM-dd HH:mm:ss").alias("start"), "event_type", "n", "total")
@@ -38,9 +52,9 @@ def sliding(spark, sf_dir, size: str = "2 hours", step: str = "1 hour") -> DataF
     return run_to_table(counts, "complete").select(F.date_format("window.start", "yyyy-MM-dd HH:mm:ss").alias("start"), "n")
 
 
-def sessions(spark, sf_dir, gap: str = "30 minutes") -> DataFrame:
+def sessions(spark, sf_dir, path: str, gap: str = "30 minutes") -> DataFrame:
     counts = _events(spark, sf_dir).withWatermark("ts", "1 hour").groupBy(F.session_window("ts", gap), "user_id").agg(F.count(F.lit(1)).alias("n"))
-    return run_to_table(counts, "complete").select("user_id", F.date_format("session_window.start", "yyyy-MM-dd HH:mm:ss").alias("start"), "n")
+    return run_to_files(counts.select("user_id", F.date_format("session_window.start", "yyyy-MM-dd HH:mm:ss").alias("start"), "n"), path, "complete")
 
 
 def deduplicated(spark, sf_dir) -> DataFrame:
