@@ -57,6 +57,6 @@ def sessions(spark, sf_dir, path: str, gap: str = "30 minutes") -> DataFrame:
     return run_to_files(counts.select("user_id", F.date_format("session_window.start", "yyyy-MM-dd HH:mm:ss").alias("start"), "n"), path, "complete")
 
 
-def deduplicated(spark, sf_dir) -> DataFrame:
-    once = _events(spark, sf_dir).withWatermark("ts", "1 hour").dropDuplicatesWithinWatermark(["event_id"])
-    return run_to_table(once).groupBy("event_type").agg(F.count(F.lit(1)).alias("n"))
+def deduplicated(spark, sf_dir, path: str) -> DataFrame:
+    once = _events(spark, sf_dir).select("event_id", "event_type", "ts").withWatermark("ts", "1 hour").dropDuplicatesWithinWatermark(["event_id"])
+    return run_to_files(once.select("event_type"), path).groupBy("event_type").agg(F.count(F.lit(1)).alias("n"))
