@@ -7,14 +7,21 @@ bounded by ``MOST_QUERIES``; a longer one is refused, to be cut by its caller)."
 
 from __future__ import annotations
 
+import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql.pandas.types import to_arrow_type
 
+from ..functions import edits
 from ..plans.goal import Goal
 
 MOST_QUERIES = 10_000
 #: Pairs of strings and queries up to which all distances are worked out without a limit.
 FEW_PAIRS = 2_000_000
+#: Length from which distances are worked out bit-parallel, many strings at once, instead of cell by cell.
+LONG = 150
 
 
 def small(queries: DataFrame) -> DataFrame:
@@ -38,6 +45,51 @@ def range_scan(corpus: DataFrame, queries: DataFrame, limit: int | None = None)
     return near.where("dist >= 0")
 
 
+def long_scan(corpus: DataFrame, queries: DataFrame, limit: int, above: int = -1, most: int | None = None) -> DataFrame:
+    """(qid, id, s, len, dist) of strings whose length differs from the query's by more than ``above`` and at most ``limit``.
+
+    For long strings: each task holds some thousand of them and compares them with a query at once. With ``most``, a task
+    gives only its so many nearest of a query by (dist, id): what is left out is beyond the nearest so many of all tasks."""
+    small(queries)
+    asked = sorted((r.qid, r.q) for r in queries.select("qid", "q").where("q is not null").collect())
+    schema = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in [queries.schema["qid"], *(corpus.schema[c] for c in ("id", "s", "len"))]) + ", dist int"
+    kind = to_arrow_type(queries.schema["qid"].dataType)
+    lengths = np.unique([len(q) for _, q in asked])
+
+    def near(held, best):
+        rows = pa.Table.from_batches(held)
+        off = rows.column("len").to_numpy()
+        for qid, q in asked:
+            gap = np.abs(off - len(q))
+            band = rows.filter(pa.array((gap > above) & (gap <= limit)))
+            dist = edits.Texts(band.column("s").to_pylist()).distances(q)
+            cols = [pa.array([qid] * len(band), kind), *(band.column(c) for c in ("id", "s", "len")), pa.array(dist.astype(np.int32))]
+            found = pa.table(cols, names=["qid", "id", "s", "len", "dist"])
+            if most is None:
+                yield from found.to_batches()
+            else:
+                found = pa.concat_tables([best[qid], found]) if qid in best else found
+                best[qid] = found.take(pc.sort_indices(found, [("dist", "ascending"), ("id", "ascending")])[:most])
+
+    def run(batches):
+        held, n, best = [], 0, {}
+        for batch in batches if asked else ():
+            batch = batch.filter(batch.column("s").is_valid())
+            size = batch.column("len").to_numpy()
+            least = lengths[np.minimum(np.searchsorted(lengths, size - limit), len(lengths) - 1)]  # of those not below the band
+            held.append(batch.filter(pa.array(np.abs(least - size) <= limit)))
+            n += held[-1].num_rows
+            if n >= edits.BLOCK:
+                yield from near(held, best)
+                held, n = [], 0
+        if n:
+            yield from near(held, best)
+        for found in best.values():
+            yield from found.combine_chunks().to_batches()
+
+    return corpus.select("id", "s", "len").mapInArrow(run, schema)
+
+
 def final_threshold(dists: DataFrame, goal: Goal, *, eps_start: int = 1, step: int = 1, inclusive: bool = False) -> DataFrame:
     """(qid, eps_final): the first limit of the grid eps_start, eps_start + step, ... that holds goal.least strings.
 
@@ -83,7 +135,9 @@ def relax(corpus: DataFrame, queries: DataFrame, goal: Goal, *, eps_start: int =
     if engine == "rounds":
         return _rounds(corpus, queries, goal, eps_start, step, inclusive, tie_order)
     if engine == "gallop":
-        dists = _gallop(corpus, queries, goal, eps_start, step, inclusive, lambda c, q, t: range_scan(c, q, t))
+        longest = queries.agg(F.max(F.length("q"))).first()[0] or 0
+        bands = longest > LONG and tie_order == "nearest" and isinstance(goal, Goal)
+        dists = _gallop(corpus, queries, goal, eps_start, step, inclusive, range_scan, bands)
     elif engine == "index":
         dists = _gallop(corpus, queries, goal, eps_start, step, inclusive, lambda c, q, t: index.range_search(q, t + 1))
     elif engine == "histogram":
@@ -106,14 +160,23 @@ def take(dists: DataFrame, limits: DataFrame, goal: Goal, eps_start: int, step:
     return cap(rows, goal, order).select("qid", "id", "s", "dist", "round", "eps_final", "exhausted")
 
 
-def _gallop(corpus, queries, goal, eps_start, step, inclusive, search):
+def _gallop(corpus, queries, goal, eps_start, step, inclusive, search, bands=False):
     """Union of the queries' rows under the first doubled limit that reaches their final threshold; the ids of the queries
-    that are still open (a batch is bounded) come to the driver after each doubling, so plans do not grow with the rounds."""
+    that are still open (a batch is bounded) come to the driver after each doubling, so plans do not grow with the rounds.
+
+    With bands the distances are those of ``long_scan``, which no limit makes cheaper: strings that an earlier limit let in by
+    their length keep theirs, and only the new ones are compared. Of each task's rows the nearest ``goal.most`` stay."""
     longest = corpus.agg(F.max("len")).first()[0] or 0
     top = max(longest, queries.agg(F.max(F.length("q"))).first()[0] or 0)
     open_, found, limit = queries.select("qid", "q"), None, max(1, eps_start)
+    kept, above, over = None, -1, []
     while True:
-        rows = search(corpus, open_, limit).select("qid", "id", "s", "len", "dist").persist()
+        if bands:
+            new = long_scan(corpus, open_, limit, above, goal.most).persist()
+            kept, above = new if kept is None else kept.unionByName(new), limit
+            rows = kept.where((F.col("dist") <= limit) & ~F.col("qid").isin(over))
+        else:
+            rows = search(corpus, open_, limit).select("qid", "id", "s", "len", "dist").persist()
         if limit > top:
             return rows if found is None else found.unionByName(rows)
         # the final threshold lies on a grid and may lie beyond the limit that held enough
@@ -122,7 +185,7 @@ def _gallop(corpus, queries, goal, eps_start, step, inclusive, search):
         if done:
             rows = rows.where(F.col("qid").isin(done))
             found = rows if found is None else found.unionByName(rows)
-            open_ = open_.where(~F.col("qid").isin(done))
+            open_, over = open_.where(~F.col("qid").isin(done)), over + done
             if not open_.limit(1).count():
                 return found
         limit *= 2
