@@ -374,3 +374,18 @@ def test_shared_ids_do_not_hide_links(spark):
         links = [(name(text(i)), name(text(i, " end"))) for i in range(8)]
         similar = jaccard.similar_pairs(spark.createDataFrame(links, "a long, b long"), classes, pairs, 5, 80)
         assert {(r.a, r.b) for r in similar.collect()} == set(links)
+
+
+def test_white_space_before_a_space_and_names_in_order():
+    """The looks at single characters find what the pattern finds; runs of names are those of np.unique."""
+    import re
+
+    from simsearch.llm.encoding import _runs, unsafe
+
+    white = [chr(c) for c in range(0x110000) if chr(c).isspace()]
+    for t in ["", " ", "a b", "a  b", "é\n b", "\n", " \n", "一 　", *[w + " x" for w in white], *["x" + w for w in white], *[" " + w + "y" for w in white]]:
+        assert unsafe(t) == bool(re.search(r"\s ", t)), repr(t)
+    names = np.array([5, 3, 5, 1 << 63, 3, 0], np.uint64)
+    found, place, number = _runs(names)
+    assert (found == np.unique(names)).all() and (names[place] == found).all() and (found[number] == names).all()
+    assert [len(x) for x in _runs(names[:0])] == [0, 0, 0]
