@@ -1,5 +1,5 @@
 """Edit distances of many strings to one pattern, bit-parallel: a column of the table is two bits per place of the pattern,
-held in 64-bit words, and every step works on all strings of a block at once."""
+held in 64-bit words, and every step works on all strings of a block, or on all of many pairs, at once."""
 
 from __future__ import annotations
 
@@ -86,3 +86,94 @@ def _columns(table: np.ndarray, cells: np.ndarray, reach: np.ndarray, m: int, n:
             if w < words - 1:
                 up[:], down[:] = more, eq
     return score.view(np.int64)
+
+
+#: Pairs that are worked on at once, and bytes of a table of letters.
+PAIRS, TABLE = 1 << 16, 16 << 20
+
+
+class Rows:
+    """Strings as rows of letter numbers (from 1, zeros behind the end), forwards and backwards, for ``pair_distances``."""
+
+    def __init__(self, strings: list[str], letters: np.ndarray):
+        self.strings, self.letters = strings, len(letters)
+        self.size = np.array([len(s) for s in strings], np.int64)
+        width = max(8, -(-int(self.size.max(initial=0)) // 8) * 8)
+        flat = np.searchsorted(letters, np.frombuffer("".join(strings).encode("utf-32-le", "surrogatepass"), np.uint32)) + 1
+        row = np.repeat(np.arange(len(strings)), self.size)
+        place = np.arange(len(flat)) - np.repeat(np.cumsum(self.size) - self.size, self.size)
+        self.cells = np.zeros((len(strings), width), np.uint8 if len(letters) < 256 else np.uint32)
+        back = self.cells.copy()
+        self.cells[row, place] = flat
+        back[row, self.size[row] - 1 - place] = flat
+        self.ahead, self.back = self.cells.view(np.uint64), back.view(np.uint64)
+
+    def table(self, first: int, last: int) -> np.ndarray:
+        """Bits of the places, up to 64, of the strings first..last that hold a letter, per string and letter."""
+        out = np.zeros((last - first, self.letters + 1), np.uint64)
+        for i in range(min(64, int(self.size[first:last].max(initial=0)))):
+            at = np.flatnonzero(self.size[first:last] > i)
+            out[at, self.cells[first + at, i]] |= np.uint64(1) << np.uint64(i)
+        return out.ravel()
+
+
+def letters_of(strings: list[str]) -> np.ndarray:
+    return np.unique(np.frombuffer("".join(strings).encode("utf-32-le", "surrogatepass"), np.uint32))
+
+
+def _equal_start(a: np.ndarray, b: np.ndarray, i: np.ndarray, j: np.ndarray, cell: int) -> np.ndarray:
+    """Equal cells (of so many bytes) at the beginning of rows i of a and rows j of b, a word at a time."""
+    out, at = np.zeros(len(i), np.int64), np.arange(len(i))
+    for w in range(min(a.shape[1], b.shape[1])):
+        x = a[i[at], w] ^ b[j[at], w]
+        out[at] += np.bitwise_count((x & (~x + np.uint64(1))) - np.uint64(1)).astype(np.int64) // (8 * cell)
+        at = at[x == 0]
+        if not len(at):
+            break
+    return out
+
+
+def pair_distances(a: Rows, b: Rows, i: np.ndarray, j: np.ndarray) -> np.ndarray:
+    """Edit distances of the pairs (row i of a, row j of b). Both have the same letters.
+
+    What a pair has in common at its beginning and its end is skipped: after k equal letters the column is known
+    to go down by one k times and then up."""
+    m, n, cell = a.size[i], b.size[j], a.cells.itemsize
+    least = np.minimum(m, n)
+    k = np.minimum(_equal_start(a.ahead, b.ahead, i, j, cell), least)
+    tail = np.minimum(_equal_start(a.back, b.back, i, j, cell), least - k)
+    out = np.empty(len(i), np.int64)
+    short = m <= 64
+    for p in np.unique(i[~short]).tolist():  # patterns beyond a word, each with all of its strings
+        at = np.flatnonzero(i == p)
+        out[at] = Texts([b.strings[x] for x in j[at].tolist()]).distances(a.strings[p])
+    one, step = np.uint64(1), max(1, TABLE // (8 * (a.letters + 1)))
+    first = int(i.min(initial=0))
+    past = int(i.max(initial=-1)) + 1
+    while first < past:
+        last = min(past, first + step)
+        at = np.flatnonzero(short & (i >= first) & (i < last))
+        if len(at):
+            steps = (n - tail - k)[at]
+            order = np.argsort(-steps, kind="stable")
+            at, steps = at[order], steps[order]
+            table, flat = a.table(first, last), b.cells.ravel()
+            row, end = (i[at] - first) * (a.letters + 1), j[at] * b.cells.shape[1] + (n - tail)[at]
+            skipped = k[at].astype(np.uint64)
+            low = np.where(skipped < 64, (one << np.minimum(skipped, np.uint64(63))) - one, ~np.uint64(0))
+            pv, mv = ~low, low
+            reach = np.searchsorted(-steps, -np.arange(steps.max(initial=0), 0, -1), "right")
+            for left, c in zip(range(len(reach), 0, -1), reach.tolist()):
+                eq = table.take(row[:c] + flat.take(end[:c] - left))
+                p, q = pv[:c], mv[:c]
+                xv = eq | q
+                xh = (((eq & p) + p) ^ p) | eq
+                ph = ((q | ~(xh | p)) << one) | one
+                mh = (p & xh) << one
+                np.bitwise_or(mh, ~(xv | ph), out=p)
+                np.bitwise_and(ph, xv, out=q)
+            rows = (m - tail)[at].astype(np.uint64)
+            held = np.where(rows < 64, (one << np.minimum(rows, np.uint64(63))) - one, ~np.uint64(0))
+            out[at] = (n - tail)[at] + np.bitwise_count(pv & held).astype(np.int64) - np.bitwise_count(mv & held)
+        first = last
+    return out

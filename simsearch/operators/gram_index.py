@@ -6,9 +6,14 @@ knows nothing about strings without a common gram, and the search scans instead.
 
 from __future__ import annotations
 
+import re
+
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..functions import edits
 from ..functions.strings import numbered_grams
 from .relax import range_scan, small
 
@@ -93,10 +98,85 @@ def verify(corpus: DataFrame, cands: DataFrame, queries: DataFrame, eps: int) ->
     return near.where("dist >= 0")
 
 
-def similarity_self_join(corpus: DataFrame, eps: int) -> DataFrame:
-    """(i, j, dist) of all pairs with dist < eps: an equi-join on length bands, so no pair outside the bands is made."""
-    width = max(1, eps - 1)
-    left = corpus.select(F.col("id").alias("i"), F.col("s").alias("x"), F.floor(F.col("len") / width).alias("b"))
-    right = corpus.select(F.col("id").alias("j"), F.col("s").alias("y"), F.explode(F.array(*[F.floor(F.col("len") / width) + k for k in (-1, 0, 1)])).alias("b"))
-    pairs = left.join(right, "b").where("i < j").select("i", "j", F.explode(F.array(F.levenshtein("x", "y", eps - 1))).alias("dist"))
-    return pairs.where("dist >= 0").distinct()
+def similarity_self_join(corpus: DataFrame, eps: int, *, left_out: str = "0-9", block: int = 8192) -> DataFrame:
+    """(i, j, dist) of all pairs with i < j and dist < eps.
+
+    With some letters (``left_out``, a class of a regular expression) taken out of both, two strings are no farther apart than
+    before. Many strings are equal then: such classes are compared first, and only strings of two near classes are compared whole.
+    Strings are dealt in order of their classes into blocks of about ``block``, and every two blocks meet in one task."""
+    limit = eps - 1
+    rows = corpus.select("id", "s").where("id is not null and s is not null").distinct()
+    seen = rows.agg(F.count(F.lit(1)).alias("n"), F.count_distinct("id").alias("ids")).first()
+    blocks = max(-(-seen.n // block), min(8, -(-seen.n // 256)), 1)
+
+    def run(batches):
+        held: list = []  # the rows of one cell
+        for batch in batches:
+            cell = batch.column("cell").to_numpy()
+            edges = [0, *(np.flatnonzero(np.diff(cell)) + 1).tolist(), len(cell)]
+            for first, last in zip(edges[:-1], edges[1:]):
+                if held and last > first and held[0].column("cell")[0].as_py() != cell[first]:
+                    yield from _near_pairs(pa.Table.from_batches(held), limit, left_out)
+                    held = []
+                held += [batch.slice(first, last - first)] if last > first else []
+        if held:
+            yield from _near_pairs(pa.Table.from_batches(held), limit, left_out)
+
+    # the block is taken from the partition, whatever number of partitions there is
+    dealt = rows.repartitionByRange(blocks, F.regexp_replace("s", f"[{left_out}]", ""), "s").select("id", "s", F.pmod(F.spark_partition_id(), F.lit(blocks)).alias("own"))
+    both = F.transform(F.sequence(F.lit(0), F.lit(blocks - 1)), lambda x: F.greatest(x, F.col("own")) * (F.greatest(x, F.col("own")) + 1) / 2 + F.least(x, F.col("own")))
+    cells = dealt.select("id", "s", "own", F.explode(both.cast("array<int>")).alias("cell"))
+    met = cells.repartitionById(min(blocks * (blocks + 1) // 2, 4096), "cell").sortWithinPartitions("cell", "own")
+    out = met.mapInArrow(run, "i long, j long, dist int")
+    return out if seen.ids == seen.n else out.distinct()
+
+
+def _classes(strings: list[str], left_out: str) -> tuple[list[str], np.ndarray, np.ndarray, np.ndarray]:
+    """Distinct strings without the letters, an order of the strings by them, and where in it each begins and how many it has."""
+    taken = re.compile(f"[{left_out}]")
+    names, number = np.unique(np.array([taken.sub("", s) for s in strings], object), return_inverse=True)
+    many = np.bincount(number, minlength=len(names))
+    return names.tolist(), np.argsort(number, kind="stable"), np.cumsum(many) - many, many
+
+
+def _products(rows: np.ndarray, cols: np.ndarray, most: int):
+    """All (which, place in its rows, place in its cols), where the x-th product has rows[x] times cols[x] of them."""
+    end = np.cumsum(rows * cols)
+    for first in range(0, int(end[-1]) if len(end) else 0, most):
+        at = np.arange(first, min(first + most, int(end[-1])))
+        which = np.searchsorted(end, at, "right")
+        yield which, *np.divmod(at - (end - rows * cols)[which], cols[which])
+
+
+def _near_pairs(held: pa.Table, limit: int, left_out: str):
+    """Pairs of the strings of two blocks, or of one with itself."""
+    own, cell = held.column("own").to_numpy(), held.column("cell")[0].as_py()
+    parts = [held.filter(pa.array(own == x)) for x in np.unique(own)]
+    same = cell == own[0] * (own[0] + 3) // 2
+    if len(parts) == 1 and not same:  # the other block is empty
+        return
+    sides = []
+    for part in parts:
+        names, order, begin, many = _classes(part.column("s").to_pylist(), left_out)
+        part = part.take(pa.array(order))
+        sides.append((part.column("id").to_numpy(), part.column("s").to_pylist(), names, begin, many))
+    letters = edits.letters_of([s for side in sides for s in side[1]])
+    whole, short = [edits.Rows(side[1], letters) for side in sides], [edits.Rows(side[2], letters) for side in sides]
+    (ids, _, _, begin, many), (ids_b, _, _, begin_b, many_b) = sides[0], sides[-1]
+
+    def near(a, b, i, j):
+        at = np.flatnonzero(np.abs(a.size[i] - b.size[j]) <= limit)
+        dist = edits.pair_distances(a, b, i[at], j[at])
+        return at[dist <= limit], dist[dist <= limit]
+
+    for _, c, d in _products(np.array([len(many)]), np.array([len(many_b)]), edits.PAIRS):
+        c, d = (c[c <= d], d[c <= d]) if same else (c, d)
+        found, _ = near(short[0], short[-1], c, d)
+        c, d = c[found], d[found]
+        for which, x, y in _products(many[c], many_b[d], edits.PAIRS):
+            i, j = begin[c[which]] + x, begin_b[d[which]] + y
+            i, j = (i[i < j], j[i < j]) if same else (i, j)
+            found, dist = near(whole[0], whole[-1], i, j)
+            i, j = ids[i[found]], ids_b[j[found]]
+            apart = i != j
+            yield pa.RecordBatch.from_arrays([pa.array(np.minimum(i, j)[apart]), pa.array(np.maximum(i, j)[apart]), pa.array(dist[apart].astype(np.int32))], names=["i", "j", "dist"])
