@@ -29,6 +29,7 @@ from math import floor
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -189,7 +190,8 @@ class Bands:
 
 def pieces(batches):
     """Batches of bounded text and of at most some thousand rows (bitmaps are made for all rows of a piece)."""
-    return common.by_bytes(batches, lambda b: [max(len(v or ""), _PIECE >> 11) for v in b.column("text").to_pylist()], _PIECE)
+    common.give_back()
+    return common.by_bytes(batches, lambda b: [max(n, _PIECE >> 11) for n in pc.binary_length(b.column("text")).fill_null(0).to_pylist()], _PIECE)
 
 
 def text_key():

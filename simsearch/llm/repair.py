@@ -20,6 +20,7 @@ import zlib
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -179,6 +180,7 @@ def write_shards(docs: DataFrame, path: str, tokenizer: str, *, end_id: int = 2,
     def run(batches):
         from pyspark import TaskContext
 
+        common.give_back()
         enc = encoder(tokenizer)
         base = max(enc.tokenizer.get_vocab_size(), end_id + 1) if first_rule is None else first_rule
         part, shard, ids, encoded, held = TaskContext.get().partitionId(), 0, [], [], 0
@@ -187,7 +189,7 @@ def write_shards(docs: DataFrame, path: str, tokenizer: str, *, end_id: int = 2,
             return pa.RecordBatch.from_pylist([shard_row(part, shard, ids, encoded, end_id, base, **options)], schema)
 
         for batch in batches:
-            for piece in common.by_bytes([batch], lambda x: [len(v or "") for v in x.column("text").to_pylist()], 8 << 20):
+            for piece in common.by_bytes([batch], lambda x: pc.binary_length(x.column("text")).fill_null(0).to_pylist(), 4 << 20):
                 texts = [t or "" for t in piece.column("text").to_pylist()]
                 for i, e in zip(piece.column("doc_id").to_pylist(), enc.encode(texts)):
                     if held and held + len(e) // 4 >= shard_tokens:

@@ -86,6 +86,20 @@ def test_encoder_equals_tokenizer(monkeypatch):
     assert enc.encode(texts) == [np.array(enc.tokenizer.encode(t, add_special_tokens=False).ids, "<u4").tobytes() for t in texts]
 
 
+def test_encoder_keeps_parts_that_come_again(monkeypatch):
+    """A full table keeps what was met again and lets the rest go (before, it forgot all and learnt the usual words anew)."""
+    enc = encoding.Encoder(repair.default_tokenizer(), cache_size=60)
+    monkeypatch.setattr(encoding, "_GROUP", 200)
+    learnt, learn = [], enc._learn
+    monkeypatch.setattr(enc, "_learn", lambda parts: learnt.extend(parts) or learn(parts))
+    usual = [f"word{chr(97 + i)}" for i in range(20)]
+    for g in range(40):
+        texts = [" ".join(["a", *usual, *(f"n{g}.{i}" for i in range(15))])]
+        assert enc.encode(texts) == [np.array(enc.tokenizer.encode(t, add_special_tokens=False).ids, "<u4").tobytes() for t in texts]
+        assert len(enc.names) <= 60 + 36 and len(enc.proof) == len(enc.again) == len(enc.names)
+    assert max(Counter(p for p in learnt if p in usual).values()) == 1
+
+
 def test_grammar_round_trip_and_span():
     rng = np.random.default_rng(1)
     x = rng.integers(0, 9, 6000).astype("<u4")
