@@ -254,6 +254,7 @@ def score_documents(docs: DataFrame, chain: Chain, *, batch_bytes: int = 4 << 20
     kinds = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema)
 
     def run(batches):
+        common.give_back()
         for batch in common.by_bytes(batches, lambda b: [len(v or "") for v in b.column("text").to_pylist()], batch_bytes):
             scores = score_texts(common.utf8(batch.column("text").to_pylist()), model.value)
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(scores, pa.float64())], names=[*batch.schema.names, "quality_score"])

@@ -25,7 +25,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from . import common
-from .encoding import encoder
+from .encoding import encoder_alone
 
 _CELL_BITS = 18
 
@@ -180,8 +180,7 @@ def write_shards(docs: DataFrame, path: str, tokenizer: str, *, end_id: int = 2,
     def run(batches):
         from pyspark import TaskContext
 
-        common.give_back()
-        enc = encoder(tokenizer)
+        enc = encoder_alone(tokenizer)
         base = max(enc.tokenizer.get_vocab_size(), end_id + 1) if first_rule is None else first_rule
         part, shard, ids, encoded, held = TaskContext.get().partitionId(), 0, [], [], 0
 

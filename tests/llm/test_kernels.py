@@ -100,6 +100,14 @@ def test_encoder_keeps_parts_that_come_again(monkeypatch):
     assert max(Counter(p for p in learnt if p in usual).values()) == 1
 
 
+def test_other_operators_let_the_encoder_go():
+    """A worker that goes on to texts of another operator does not keep the encoder's table; one that encodes on does."""
+    enc = encoding.encoder_alone(repair.default_tokenizer())
+    assert encoding.encoder_alone(repair.default_tokenizer()) is enc
+    jaccard.pieces(iter([]))
+    assert encoding.encoder_alone(repair.default_tokenizer()) is not enc
+
+
 def test_grammar_round_trip_and_span():
     rng = np.random.default_rng(1)
     x = rng.integers(0, 9, 6000).astype("<u4")
