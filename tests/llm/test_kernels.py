@@ -100,6 +100,22 @@ def test_encoder_keeps_parts_that_come_again(monkeypatch):
     assert max(Counter(p for p in learnt if p in usual).values()) == 1
 
 
+def test_merges_get_many_parts_at_a_time(monkeypatch):
+    """Words go to the merges by the dozen (before, one by one), and what the pattern would cut otherwise doesn't go there."""
+    enc = encoding.Encoder(repair.default_tokenizer())
+    texts = ["lead thanin.\nThha, ershin,%%% rent$$$ 12.5kg (a_b) x=1 l'eau 'd a\n\nb \u00d7\u00f7 \u024f\u0250 \u00e9\u00c0\u0142! \u20ac5 a\u0301b \u00b2 \u0663 \u4e2d\u6587 #$% -- c\nd end\n", "a \nb", "x \u00c9t\u00e9\n.\nz \u0249 \u00c8"]
+    texts += [" ".join(f"{a}{b}{c}{d}" for a in ("th", "On", "\u00fc", "9", "%") for b in ("er", "\n", ",", "\u00df", "ing") for c in ("a", ".", "7", "\n", "''") for d in ("", "B", "!", "0"))]
+    want = [np.array(enc.tokenizer.encode(t, add_special_tokens=False).ids, "<u4").tobytes() for t in texts]
+    assert enc.encode(texts) == want
+
+    def one(*_):
+        raise AssertionError("a single word")
+
+    monkeypatch.setattr(enc, "merges", one)
+    word = " ".join(f"w{chr(97 + i // 26)}{chr(97 + i % 26)}" for i in range(600))
+    assert enc.encode([". " + word]) == [np.array(enc.tokenizer.encode(". " + word, add_special_tokens=False).ids, "<u4").tobytes()]
+
+
 def test_other_operators_let_the_encoder_go():
     """A worker that goes on to texts of another operator does not keep the encoder's table; one that encodes on does."""
     enc = encoding.encoder_alone(repair.default_tokenizer())
