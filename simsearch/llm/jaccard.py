@@ -43,7 +43,8 @@ _BLANK[[9, 10, 11, 12, 13, 32]] = True
 _CODE = common.mix64(np.arange(1, 257, dtype=np.uint64) * np.uint64(0xD1342543DE82EF95))
 _powers: dict[str, np.ndarray] = {}
 BITMAPS = 16
-_PIECE = 4 << 20
+#: Bytes of text that are worked on at once: arrays of some 60 bytes a byte are made of them.
+_PIECE = 1 << 20
 
 
 def powers(n: int) -> tuple[np.ndarray, np.ndarray]:
@@ -191,7 +192,7 @@ class Bands:
 def pieces(batches):
     """Batches of bounded text and of at most some thousand rows (bitmaps are made for all rows of a piece)."""
     common.give_back()
-    return common.by_bytes(batches, lambda b: [max(n, _PIECE >> 11) for n in pc.binary_length(b.column("text")).fill_null(0).to_pylist()], _PIECE)
+    return common.by_bytes(batches, lambda b: [max(n, _PIECE >> 10) for n in pc.binary_length(b.column("text")).fill_null(0).to_pylist()], _PIECE)
 
 
 def text_key():
@@ -259,6 +260,8 @@ def signature_rows(docs: DataFrame, n: int, bands: Bands, part: int, slices: int
                 seen.clear()
         if size:
             yield from flush()
+        held.clear()
+        common.give_back()
 
     return docs.select("text").mapInArrow(run, _PAIRS)
 
@@ -270,6 +273,7 @@ def members(rows: DataFrame) -> DataFrame:
     def run(batches):
         alone = np.zeros((2, 0), np.int64)  # the last signature, if it had one class so far
         known = None  # the last signature and its smallest class, if it had several
+        common.give_back()
         for batch in batches:
             tied = batch.column("low").is_valid().to_numpy(zero_copy_only=False)
             sig, cls = (batch.column(c).to_numpy() for c in ("sig", "cls"))
@@ -335,6 +339,7 @@ def similar_pairs(pairs: DataFrame, classes: DataFrame, docs: DataFrame, n: int,
 
     def those(some: DataFrame, value: str, test) -> DataFrame:
         def run(batches):
+            common.give_back()
             for batch in batches:
                 rows = zip(batch.column("m").to_pylist(), batch.column("n").to_pylist(), batch.column("x"), batch.column("y"))
                 mask = pa.array([test(*r) for r in rows], pa.bool_())
