@@ -21,7 +21,7 @@ MOST_QUERIES = 10_000
 #: Pairs of strings and queries up to which all distances are worked out without a limit.
 FEW_PAIRS = 2_000_000
 #: Length from which distances are worked out bit-parallel, many strings at once, instead of cell by cell.
-LONG = 150
+LONG = 64
 
 
 def small(queries: DataFrame) -> DataFrame:
