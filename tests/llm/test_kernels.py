@@ -447,3 +447,23 @@ def test_sets_of_much_text_take_little_memory():
     peak = tracemalloc.get_traced_memory()[1]
     tracemalloc.stop()
     assert n == len(texts) and peak < 120 << 20
+
+
+def test_pairs_of_a_chunk_take_little_memory():
+    """Pairs of words are numbered with few arrays of a chunk's size (before, more than 60 bytes a token)."""
+    import tracemalloc
+
+    import pyarrow as pa
+
+    rng = np.random.default_rng(1)
+    codes, size = rng.integers(0, 300_000, 1_000_000).astype(np.uint32), 1000
+    rows = pa.table({"at": [0], "ids": [list(range(1000))], "held_out": [[False] * 1000], "sizes": [[size] * 1000], "words": [pitman_yor.pack(codes)]})
+    tracemalloc.start()
+    pairs, number = pitman_yor.numbered(codes * np.int64(300_001))
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    want, place = np.unique(codes, return_inverse=True)
+    assert (pairs == want * np.int64(300_001)).all() and (number == place).all() and peak < 40 * len(codes)
+    texts = pitman_yor.Texts(rows, np.full(300_001, -1), 1)
+    before = np.concatenate((np.full((1000, 1), 300_000), codes.reshape(1000, size)[:, :-1]), axis=1).ravel()
+    assert (texts.word[texts.number] == codes).all() and (texts.ctx[texts.number] == before).all()
