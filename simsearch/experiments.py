@@ -315,8 +315,8 @@ def model_append(spark, sf_dir):
 def cluster_purity(spark, sf_dir):
     """Documents clustered by gram vectors of their whole texts: per cluster the share of its commonest language."""
     d = src.table(spark, sf_dir, "documents").select(F.col("doc_id").alias("id"), "lang", src.fold(F.coalesce("text", F.lit(""))).alias("s")).where("id is not null")
-    v = clusters.hashed_grams(src.spread(d)).persist()
-    n = clusters.partition(v, 8).groupBy("cid", "lang").agg(F.count(F.lit(1)).alias("n"))
+    v = clusters.hashed_grams(src.spread(d)).select("lang", "vec", F.octet_length("s").alias("bytes")).persist()  # texts are not held
+    n = clusters.partition(v, 8, size=F.col("bytes")).groupBy("cid", "lang").agg(F.count(F.lit(1)).alias("n"))
     return n.groupBy("cid").agg(F.sum("n").alias("documents"), F.round(F.max("n") / F.sum("n"), 4).alias("purity"))
 
 
